@@ -24,6 +24,13 @@ def op2_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", hex16(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .classifier import classify, fit, graded
+
+    docs = table(spark, sf_dir, "documents")
+    return classify(docs, fit(*graded(docs, table(spark, sf_dir, "labels"))))
+
+
 def op4_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .topk import top_k
 

@@ -1,8 +1,73 @@
-"""A cleaning pipeline over documents."""
+"""A cleaning pipeline over documents: classify, apply rules, drop near duplicates, replace personal data, pack.
 
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written and read again as the next one's
+docs. All but the last return the columns of documents. A null text is an empty document and goes in the second
+stage at the latest; repeated rows meet in the third; an empty table runs through to an empty result.
+"""
+
+from __future__ import annotations
+
+import os
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from streamfill.llm.classifier import classify, fit, graded
+from streamfill.llm.common import settle, table
+from streamfill.llm.neardup import near_duplicates
+from streamfill.llm.packing import pack
+from streamfill.llm.pii import replace_private
+from streamfill.llm.quality import judge
+
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: SQL can express neither the classifier nor the fingerprints.
 ORACLE_SQL = None
-STAGES = []
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose probability of the top grade is one half or more."""
+    model = fit(*graded(docs, table(spark, sf_dir, "labels")))
+    return classify(docs, model, carry=COLUMNS).where("kept").select(*COLUMNS)
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that pass the base rules and are not depleted once boilerplate lines are taken out."""
+    return judge(docs, carry=COLUMNS).where("kept").select(*COLUMNS)
+
+
+def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near duplicates the document with the least id, once even where its row repeats."""
+    leaders = near_duplicates(docs).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
+    kept = docs.join(leaders, "doc_id", "left_semi").select(*COLUMNS)
+    first = Window.partitionBy("doc_id").orderBy("text", "lang", "source", "n_chars")
+    return kept.withColumn("turn", F.row_number().over(first)).where("turn = 1").drop("turn")
+
+
+def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, personal data replaced; n_chars follows the new text. The key comes from the environment."""
+    key = os.environ.get("SURROGATE_KEY", "example key of the test pipeline")
+    out = replace_private(docs, key, carry=("lang", "source", "n_chars"))
+    return out.withColumn("n_chars", F.when(F.col("n_replaced") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*COLUMNS)
+
+
+def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of all documents, with their token ids."""
+    import public_tokenizers
+
+    return pack(docs, public_tokenizers.path("byte_bpe_50k.json"), 1024)
+
+
+STAGES = [
+    ("quality_classifier", quality_classifier),
+    ("quality_rules", quality_rules),
+    ("near_dedup", near_dedup),
+    ("private_data", private_data),
+    ("packing", packing),
+]
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for _, stage in STAGES[:-1]:
+        docs = settle(stage(spark, docs, sf_dir))
+    return STAGES[-1][1](spark, docs, sf_dir)

@@ -42,7 +42,9 @@ def live(rows: DataFrame, o: Options, seconds: int, scale: tuple[tuple[float, ..
     names = ["window_id", "stream_id", "inst_id", *xs, "cached"]
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        done, pending, chain = pickle.loads(state.get[0]) if state.exists else (-(1 << 62), {}, Chain(o, int(key[0])))
+        done, pending, cache, theta = pickle.loads(state.get[0]) if state.exists else (-(1 << 62), {}, None, None)
+        chain = Chain(o, int(key[0]))
+        chain.cache, chain.theta = cache, theta
         for frame in frames:
             for w, part in frame.groupby("window_id"):
                 if w > done:
@@ -58,7 +60,7 @@ def live(rows: DataFrame, o: Options, seconds: int, scale: tuple[tuple[float, ..
             made[xs] = np.where(np.isnan(x), out.x * deviation + mean, part[xs].to_numpy(np.float64))
             done = w
             yield made[names]
-        state.update((pickle.dumps((done, pending, chain)),))
+        state.update((pickle.dumps((done, pending, chain.cache, chain.theta)),))
         if pending:
             state.setTimeoutTimestamp(max(int((min(pending) + 1) * seconds * 1000), state.getCurrentWatermarkMs() + 1))
 

@@ -13,6 +13,10 @@ from pyspark.sql import functions as F
 from streamfill.schema import attributes
 
 
+#: Beyond so many attributes a step goes through an array: generated code for each would outgrow a method.
+WIDE = 24
+
+
 def share(*parts) -> Column:
     cols = [p if isinstance(p, Column) else F.lit(p) for p in parts]
     return F.conv(F.substring(F.md5(F.concat_ws(":", *(c.cast("string") for c in cols))), 1, 8), 16, 10).cast("long") / float(2**32)
@@ -40,6 +44,12 @@ def remove_cells(df: DataFrame, rate: float, seed: int = 0) -> tuple[DataFrame,
     """(df without the removed cells, the removed cells as (window_id, inst_id, dim, truth))."""
     goes = lambda c: F.col(c).isNotNull() & (cell_hash(seed, F.col("inst_id"), int(c[1:])) < rate)
     xs = attributes(df)
+    if len(xs) > WIDE:
+        below = F.transform(F.array(*xs), lambda v, d: F.when(v.isNotNull(), share(seed, F.col("inst_id"), d) < rate))
+        held = df.select("window_id", "stream_id", "inst_id", *xs, below.alias("goes"))
+        left = held.select("window_id", "stream_id", "inst_id", *(F.when(~F.get("goes", F.lit(d)), F.col(c)).alias(c) for d, c in enumerate(xs)))
+        cut = F.transform(F.array(*xs), lambda v, d: F.when(F.get("goes", d), v))
+        return left, held.select("window_id", "inst_id", F.posexplode(cut).alias("dim", "truth")).where("truth is not null")
     left = df.select("window_id", "stream_id", "inst_id", *(F.when(~goes(c), F.col(c)).alias(c) for c in xs))
     cells = F.array(*(F.struct(F.lit(int(c[1:])).alias("dim"), F.when(goes(c), F.col(c)).alias("truth")) for c in xs))
     gone = df.select("window_id", "inst_id", F.explode(cells).alias("c")).select("window_id", "inst_id", "c.dim", "c.truth")

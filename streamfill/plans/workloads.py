@@ -23,7 +23,7 @@ from streamfill.sources.tables import DAY, HOUR, fixture
 
 #: Fewer epochs than the published 200 keep the registered queries short; pass epochs for more.
 EPOCHS = 60
-FAST = Options(epochs=EPOCHS)
+FAST = Options(epochs=EPOCHS, seq_epochs=12)
 
 
 def prepared(df: DataFrame, rate: float, seed: int = 0) -> tuple[DataFrame, DataFrame]:

@@ -87,11 +87,10 @@ def li(spark: SparkSession, sf_dir: str, window: int = 30 * DAY) -> DataFrame:
 
 def emb(spark: SparkSession, sf_dir: str, window: int = 150, dims: int = 64, sparsity: float = 0.856) -> DataFrame:
     """One wide homogeneous stream by index; a share of the cells is taken out beforehand."""
-    from streamfill.operators.masks import cell_hash
+    from streamfill.operators.masks import share
 
-    e = table(spark, sf_dir, "embeddings")
-    kept = lambda d: F.when(cell_hash(7, F.col("vec_id"), d) >= sparsity, F.get("embedding", F.lit(d)).cast("double"))
-    return e.select(F.floor(F.col("vec_id") / window).cast("long").alias("window_id"), F.lit(0).cast("long").alias("stream_id"), F.col("vec_id").alias("inst_id"), *(kept(d).alias(f"x{d}") for d in range(dims)))
+    e = table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda v, d: F.when(share(7, F.col("vec_id"), d) >= sparsity, v.cast("double"))).alias("kept"))
+    return e.select(F.floor(F.col("vec_id") / window).cast("long").alias("window_id"), F.lit(0).cast("long").alias("stream_id"), F.col("vec_id").alias("inst_id"), *(F.get("kept", F.lit(d)).alias(f"x{d}") for d in range(dims)))
 
 
 def lowrank(spark: SparkSession, sf_dir: str, window: int = 150, dims: int = 16, rank: int = 3) -> DataFrame:

@@ -266,14 +266,14 @@ def feature_prop_unbound(spark, sf):
 
 
 ROW_WEIGHTED = WEIGHTED.replace("1.0 / sqrt(CAST(s.k * t.k AS DOUBLE)) AS w", "1.0 / s.k AS w")
-MATRIX = [[1.0 if i == j else 0.137 * ((i + 2 * j) % 3) for j in D] for i in D]
+MATRIX = [[1.0 if i == j else 0.1371717 * ((i + 2 * j) % 3) for j in D] for i in D]
 
 
-@query(f"WITH {ROW_WEIGHTED}, {STEP.format('s1', 'f')} SELECT window_id, stream_id, inst_id, {', '.join('round(' + ' + '.join(f'x{i} * {MATRIX[i][j]}' for i in D) + f', 1) AS x{j}' for j in D)} FROM s1")
+@query(f"WITH {ROW_WEIGHTED}, {STEP.format('s1', 'f')} SELECT window_id, stream_id, inst_id, {', '.join('round(' + ' + '.join(f'x{i} * {MATRIX[i][j]}' for i in D) + f', 3) AS x{j}' for j in D)} FROM s1")
 def message_step_fixed(spark, sf):
     f = filled(spark, sf)
     out = propagate.message_step(f, graph.normalise(graph.knn(f, 10), "row"), MATRIX)
-    return out.select("window_id", "stream_id", "inst_id", *(F.round(c, 1).alias(c) for c in attributes(out)))
+    return out.select("window_id", "stream_id", "inst_id", *(F.round(c, 3).alias(c) for c in attributes(out)))
 
 
 # --- importance and carrying ---------------------------------------------------------------------------------------

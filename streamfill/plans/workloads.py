@@ -259,6 +259,15 @@ def approximate_recall(spark, sf_dir):
     return exact.join(found, ["window_id", "src", "dst"], "left").groupBy("window_id").agg(F.avg(F.coalesce("hit", F.lit(0))).alias("recall"))
 
 
+def propnet_distributed(spark, sf_dir):
+    """One window over all rows, trained with rows and edges as tables; few epochs, as each costs two shuffles."""
+    from streamfill.plans.graph_engine import fit_impute
+
+    df = fixture(spark, sf_dir, "lowrank", window=1 << 40)
+    left, _ = prepared(df, 0.3)
+    return fit_impute(settle(left), Options(epochs=2, k=5))[0]
+
+
 def stream_dual_carry(spark, sf_dir):
     """The events as a stream of files, windows imputed as the watermark closes them; the result is what came out."""
     import uuid
@@ -286,4 +295,4 @@ QUERIES = {k: f for k, f in globals().items() if k[:1] == "w" and k[1:2].isdigit
 QUERIES |= {f"propnet_{m}": _whole("doc", method="propnet", module=m, epochs=EPOCHS) for m in ("sage", "gcn", "gat")}
 QUERIES |= {"propnet_ev": _whole("ev", method="propnet", epochs=EPOCHS), "mf": _whole("doc", method="mf"), "mice": _whole("doc", method="mice"), "mice_multiple": _whole("doc", method="mice", draws=3), "fp_converged": _whole("doc", method="fp", iters=200, tol=1e-6)}
 QUERIES |= {"knn_nan": _whole("doc", method="knn", knn_metric="nan"), "brits": _whole("doc", method="brits", seq_epochs=20), "saits": _whole("doc", method="saits", seq_epochs=20), "mf_soft": _whole("lowrank", method="mf", shrink=0.5)}
-QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "stream_dual_carry": stream_dual_carry}
+QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "propnet_distributed": propnet_distributed, "stream_dual_carry": stream_dual_carry}

@@ -5,10 +5,12 @@ padding. Nothing is shuffled: a bucket is a column that a writer partitions by.
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
-from collections.abc import Iterator
+from array import array
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -18,6 +20,33 @@ REMEMBERED = 400_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, bucket int, ids binary"
 
 
+#: Characters before this are in the same classes for every library.
+LATIN_END = "\u0250"
+
+
+def fast_encoder(definition: str) -> Callable[[str], list[int]] | None:
+    """An encoder of the tiktoken library for a byte-level file whose ids follow its merges; None for any other."""
+    try:
+        import tiktoken
+    except ImportError:
+        return None
+    file = json.loads(definition)
+    model, before = file["model"], file["pre_tokenizer"] or {}
+    plain = before.get("type") == "ByteLevel" and before.get("use_regex", True) and not before.get("add_prefix_space") and file["normalizer"] is None
+    merges = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
+    if not plain or model["type"] != "BPE" or any(model["vocab"].get(a + b) != 256 + i for i, (a, b) in enumerate(merges)):
+        return None
+    # the format writes printable bytes as themselves, and the others, in order, from U+0100 on
+    printable = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    others = [b for b in range(256) if b not in set(printable)]
+    byte = {chr(b): b for b in printable} | {chr(256 + k): b for k, b in enumerate(others)}
+    special = {t["content"] for t in file["added_tokens"]}
+    ranks = {bytes(byte[c] for c in token): rank for token, rank in model["vocab"].items() if token not in special}
+    # fixed value: the pattern that the byte-level pre-tokenizer splits by
+    pattern = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+    return tiktoken.Encoding("file", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+
+
 def pieces(n: int, most: int) -> Iterator[tuple[int, int]]:
     """(start, length) of the pieces of n tokens: as many of the longest as fit, then the bits of the rest."""
     start = 0
@@ -39,7 +68,9 @@ def pack(docs: DataFrame, tokenizer_path: str, max_len: int = 1024, end_id: int
     are ignored. sequence_id is unique, and the same when a lost task runs again.
 
     Token ids are those of the tokenizers library. With its pattern no token spans the place before a space that
-    follows another character, so texts are cut there and each task encodes a different word once.
+    follows another character, so texts are cut there and each task encodes a different word once. Words of Latin
+    characters go through the faster of two libraries where the file's merges and ids allow it; all others, and those
+    with a special token, through tokenizers itself.
     """
     if max_len < 1 or max_len & (max_len - 1):
         raise ValueError("max_len must be a power of two")
@@ -51,25 +82,32 @@ def pack(docs: DataFrame, tokenizer_path: str, max_len: int = 1024, end_id: int
         import numpy as np
         from tokenizers import Tokenizer
 
-        encoder = Tokenizer.from_str(definition)
+        encoder, quick = Tokenizer.from_str(definition), fast_encoder(definition)
+        specials = [t["content"] for t in json.loads(definition)["added_tokens"]]
         cut, odd = re.compile(r"(?<=\S) ").split, re.compile(r"\s ").search
         end = np.array([end_id], "<u4").tobytes()
-        known: dict[str, bytes] = {}
+
+        def encoded(word: str) -> bytes:
+            if quick and (word.isascii() or max(word) < LATIN_END) and not any(t in word for t in specials):
+                return array("I", quick(word)).tobytes()
+            return array("I", encoder.encode(word, add_special_tokens=False).ids).tobytes()
+
+        class Words(dict):
+            """Ids of a word with the space before it."""
+
+            def __missing__(self, word: str) -> bytes:
+                if len(self) >= REMEMBERED:
+                    self.clear()
+                self[word] = ids = encoded(" " + word)
+                return ids
+
+        known = Words().__getitem__
         for batch in batches:
-            if len(known) > REMEMBERED:
-                known.clear()
-            cuts = []
-            for text in batch["t"].to_pylist():
+            out: list[list] = [[] for _ in range(7)]
+            for doc, text in zip(batch["i"].to_pylist(), batch["t"].to_pylist(), strict=True):
                 text = text or ""
                 first, *rest = cut(text) if odd(text) else text.split(" ")
-                cuts.append([first, *[" " + x for x in rest]])
-            new = list({x for words in cuts for x in words}.difference(known))
-            for at in range(0, len(new), 20_000):
-                some = new[at : at + 20_000]
-                known.update(zip(some, (np.array(e.ids, "<u4").tobytes() for e in encoder.encode_batch_fast(some, add_special_tokens=False)), strict=True))
-            out: list[list] = [[] for _ in range(7)]
-            for doc, words in zip(batch["i"].to_pylist(), cuts, strict=True):
-                ids = b"".join(map(known.__getitem__, words)) + end
+                ids = b"".join([encoded(first), *map(known, rest), end])
                 n = len(ids) // 4
                 for start, length in pieces(n, max_len):
                     own = ids[4 * start : 4 * (start + length)]

@@ -1,12 +1,11 @@
 """Byte-level BPE: encoding and decoding.
 
-Merges are folded by Spark's higher-order functions over the symbols of each different word, with the ranks as a
-literal in the plan: a table of small maps that a hash of the pair points into, for a lookup in a map goes through
-all its keys. Words are found, and their ids put together again, in Arrow batches: a task turns its documents into
-chunks, each with its different words and every document as a list of places among them; the fold runs over the
-chunk's words; then a document's ids and the bytes they stand for are strung together. Nothing is shuffled.
-
-A byte is written as the character with its number, so symbols are strings and a pair is their concatenation.
+Merges are folded by Spark's higher-order functions over the byte arrays of the different words, with the ranks as a
+literal in the plan: a hash table without collisions in two flat arrays, for a lookup in a map goes through all its
+keys. Beside its symbols a word carries the ranks of its neighbouring pairs, of which a merge changes two. Words are
+found, and their ids put together again, in Arrow batches: a task turns its documents into chunks, each with its
+different words and every document as a list of places among them; the fold runs over the chunk's words; then a
+document's ids and the bytes they stand for are strung together. Nothing is shuffled.
 """
 
 from __future__ import annotations
@@ -14,8 +13,8 @@ from __future__ import annotations
 import base64
 import hashlib
 import json
+import random
 import re
-import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -24,12 +23,13 @@ from pyspark.sql import functions as F
 
 from .tokens import merge
 
-#: Characters of text in a chunk, about; they bound a task's memory.
-CHUNK = 24_000_000
-#: The fold looks at all pairs for every merge; words over so many bytes are merged with a heap instead.
+#: Characters of text and different words in a chunk, about; they bound a task's memory.
+CHUNK, WORDS = 24_000_000, 400_000
+#: A merge of the fold copies the word's symbols; words over so many bytes are merged with a heap instead.
 FOLDED = 48
-SPREAD = 1 << 14
-NONE = 2**31 - 1
+#: Bits of a rank in the literal; what no pair has.
+RANK_BITS = 20
+NO_RANK = 1 << RANK_BITS
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -37,38 +37,102 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, f)}
 
 
-def rank_literal(ranks: dict[str, int]) -> Column:
-    """The ranks as a constant array of maps; a symbol is in the map that its CRC-32 points to."""
-    maps: list[dict[str, int]] = [{} for _ in range(SPREAD)]
-    for symbol, rank in ranks.items():
-        maps[zlib.crc32(symbol.encode()) % SPREAD][symbol] = rank
-    return F.from_json(F.lit(json.dumps(maps)), "array<map<string,int>>")
+def pair_ranks(ranks: dict[bytes, int]) -> dict[tuple[int, int], int]:
+    """The rank of what two tokens spell together, for all that are a token again."""
+    cuts = ((t[:i], t[i:], r) for t, r in ranks.items() for i in range(1, len(t)))
+    return {(ranks[a], ranks[b]): r for a, b, r in cuts if a in ranks and b in ranks}
 
 
-def folded(word: Column, table: Column) -> Column:
-    """Ids of a word: its own rank, or what is left of its bytes after merging the best pair again and again."""
+def bound(value: Column, use) -> Column:
+    """use(value), the value computed once. The least of one element is that element; picking it by position would
+    derive the type of all that use holds at every evaluation."""
+    return F.array_min(F.transform(F.array(value), use))
 
-    def rank(symbol: Column) -> Column:
-        return F.try_element_at(F.get(table, F.pmod(F.crc32(symbol.cast("binary")), F.lit(SPREAD)).cast("int")), symbol)
 
-    def best(symbols: Column) -> Column:
-        at = F.sequence(F.lit(1), F.size(symbols) - 1)
-        pairs = F.transform(at, lambda i: F.struct(F.coalesce(rank(F.concat(F.get(symbols, i - 1), F.get(symbols, i))), F.lit(NONE)).alias("r"), i.alias("i")))
-        return F.array_min(pairs)
+def prime_from(n: int) -> int:
+    while any(n % d == 0 for d in range(2, int(n**0.5) + 1)):
+        n += 1
+    return n
 
-    def merged(symbols: Column, pair: Column) -> Column:
-        i = pair["i"]
-        both = F.array(F.concat(F.get(symbols, i - 1), F.get(symbols, i)))
-        return F.concat(F.slice(symbols, F.lit(1), i - 1), both, F.slice(symbols, i + 2, F.size(symbols)))
 
-    def step(state: Column) -> Column:
-        chosen = F.transform(F.array(best(state["symbols"])), lambda p: F.when(p["r"] < NONE, F.struct(merged(state["symbols"], p).alias("symbols"), (F.size(state["symbols"]) < 3).alias("over"))).otherwise(F.struct(state["symbols"].alias("symbols"), F.lit(True).alias("over"))))
-        return F.when(state["over"], state).otherwise(F.get(chosen, F.lit(0)))
+def displaced(keys: list[int], n_slots: int, n_groups: int) -> tuple[list[int], dict[int, int]]:
+    """(shift of each group, slot of each key): no two keys meet in slot (key + shift of key % n_groups) % n_slots.
 
-    start = F.struct(F.split(word, "").alias("symbols"), (F.length(word) < 2).alias("over"))
-    final = F.aggregate(F.sequence(F.lit(1), F.length(word)), start, lambda state, _: step(state))["symbols"]
-    whole = F.transform(F.array(rank(word)), lambda r: F.when(r.isNotNull(), F.array(r)).when(F.length(word) <= FOLDED, F.transform(final, rank)))
-    return F.get(whole, F.lit(0))
+    Keys of one group differ modulo n_slots if the two coprime numbers have a product over all keys.
+    """
+    groups: dict[int, list[int]] = {}
+    for key in keys:
+        groups.setdefault(key % n_groups, []).append(key)
+    shifts, taken, slots = [0] * n_groups, bytearray(n_slots), {}
+    tries = random.Random(7)
+    free = iter(range(n_slots))
+    for group, members in sorted(groups.items(), key=lambda g: -len(g[1])):
+        if len(members) > 1:
+            while any(taken[(k + shifts[group]) % n_slots] for k in members):
+                shifts[group] = tries.randrange(n_slots)
+        else:
+            shifts[group] = (next(s for s in free if not taken[s]) - members[0]) % n_slots
+        for k in members:
+            slots[k] = (k + shifts[group]) % n_slots
+            taken[slots[k]] = 1
+    return shifts, slots
+
+
+class RankTable:
+    """The ranks of pairs as two flat constant arrays in the plan, quick to send and read in one step a pair: the
+    shift of a key's group leads to its slot, which holds key and rank in one number."""
+
+    def __init__(self, ranks: dict[bytes, int]) -> None:
+        self.edge = max(ranks.values()) + 1  #: stands before the first and after the last symbol; in no pair
+        if self.edge >= NO_RANK:
+            raise ValueError("ranks are too large for the table")
+        pairs = {a * (self.edge + 1) + b: rank for (a, b), rank in pair_ranks(ranks).items()}
+        self.n_slots = prime_from(max(1009, len(pairs) * 7 // 5))
+        self.n_groups = prime_from(max(len(pairs) // 4, (self.edge + 1) ** 2 // self.n_slots + 1))
+        if self.n_groups == self.n_slots:
+            self.n_groups = prime_from(self.n_groups + 1)
+        shifts, places = displaced(list(pairs), self.n_slots, self.n_groups)
+        slots = [-1] * self.n_slots
+        for key, slot in places.items():
+            slots[slot] = key << RANK_BITS | pairs[key]
+        self.shifts, self.slots = (F.from_json(F.lit(json.dumps(x, separators=(",", ":"))), "array<bigint>") for x in (shifts, slots))
+
+    def rank(self, left: Column, right: Column) -> Column:
+        """The pair's rank, or NO_RANK."""
+        long = lambda n: F.lit(n).cast("long")
+
+        def found(key: Column) -> Column:
+            shift = F.get(self.shifts, F.pmod(key, long(self.n_groups)).cast("int"))
+            slot = F.get(self.slots, F.pmod(key + shift, long(self.n_slots)).cast("int"))
+            return bound(slot, lambda v: F.when(F.shiftright(v, RANK_BITS) == key, v.bitwiseAND(long(NO_RANK - 1))).otherwise(long(NO_RANK)))
+
+        return bound(left * long(self.edge + 1) + right, found)
+
+
+def folded(word: Column, table: RankTable) -> Column:
+    """What is left of a word's symbols (array of long) after merging the best pair, leftmost of equals, again and again."""
+    edge = F.array(F.lit(table.edge).cast("long"))
+
+    def merged(s: Column, best: Column, i: Column) -> Column:
+        """Pair i has become the symbol best; the pairs beside it are new."""
+        symbols, ranks = s["symbols"], s["ranks"]
+        beside = F.transform(F.array(F.struct(F.get(symbols, i - 2).alias("a"), best.alias("b")), F.struct(best.alias("a"), F.get(symbols, i + 1).alias("b"))), lambda p: table.rank(p["a"], p["b"]))
+        return F.struct(
+            F.concat(F.slice(symbols, F.lit(1), i - 1), F.array(best), F.slice(symbols, i + 2, F.size(symbols))).alias("symbols"),
+            F.concat(F.slice(ranks, F.lit(1), i - 2), beside, F.slice(ranks, i + 2, F.size(ranks))).alias("ranks"),
+        )
+
+    def step(s: Column) -> Column:
+        found = lambda best: bound(F.array_position(s["ranks"], best).cast("int"), lambda i: merged(s, best, i))
+        return bound(F.array_min(s["ranks"]), lambda best: F.when(best < NO_RANK, found(best)).otherwise(s))
+
+    def start(symbols: Column) -> Column:
+        pairs = F.transform(F.sequence(F.lit(0), F.size(symbols) - 2), lambda i: table.rank(F.get(symbols, i), F.get(symbols, i + 1)))
+        return F.struct(symbols.alias("symbols"), pairs.alias("ranks"))
+
+    turns = F.slice(word, F.lit(2), F.size(word))  # a merge less than symbols
+    final = F.aggregate(turns, bound(F.concat(edge, word, edge), start), lambda s, _: step(s))["symbols"]
+    return F.when(F.size(word) < 2, word).otherwise(bound(final, lambda x: F.slice(x, F.lit(2), F.size(x) - 2)))
 
 
 def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -83,6 +147,8 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
     if any(bytes([b]) not in ranks for b in range(256)):
         raise ValueError("the ranks lack some single bytes")
 
+    single = [ranks[bytes([b])] for b in range(256)]
+
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
         import regex
@@ -100,9 +166,22 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
                 seen[piece] = np.array([places.setdefault(w, len(places)) for w in tokens(piece)], "<i4").tobytes()
             return seen[piece]
 
+        def symbols(word: str) -> list[int]:
+            raw = word.encode()
+            if raw in ranks:
+                return [ranks[raw]]
+            if len(raw) <= FOLDED:
+                return [single[b] for b in raw]
+            return [ranks[s] for s in merge([raw[i : i + 1] for i in range(len(raw))], ranks.get)]
+
         def chunk() -> pa.RecordBatch:
-            words = [w.encode().decode("latin-1") for w in places]
-            arrays = [pa.array([x], t) for x, t in ((ids, pa.list_(pa.int64())), (rows, pa.list_(pa.binary())), (words, pa.list_(pa.string())))]
+            flat, ends = [], [0]
+            for word in places:
+                flat += symbols(word)
+                ends.append(len(flat))
+            words = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int64()))
+            arrays = [pa.array([x], t) for x, t in ((ids, pa.list_(pa.int64())), (rows, pa.list_(pa.binary())))]
+            arrays.append(pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words))
             return pa.RecordBatch.from_arrays(arrays, names=["ids", "places", "words"])
 
         for batch in batches:
@@ -112,7 +191,7 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
                 rows.append(b"".join([place(first), *[place(" " + x) for x in rest]]))
                 ids.append(doc)
                 size += len(text)
-                if size >= CHUNK:
+                if size >= CHUNK or len(places) >= WORDS:
                     yield chunk()
                     places, seen, ids, rows, size = {}, {}, [], [], 0
         if ids:
@@ -125,11 +204,7 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
 
         for batch in batches:
             for k in range(batch.num_rows):
-                words, made = batch["words"][k].as_py(), batch["made"][k].as_py()
-                for j, (w, m) in enumerate(zip(words, made, strict=True)):
-                    if m is None:
-                        raw = w.encode("latin-1")
-                        made[j] = [ranks[s] for s in merge([raw[i : i + 1] for i in range(len(raw))], ranks.get)]
+                made = batch["made"][k].as_py()
                 decimal = [" ".join(map(str, m)) for m in made]
                 plain = [b"".join([spelled[i] for i in m]) for m in made]
                 counts = np.array([len(m) for m in made], np.int64)
@@ -151,10 +226,10 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
         types = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.string(), pa.string())
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
 
-    table = rank_literal({t.decode("latin-1"): r for t, r in ranks.items()})
+    table = RankTable(ranks)
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    chunks = rows.mapInArrow(split, "ids array<long>, places array<binary>, words array<string>")
-    chunks = chunks.withColumn("made", F.transform("words", lambda w: folded(w, table)))
+    chunks = rows.mapInArrow(split, "ids array<long>, places array<binary>, words array<array<long>>")
+    chunks = chunks.select("ids", "places", F.transform("words", lambda w: folded(w, table)).alias("made"))
     return chunks.mapInArrow(strung, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")
 
 

@@ -1,9 +1,8 @@
 """Quality rules over words and lines, with line frequencies across documents; DataFrame functions only.
 
 A line that very many documents of a host carry is boilerplate: it is taken out before a document is judged by what
-is left. Copies of one document must not make its lines look like that. So a document counts for a line by its
-companion, the least hash among its other lines: the companions of a boilerplate line are nearly all different,
-those of a copied document are mostly shared.
+is left. Copies of one document must not make its lines look like that, so documents are counted by a hash of their set
+of lines: copies are one document, while near copies, which differ in a line, are several.
 """
 
 from __future__ import annotations
@@ -61,8 +60,8 @@ def normal_line(line: Column) -> Column:
 def judge(docs: DataFrame, *, carry: tuple[str, ...] = (), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", max_documents: int = 20, diversity: float = 0.6, least_words: int = 10, least_share: float = 0.2) -> DataFrame:
     """Rows (carry..., doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, left_words, kept).
 
-    A normalised line (lower case, single spaces) is removed on a host where over max_documents companions stand
-    beside it and the companions met once make up at least `diversity` of the documents that carry it. kept is
+    A normalised line (lower case, single spaces) is removed on a host where over max_documents different documents
+    carry it and those met once make up at least `diversity` of the rows that carry it. kept is
     false for base_failed and where removal leaves under least_words words or under least_share of the words.
     A null text has no words and fails; a null host is a host of its own; repeated rows are judged each; an empty
     table gives an empty result; other columns are ignored but for those in `carry`.
@@ -74,13 +73,10 @@ def judge(docs: DataFrame, *, carry: tuple[str, ...] = (), id_col: str = "doc_id
     rows = settle(rows.withColumns({"q_lines": per_line, "q_row": F.monotonically_increasing_id()}))
 
     seen = rows.select("q_host", F.array_sort(F.array_distinct("q_lines.h")).alias("hs"))
-    seen = seen.select("q_host", F.explode("hs").alias("h"), F.get("hs", F.lit(0)).alias("m1"), F.get("hs", F.lit(1)).alias("m2"))
-    seen = seen.select("q_host", "h", F.when(F.col("h") == F.col("m1"), F.col("m2")).otherwise(F.col("m1")).alias("companion"))
-    pairs = seen.groupBy("q_host", "h", "companion").agg(F.count("*").alias("c"))
-    lines = pairs.groupBy("q_host", "h").agg(
-        F.sum("c").alias("documents"), F.count("companion").alias("companions"), F.count_if((F.col("c") == 1) & F.col("companion").isNotNull()).alias("single")
-    )
-    frequent = lines.where((F.col("companions") > max_documents) & (F.col("single") >= diversity * F.col("documents"))).select("q_host", "h")
+    seen = seen.select("q_host", F.xxhash64("hs").alias("document"), F.explode("hs").alias("h"))
+    pairs = seen.groupBy("q_host", "h", "document").agg(F.count("*").alias("c"))
+    lines = pairs.groupBy("q_host", "h").agg(F.sum("c").alias("rows"), F.count("*").alias("documents"), F.count_if(F.col("c") == 1).alias("single"))
+    frequent = lines.where((F.col("documents") > max_documents) & (F.col("single") >= diversity * F.col("rows"))).select("q_host", "h")
     frequent = frequent.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(LINE_SALTS - 1))))
     each = rows.select("q_row", "q_host", F.explode("q_lines").alias("x")).select("q_row", "q_host", F.col("x.h").alias("h"), F.col("x.n").alias("n"))
     each = each.withColumn("part", F.pmod(F.xxhash64("q_row"), F.lit(LINE_SALTS)).cast("int"))

@@ -183,6 +183,13 @@ def test_copies_do_not_make_boilerplate(spark):
     assert not any(got[200 + i].kept for i in range(5))
 
 
+def test_blocks_of_lines_are_boilerplate(spark):
+    block = "\n".join(f"line {k} of a notice that all pages of this host carry" for k in range(12))
+    pages = [(i, f"{block}\nown{i} first line of six words\nown{i} second line of six words", "h") for i in range(60)]
+    got = quality.judge(spark.createDataFrame(pages, "doc_id long, text string, source string")).collect()
+    assert len(got) == 60 and all(r.left_words == 12 and not r.kept for r in got)
+
+
 def test_classifier_without_labels_keeps_all(spark, odd):
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     empty = classifier.fit(*classifier.graded(odd, labels))

@@ -57,12 +57,12 @@ def normal_line(line: Column) -> Column:
     return F.array_join(words_of(F.lower(line)), " ")
 
 
-def judge(docs: DataFrame, *, carry: tuple[str, ...] = (), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", max_documents: int = 20, diversity: float = 0.6, least_words: int = 10, least_share: float = 0.2) -> DataFrame:
+def judge(docs: DataFrame, *, carry: tuple[str, ...] = (), id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", max_documents: int = 20, least_words: int = 10, least_share: float = 0.2) -> DataFrame:
     """Rows (carry..., doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, left_words, kept).
 
     A normalised line (lower case, single spaces) is removed on a host where over max_documents different documents
-    carry it and those met once make up at least `diversity` of the rows that carry it. kept is
-    false for base_failed and where removal leaves under least_words words or under least_share of the words.
+    carry it, however often each is stored. kept is false for base_failed and where removal leaves under least_words
+    words or under least_share of the words.
     A null text has no words and fails; a null host is a host of its own; repeated rows are judged each; an empty
     table gives an empty result; other columns are ignored but for those in `carry`.
     """
@@ -74,9 +74,8 @@ def judge(docs: DataFrame, *, carry: tuple[str, ...] = (), id_col: str = "doc_id
 
     seen = rows.select("q_host", F.array_sort(F.array_distinct("q_lines.h")).alias("hs"))
     seen = seen.select("q_host", F.xxhash64("hs").alias("document"), F.explode("hs").alias("h"))
-    pairs = seen.groupBy("q_host", "h", "document").agg(F.count("*").alias("c"))
-    lines = pairs.groupBy("q_host", "h").agg(F.sum("c").alias("rows"), F.count("*").alias("documents"), F.count_if(F.col("c") == 1).alias("single"))
-    frequent = lines.where((F.col("documents") > max_documents) & (F.col("single") >= diversity * F.col("rows"))).select("q_host", "h")
+    lines = seen.distinct().groupBy("q_host", "h").agg(F.count("*").alias("documents"))
+    frequent = lines.where(F.col("documents") > max_documents).select("q_host", "h")
     frequent = frequent.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(LINE_SALTS - 1))))
     each = rows.select("q_row", "q_host", F.explode("q_lines").alias("x")).select("q_row", "q_host", F.col("x.h").alias("h"), F.col("x.n").alias("n"))
     each = each.withColumn("part", F.pmod(F.xxhash64("q_row"), F.lit(LINE_SALTS)).cast("int"))

@@ -190,6 +190,13 @@ def test_blocks_of_lines_are_boilerplate(spark):
     assert len(got) == 60 and all(r.left_words == 12 and not r.kept for r in got)
 
 
+def test_copies_do_not_spare_boilerplate(spark):
+    footer = "all rights reserved by the owner of this page who may be asked for leave to print"
+    pages = [(i, " ".join(f"own{i % 30}x{k}" for k in range(12)) + "\n" + footer, "h") for i in range(60)]
+    got = quality.judge(spark.createDataFrame(pages, "doc_id long, text string, source string")).collect()
+    assert len(got) == 60 and all(r.left_words == 12 and r.kept for r in got)
+
+
 def test_classifier_without_labels_keeps_all(spark, odd):
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     empty = classifier.fit(*classifier.graded(odd, labels))

@@ -22,7 +22,8 @@ UPDATES = ("message", "all", "frozen", "none")
 
 
 def worth_keeping(x: np.ndarray, o: Options) -> np.ndarray:
-    """Places of the rows that go into the next cache, the most important and then the latest first, at most max_cache.
+    """Places of the rows that go into the next cache, all that score eta or more.
+    With max_cache, at most so many: the most important and then the latest first.
     Rows that observe nothing are never kept."""
     seen = ~np.isnan(x)
     phi = kernels.importance(seen)

@@ -62,7 +62,7 @@ class Options:
     update: str = "message"
     eta: float = 0.6
     eta_mode: str = "absolute"
-    max_cache: int | None = 5000
+    max_cache: int | None = None
     label: str = field(default="", compare=False)
 
     def shape(self, dims: int) -> nets.Shape:

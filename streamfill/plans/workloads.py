@@ -146,7 +146,7 @@ def modes(base: Options) -> list[tuple[dict, Options]]:
 
 def w6_continuous(spark, sf_dir, ratios=(0.01, 0.1, 1.0), rate=0.4, name="li"):
     """The four continuous modes by share of streams, after carrying by quantile, as scores on dense windows are small."""
-    base = replace(FAST, epochs=25, eta=0.9, eta_mode="quantile", max_cache=200, patience=5)
+    base = replace(FAST, epochs=25, eta=0.9, eta_mode="quantile", patience=5)
     parts = []
     for r in ratios:
         df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)

@@ -7,6 +7,7 @@ cells, so errors of different methods may be compared. A sweep over settings is
 from __future__ import annotations
 
 from dataclasses import replace
+from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,9 +22,9 @@ from streamfill.schema import attributes
 from streamfill.sources.durable import settle
 from streamfill.sources.tables import DAY, HOUR, fixture
 
-#: Fewer epochs than the published 200 keep the registered queries short; pass epochs for more.
-EPOCHS = 60
-FAST = Options(epochs=EPOCHS, seq_epochs=12)
+#: As published.
+EPOCHS = 200
+BASE = Options(epochs=EPOCHS)
 
 
 def prepared(df: DataFrame, rate: float, seed: int = 0) -> tuple[DataFrame, DataFrame]:
@@ -80,7 +81,7 @@ def over(spark: SparkSession, sf_dir: str, fixtures: tuple, rates: tuple, option
     return union(parts)
 
 
-def methods(names: tuple = METHODS, base: Options = FAST) -> list[tuple[dict, Options]]:
+def methods(names: tuple = METHODS, base: Options = BASE) -> list[tuple[dict, Options]]:
     return [({"method": m}, replace(base, method=m)) for m in names]
 
 
@@ -94,21 +95,21 @@ def w1_effectiveness(spark, sf_dir, fixtures=("doc", "lowrank"), rates=RATES):
 
 def w1_effectiveness_sparse(spark, sf_dir):
     """The same on the sparse concurrent fixture, which holds no signal: no method should do much harm."""
-    return over(spark, sf_dir, ("ev",), (0.5,), methods())
+    return over(spark, sf_dir, ("ev",), RATES, methods())
 
 
 def w1_effectiveness_dense(spark, sf_dir):
-    """The same on the dense heterogeneous fixture, without the sequence baselines (see w2_time)."""
-    return over(spark, sf_dir, ("li",), (0.4, 0.8), methods(("mean", "knn", "mice", "mf", "fp", "propnet"), replace(FAST, epochs=30)))
+    """The same on the dense heterogeneous fixture."""
+    return over(spark, sf_dir, ("li",), RATES, methods())
 
 
 def w1_effectiveness_wide(spark, sf_dir):
-    return over(spark, sf_dir, ("emb",), (0.5,), methods(base=replace(FAST, epochs=30, seq_epochs=5)))
+    return over(spark, sf_dir, ("emb",), RATES, methods())
 
 
-def w2_time(spark, sf_dir, fixtures=("doc", "lowrank")):
-    """Seconds a window, building the graph included."""
-    return over(spark, sf_dir, fixtures, (0.3,), methods()).select("fixture", "method", "graph_s", "seconds", "n_windows")
+def w2_time(spark, sf_dir, fixtures=("ev", "doc", "lowrank", "li", "emb")):
+    """Seconds a window at the default rate, building the graph included."""
+    return over(spark, sf_dir, fixtures, {name: RATES[name][-1:] for name in fixtures}, methods()).select("fixture", "method", "graph_s", "seconds", "n_windows")
 
 
 def w3_memory(spark, sf_dir):
@@ -124,19 +125,26 @@ def w3_memory(spark, sf_dir):
 SEQ = ("propnet", "fp", "brits", "saits")
 
 
-def w4_window_length(spark, sf_dir, lengths=(8 * HOUR, DAY, 3 * DAY), rate=0.5):
+LENGTHS = {
+    "ev": (4 * HOUR, 8 * HOUR, 12 * HOUR, DAY, 2 * DAY, 3 * DAY), "li": (15 * DAY, 30 * DAY, 60 * DAY, 90 * DAY, 120 * DAY),
+    "emb": (50, 100, 150, 200, 250), "roll": (8 * HOUR, DAY, 3 * DAY),
+}
+RATIOS = (0.01, *(k / 10 for k in range(1, 11)))
+
+
+def w4_window_length(spark, sf_dir, lengths=LENGTHS):
     parts = []
-    for t in lengths:
-        df = fixture(spark, sf_dir, "roll", window=t)
-        parts.append(sweep(df, rate, dict(enumerate(o for _, o in methods(SEQ, replace(FAST, epochs=30, seq_epochs=8)))), {k: {"length": t, "method": m} for k, m in enumerate(SEQ)}))
+    for name, t in ((name, t) for name, ts in lengths.items() for t in ts):
+        df = fixture(spark, sf_dir, name, window=t)
+        parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(SEQ, BASE))), {k: {"fixture": name, "length": t, "method": m} for k, m in enumerate(SEQ)}))
     return union(parts)
 
 
-def w5_stream_ratio(spark, sf_dir, ratios=(0.1, 0.5, 1.0), rate=0.5, name="roll", names=SEQ):
+def w5_stream_ratio(spark, sf_dir, ratios=RATIOS, fixtures=("ev", "li", "roll"), names=SEQ):
     parts = []
-    for r in ratios:
+    for name, r in ((name, r) for name in fixtures for r in ratios):
         df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)
-        parts.append(sweep(df, rate, dict(enumerate(o for _, o in methods(names, replace(FAST, epochs=30, seq_epochs=8)))), {k: {"ratio": r, "method": m} for k, m in enumerate(names)}))
+        parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(names, BASE))), {k: {"fixture": name, "ratio": r, "method": m} for k, m in enumerate(names)}))
     return union(parts)
 
 
@@ -146,7 +154,7 @@ def modes(base: Options) -> list[tuple[dict, Options]]:
 
 def w6_continuous(spark, sf_dir, ratios=(0.01, 0.1, 1.0), rate=0.4, name="li"):
     """The four continuous modes by share of streams, after carrying by quantile, as scores on dense windows are small."""
-    base = replace(FAST, epochs=25, eta=0.9, eta_mode="quantile", patience=5)
+    base = replace(BASE, eta=0.9, eta_mode="quantile")
     parts = []
     for r in ratios:
         df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)
@@ -155,15 +163,17 @@ def w6_continuous(spark, sf_dir, ratios=(0.01, 0.1, 1.0), rate=0.4, name="li"):
 
 
 def w7_irregular(spark, sf_dir, ratios=(0.001, 0.01, 0.1, 1.0), rate=0.5):
-    base = replace(FAST, epochs=30, eta=0.25, patience=5)
-    df = masks.irregular(fixture(spark, sf_dir, "ev"), ratios, 9)
-    return sweep(df, rate, dict(enumerate(o for _, o in modes(base))), {k: lab for k, (lab, _) in enumerate(modes(base))})
+    parts = []
+    for name, base in (("ev", replace(BASE, eta=0.25)), ("li", replace(BASE, eta=0.9, eta_mode="quantile"))):
+        df = masks.irregular(fixture(spark, sf_dir, name), ratios, 9)
+        parts.append(sweep(df, rate, dict(enumerate(o for _, o in modes(base))), {k: {"fixture": name, **lab} for k, (lab, _) in enumerate(modes(base))}))
+    return union(parts)
 
 
 def w8_absolute_errors(spark, sf_dir):
-    """Absolute errors by window length and by ratio of streams, for the graph methods."""
-    a = w4_window_length(spark, sf_dir, (DAY, 3 * DAY)).select(F.lit("length").alias("axis"), F.col("length").alias("at"), "method", "mae")
-    b = w5_stream_ratio(spark, sf_dir, (0.5, 1.0), names=("propnet", "fp")).select(F.lit("ratio").alias("axis"), F.col("ratio").alias("at"), "method", "mae")
+    """Absolute errors by window length and by ratio of streams."""
+    a = w4_window_length(spark, sf_dir).select("fixture", F.lit("length").alias("axis"), F.col("length").alias("at"), "method", "mae")
+    b = w5_stream_ratio(spark, sf_dir).select("fixture", F.lit("ratio").alias("axis"), F.col("ratio").alias("at"), "method", "mae")
     return a.unionByName(b)
 
 
@@ -172,40 +182,40 @@ def one(spark, sf_dir, settings: list[tuple[dict, Options]], name="doc", rate=0.
 
 
 def w9_similarity(spark, sf_dir):
-    base = [({"metric": m, "graph": "knn"}, replace(FAST, metric=m)) for m in ("euclidean", "cosine")]
-    base += [({"metric": "euclidean", "graph": "mutual"}, replace(FAST, graph="mutual"))]
-    base += [({"metric": m, "graph": f"below {e}"}, replace(FAST, metric=m, eps=e)) for m, e in (("euclidean", 1.0), ("cosine", 0.2))]
-    return one(spark, sf_dir, base)
+    base = [({"metric": m, "graph": "knn"}, replace(BASE, metric=m)) for m in ("euclidean", "cosine")]
+    base += [({"metric": "euclidean", "graph": "mutual"}, replace(BASE, graph="mutual"))]
+    base += [({"metric": m, "graph": f"below {e}"}, replace(BASE, metric=m, eps=e)) for m, e in (("euclidean", 1.0), ("cosine", 0.2))]
+    return over(spark, sf_dir, ("doc", "li"), (0.3,), base)
 
 
 def w10_neighbours(spark, sf_dir):
-    return one(spark, sf_dir, [({"k": k}, replace(FAST, k=k)) for k in (2, 5, 10, 15, 20)])
+    return one(spark, sf_dir, [({"k": k}, replace(BASE, k=k)) for k in (2, 5, 10, 15, 20)])
 
 
 def w11_layers(spark, sf_dir):
-    return one(spark, sf_dir, [({"layers": n}, replace(FAST, layers=n)) for n in (1, 2, 3, 4)])
+    return one(spark, sf_dir, [({"layers": n}, replace(BASE, layers=n)) for n in (1, 2, 3, 4)])
 
 
 def w12_modules(spark, sf_dir):
-    return one(spark, sf_dir, [({"module": m}, replace(FAST, module=m)) for m in ("sage", "gcn", "gat")])
+    return one(spark, sf_dir, [({"module": m}, replace(BASE, module=m)) for m in ("sage", "gcn", "gat")])
 
 
 def w13_importance_threshold(spark, sf_dir):
-    base = replace(FAST, epochs=30, mode="dual_carry")
-    settings = [({"eta": e, "by": "absolute"}, replace(base, eta=e)) for e in (0.05, 0.1, 0.2, 0.4, 0.6)]
+    base = replace(BASE, mode="dual_carry")
+    settings = [({"eta": e, "by": "absolute"}, replace(base, eta=e)) for e in (0.05, *(k / 10 for k in range(1, 10)))]
     return one(spark, sf_dir, settings + [({"eta": e, "by": "quantile"}, replace(base, eta=e, eta_mode="quantile")) for e in (0.5, 0.9)])
 
 
 def w14_losses(spark, sf_dir):
-    return one(spark, sf_dir, [({"lams": lams}, replace(FAST, lams=lams)) for lams in ((1.0, 1.0), (0.0, 1.0), (1.0, 0.0))])
+    return one(spark, sf_dir, [({"lams": lams}, replace(BASE, lams=lams)) for lams in ((1.0, 1.0), (0.0, 1.0), (1.0, 0.0))])
 
 
 def w15_without_bound(spark, sf_dir):
-    return one(spark, sf_dir, [({"bound": b}, replace(FAST, bound=b)) for b in (True, False)])
+    return one(spark, sf_dir, [({"bound": b}, replace(BASE, bound=b)) for b in (True, False)])
 
 
 def w16_transfer(spark, sf_dir):
-    base = replace(FAST, mode="model_carry", epochs=40)
+    base = replace(BASE, mode="model_carry")
     return one(spark, sf_dir, [({"update": u}, replace(base, update=u)) for u in continuous.UPDATES])
 
 
@@ -214,7 +224,7 @@ def w17_splitting(spark, sf_dir, sizes=(None, 500, 200), rate=0.4):
     for s in sizes:
         left, gone = prepared(fixture(spark, sf_dir, "li"), rate)
         left = left if s is None else windows.split(left, s)
-        out = settle(run_windows(left, {0: replace(FAST, epochs=15)}))
+        out = settle(run_windows(left, {0: BASE}))
         parts.append(errors(gone, out, {0: {"max_rows": s}}))
     return union(parts)
 
@@ -230,7 +240,7 @@ def w18_space(spark, sf_dir):
 
 def w19_hyperparameters(spark, sf_dir):
     """Weight decay and the loss's divisor, beyond the published setting; the choice is to be made on held-out cells only."""
-    return one(spark, sf_dir, [({"decay": d, "norm": n}, replace(FAST, decay=d, norm=n)) for d in (0.1, 1e-2, 1e-3) for n in ("all", "observed")])
+    return one(spark, sf_dir, [({"decay": d, "norm": n}, replace(BASE, decay=d, norm=n)) for d in (0.1, 1e-2, 1e-3) for n in ("all", "observed")])
 
 
 # --- single methods ------------------------------------------------------------------------------------------------
@@ -244,7 +254,7 @@ def _whole(name: str, **settings):
 def _mode(mode: str, **settings):
     def run(spark, sf_dir):
         df = fixture(spark, sf_dir, "ev")
-        o = Options(mode=mode, epochs=25, eta=0.25, **settings)
+        o = Options(mode=mode, epochs=EPOCHS, eta=0.25, **settings)
         out = continuous.run(Scaler.fit(df).transform(df), {0: o})
         return out.drop("cfg", "graph_s", "total_s")
 
@@ -259,16 +269,16 @@ def approximate_recall(spark, sf_dir):
     return exact.join(found, ["window_id", "src", "dst"], "left").groupBy("window_id").agg(F.avg(F.coalesce("hit", F.lit(0))).alias("recall"))
 
 
-def propnet_distributed(spark, sf_dir):
-    """One window over all rows, trained with rows and edges as tables; few epochs, as each costs two shuffles."""
+def propnet_distributed(spark, sf_dir, epochs=EPOCHS):
+    """One window over all rows, trained with rows and edges as tables; each epoch costs two shuffles."""
     from streamfill.plans.graph_engine import fit_impute
 
     df = fixture(spark, sf_dir, "lowrank", window=1 << 40)
     left, _ = prepared(df, 0.3)
-    return fit_impute(settle(left), Options(epochs=2, k=5))[0]
+    return fit_impute(settle(left), Options(epochs=epochs))[0]
 
 
-def stream_dual_carry(spark, sf_dir):
+def stream_dual_carry(spark, sf_dir, epochs=25):
     """The events as a stream of files, windows imputed as the watermark closes them; the result is what came out."""
     import uuid
 
@@ -285,7 +295,7 @@ def stream_dual_carry(spark, sf_dir):
     last = rows.agg(F.max("window_id").alias("w")).select((F.col("w") + 2).alias("window_id"), F.lit("end").alias("stream_id"), F.lit(0).cast("long").alias("inst_id"), *(F.lit(None).cast("double").alias(c) for c in xs), F.timestamp_seconds((F.col("w") + 2) * DAY).alias("ts"))
     rows.unionByName(last).coalesce(1).write.parquet(f"{folder}/in")
     source = spark.readStream.schema(rows.schema).parquet(f"{folder}/in")
-    out = live(source, Options(mode="dual_carry", epochs=25, eta=0.25), DAY, (scaler.mean, scaler.scale))
+    out = live(source, Options(mode="dual_carry", epochs=epochs, eta=0.25), DAY, (scaler.mean, scaler.scale))
     query = out.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.parquet(f"{folder}/out")
@@ -294,5 +304,5 @@ def stream_dual_carry(spark, sf_dir):
 QUERIES = {k: f for k, f in globals().items() if k[:1] == "w" and k[1:2].isdigit()}
 QUERIES |= {f"propnet_{m}": _whole("doc", method="propnet", module=m, epochs=EPOCHS) for m in ("sage", "gcn", "gat")}
 QUERIES |= {"propnet_ev": _whole("ev", method="propnet", epochs=EPOCHS), "mf": _whole("doc", method="mf"), "mice": _whole("doc", method="mice"), "mice_multiple": _whole("doc", method="mice", draws=3), "fp_converged": _whole("doc", method="fp", iters=200, tol=1e-6)}
-QUERIES |= {"knn_nan": _whole("doc", method="knn", knn_metric="nan"), "brits": _whole("doc", method="brits", seq_epochs=20), "saits": _whole("doc", method="saits", seq_epochs=20), "mf_soft": _whole("lowrank", method="mf", shrink=0.5)}
-QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "propnet_distributed": propnet_distributed, "stream_dual_carry": stream_dual_carry}
+QUERIES |= {"knn_nan": _whole("doc", method="knn", knn_metric="nan"), "brits": _whole("doc", method="brits"), "saits": _whole("doc", method="saits"), "mf_soft": _whole("lowrank", method="mf", shrink=0.5)}
+QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "propnet_distributed": propnet_distributed, "stream_dual_carry": partial(stream_dual_carry, epochs=EPOCHS)}

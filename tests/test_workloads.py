@@ -22,3 +22,14 @@ def test_caches_are_whole(asked):
     workloads.w6_continuous(None, "")
     assert len(asked) == 12 and all(o.max_cache is None for _, o in asked)
     assert len(worth_keeping(np.ones((6000, 3)), Options(eta=0.0))) == 6000
+
+
+def test_training_and_grids_are_whole(asked):
+    for name in ("w1_effectiveness", "w1_effectiveness_sparse", "w1_effectiveness_dense", "w1_effectiveness_wide", "w4_window_length", "w5_stream_ratio", "w6_continuous", "w7_irregular", "w9_similarity", "w10_neighbours", "w11_layers", "w12_modules", "w13_importance_threshold", "w14_losses", "w15_without_bound", "w16_transfer", "w19_hyperparameters"):
+        workloads.QUERIES[name](None, "")
+    assert all((o.epochs, o.seq_epochs, o.patience) == (200, 30, None) for _, o in asked)
+    met = {(lab.get("fixture"), lab["rate"], lab["method"]) for lab, _ in asked if set(lab) == {"fixture", "rate", "method"}}
+    assert met >= {(n, r, m) for n in ("ev", "doc", "lowrank", "li", "emb") for r in workloads.RATES[n] for m in workloads.METHODS}
+    count = lambda key, n: len({lab[key] for lab, _ in asked if key in lab and lab.get("fixture") == n})
+    assert [count("length", n) for n in ("ev", "li", "emb")] == [6, 5, 5] and [count("ratio", n) for n in ("ev", "li")] == [11, 11]
+    assert {lab["fixture"] for lab, _ in asked if "mode" in lab and "fixture" in lab} == {"ev", "li"}

@@ -14,6 +14,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -40,10 +41,20 @@ def normal(token: str) -> str:
     return token.strip(TRIM).lower()
 
 
+@cache
+def alphabetic() -> np.ndarray:
+    """Whether each code point is a letter."""
+    return np.fromiter((chr(k).isalpha() for k in range(0x110000)), bool, 0x110000)
+
+
+def letters_of(text: str) -> int:
+    return int(alphabetic()[np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)].sum())
+
+
 def form(text: str, tokens: list[str]) -> np.ndarray:
     """Shares of capitals, digits, symbols and punctuation, of different words and of short tokens, and of length."""
     n, m = max(1, len(text)), max(1, len(tokens))
-    letters = sum(map(str.isalpha, text)) if len(text) < 1 << 14 else n * 3 // 4
+    letters = letters_of(text)
     upper = len(re.findall("[A-ZÀ-ÖØ-Þ]", text))
     return 5 * np.array([
         1.0,

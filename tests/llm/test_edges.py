@@ -197,6 +197,15 @@ def test_copies_do_not_spare_boilerplate(spark):
     assert len(got) == 60 and all(r.left_words == 12 and r.kept for r in got)
 
 
+@pytest.mark.parametrize("n", [0, 1, 5, 1638, 1639, 20_000])
+def test_letters_are_counted_at_every_length(n):
+    text = "ÄBж1 ²٣-__𝔸" * n
+    letters = sum(map(str.isalpha, text))
+    assert classifier.letters_of(text) == letters
+    got = classifier.form(text, text.split())[1]
+    assert got == pytest.approx(5 * 2 * n / max(1, letters))
+
+
 def test_classifier_without_labels_keeps_all(spark, odd):
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     empty = classifier.fit(*classifier.graded(odd, labels))

@@ -1,11 +1,15 @@
 """Byte-level BPE: encoding and decoding.
 
-Merges are folded by Spark's higher-order functions over the byte arrays of the different words, with the ranks as a
-literal in the plan: a hash table without collisions in two flat arrays, for a lookup in a map goes through all its
-keys. Beside its symbols a word carries the ranks of its neighbouring pairs, of which a merge changes two. Words are
-found, and their ids put together again, in Arrow batches: a task turns its documents into chunks, each with its
-different words and every document as a list of places among them; the fold runs over the chunk's words; then a
-document's ids and the bytes they stand for are strung together. Nothing is shuffled.
+Merges are folded by Spark's higher-order functions over the byte arrays of the different words, with the ranks as
+literals in the plan: a table of the pairs of bytes, and for the others a hash table without collisions in two flat
+arrays, for a lookup in a map goes through all its keys. A word's state is one array with a number for each pair of
+neighbours, made of the pair's rank, its place in the word and its two symbols: the least number is the next merge,
+and a merge changes the two numbers beside it.
+
+Words are found, and their ids put together again, in Arrow batches: a task turns its documents into chunks and sends
+a chunk's different words on, some thousands in a row, and then a row with the documents as lists of places among
+them; the fold runs row by row; then a document's ids and the bytes they stand for are strung together. Nothing is
+shuffled, and order within a partition is all that joins the two.
 """
 
 from __future__ import annotations
@@ -15,7 +19,7 @@ import hashlib
 import json
 import random
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -23,13 +27,16 @@ from pyspark.sql import functions as F
 
 from .tokens import merge
 
-#: Characters of text and different words in a chunk, about; they bound a task's memory.
-CHUNK, WORDS = 24_000_000, 400_000
-#: A merge of the fold copies the word's symbols; words over so many bytes are merged with a heap instead.
-FOLDED = 48
-#: Bits of a rank in the literal; what no pair has.
-RANK_BITS = 20
-NO_RANK = 1 << RANK_BITS
+#: Bytes of text and different words in a chunk, about; they bound a task's memory.
+CHUNK, WORDS = 32_000_000, 400_000
+#: Words in a row that is folded.
+ROW = 4096
+#: Bits of a symbol or rank, and of a place, in a pair's number.
+SYMBOL_BITS, PLACE_BITS = 17, 12
+#: What no pair has as its rank.
+NO_RANK = (1 << SYMBOL_BITS) - 1
+#: The fold takes the square of a word's bytes; words over so many, whose places have no room, merge through a heap.
+FOLDED = (1 << PLACE_BITS) - 2
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -43,10 +50,13 @@ def pair_ranks(ranks: dict[bytes, int]) -> dict[tuple[int, int], int]:
     return {(ranks[a], ranks[b]): r for a, b, r in cuts if a in ranks and b in ranks}
 
 
-def bound(value: Column, use) -> Column:
-    """use(value), the value computed once. The least of one element is that element; picking it by position would
-    derive the type of all that use holds at every evaluation."""
-    return F.array_min(F.transform(F.array(value), use))
+def long(n: int) -> Column:
+    return F.lit(n).cast("long")
+
+
+def bound(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), the value computed once: a fold over nothing, whose end is use."""
+    return F.aggregate(F.array_repeat(F.lit(0), 0), value, lambda a, _: a, use)
 
 
 def prime_from(n: int) -> int:
@@ -79,60 +89,72 @@ def displaced(keys: list[int], n_slots: int, n_groups: int) -> tuple[list[int],
 
 
 class RankTable:
-    """The ranks of pairs as two flat constant arrays in the plan, quick to send and read in one step a pair: the
-    shift of a key's group leads to its slot, which holds key and rank in one number."""
+    """The ranks of pairs as flat constant arrays: `first` has the number of a pair of bytes, at place 0; the others
+    are found by the shift of their key's group, which leads to the slot that holds rank and key."""
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
         self.edge = max(ranks.values()) + 1  #: stands before the first and after the last symbol; in no pair
         if self.edge >= NO_RANK:
             raise ValueError("ranks are too large for the table")
-        pairs = {a * (self.edge + 1) + b: rank for (a, b), rank in pair_ranks(ranks).items()}
+        pairs = {a << SYMBOL_BITS | b: rank for (a, b), rank in pair_ranks(ranks).items()}
         self.n_slots = prime_from(max(1009, len(pairs) * 7 // 5))
-        self.n_groups = prime_from(max(len(pairs) // 4, (self.edge + 1) ** 2 // self.n_slots + 1))
+        self.n_groups = prime_from(max(len(pairs) // 4, (self.edge << SYMBOL_BITS) // self.n_slots + 1))
         if self.n_groups == self.n_slots:
             self.n_groups = prime_from(self.n_groups + 1)
         shifts, places = displaced(list(pairs), self.n_slots, self.n_groups)
         slots = [-1] * self.n_slots
         for key, slot in places.items():
-            slots[slot] = key << RANK_BITS | pairs[key]
-        self.shifts, self.slots = (F.from_json(F.lit(json.dumps(x, separators=(",", ":"))), "array<bigint>") for x in (shifts, slots))
-
-    def rank(self, left: Column, right: Column) -> Column:
-        """The pair's rank, or NO_RANK."""
-        long = lambda n: F.lit(n).cast("long")
-
-        def found(key: Column) -> Column:
-            shift = F.get(self.shifts, F.pmod(key, long(self.n_groups)).cast("int"))
-            slot = F.get(self.slots, F.pmod(key + shift, long(self.n_slots)).cast("int"))
-            return bound(slot, lambda v: F.when(F.shiftright(v, RANK_BITS) == key, v.bitwiseAND(long(NO_RANK - 1))).otherwise(long(NO_RANK)))
-
-        return bound(left * long(self.edge + 1) + right, found)
-
-
-def folded(word: Column, table: RankTable) -> Column:
-    """What is left of a word's symbols (array of long) after merging the best pair, leftmost of equals, again and again."""
-    edge = F.array(F.lit(table.edge).cast("long"))
-
-    def merged(s: Column, best: Column, i: Column) -> Column:
-        """Pair i has become the symbol best; the pairs beside it are new."""
-        symbols, ranks = s["symbols"], s["ranks"]
-        beside = F.transform(F.array(F.struct(F.get(symbols, i - 2).alias("a"), best.alias("b")), F.struct(best.alias("a"), F.get(symbols, i + 1).alias("b"))), lambda p: table.rank(p["a"], p["b"]))
-        return F.struct(
-            F.concat(F.slice(symbols, F.lit(1), i - 1), F.array(best), F.slice(symbols, i + 2, F.size(symbols))).alias("symbols"),
-            F.concat(F.slice(ranks, F.lit(1), i - 2), beside, F.slice(ranks, i + 2, F.size(ranks))).alias("ranks"),
-        )
-
-    def step(s: Column) -> Column:
-        found = lambda best: bound(F.array_position(s["ranks"], best).cast("int"), lambda i: merged(s, best, i))
-        return bound(F.array_min(s["ranks"]), lambda best: F.when(best < NO_RANK, found(best)).otherwise(s))
-
-    def start(symbols: Column) -> Column:
-        pairs = F.transform(F.sequence(F.lit(0), F.size(symbols) - 2), lambda i: table.rank(F.get(symbols, i), F.get(symbols, i + 1)))
-        return F.struct(symbols.alias("symbols"), pairs.alias("ranks"))
-
-    turns = F.slice(word, F.lit(2), F.size(word))  # a merge less than symbols
-    final = F.aggregate(turns, bound(F.concat(edge, word, edge), start), lambda s, _: step(s))["symbols"]
-    return F.when(F.size(word) < 2, word).otherwise(bound(final, lambda x: F.slice(x, F.lit(2), F.size(x) - 2)))
+            slots[slot] = pairs[key] << 2 * SYMBOL_BITS | key
+        single = [ranks[bytes([b])] for b in range(256)]
+        first = [pairs.get(a << SYMBOL_BITS | b, NO_RANK) << 2 * SYMBOL_BITS + PLACE_BITS | a << SYMBOL_BITS | b for a in single for b in single]
+        last = [NO_RANK << 2 * SYMBOL_BITS + PLACE_BITS | a << SYMBOL_BITS | self.edge for a in single]
+        head = [NO_RANK << 2 * SYMBOL_BITS + PLACE_BITS | self.edge << SYMBOL_BITS | a for a in single]
+        self.arrays = (shifts, slots, first, head, last)
+
+    def literals(self) -> list[Column]:
+        return [F.from_json(F.lit(json.dumps(x, separators=(",", ":"))), "array<bigint>") for x in self.arrays]
+
+
+def fold(words: Column, table: RankTable) -> Column:
+    """The symbols that are left of each word (array of its two or more bytes) after merging the best pair, leftmost of
+    equals, again and again."""
+    rank_at = 2 * SYMBOL_BITS + PLACE_BITS
+    left = lambda x: F.shiftright(x, SYMBOL_BITS).bitwiseAND(long(NO_RANK))
+    right = lambda x: x.bitwiseAND(long(NO_RANK))
+    placed = lambda x: x.bitwiseAND(long(((1 << PLACE_BITS) - 1) << 2 * SYMBOL_BITS))
+    key_of = long((1 << 2 * SYMBOL_BITS) - 1)
+
+    def folded(word: Column, shifts: Column, slots: Column, first: Column, head: Column, last: Column) -> Column:
+        def number(a: Column, b: Column, place: Column) -> Column:
+            def ranked(key: Column) -> Column:
+                slot = F.get(slots, ((key + F.get(shifts, (key % long(table.n_groups)).cast("int"))) % long(table.n_slots)).cast("int"))
+                rank = bound(slot, lambda v: F.when(v.bitwiseAND(key_of) == key, F.shiftright(v, 2 * SYMBOL_BITS)).otherwise(long(NO_RANK)))
+                return F.shiftleft(rank, rank_at).bitwiseOR(place).bitwiseOR(key)
+
+            return bound(F.shiftleft(a, SYMBOL_BITS).bitwiseOR(b), ranked)
+
+        def merged(pairs: Column, best: Column, i: Column) -> Column:
+            """Pair i, best, becomes one symbol: the pairs beside it are new."""
+            symbol = F.shiftright(best, rank_at)
+            before = bound(F.get(pairs, i - 2), lambda x: number(left(x), symbol, placed(x)))
+            after = bound(F.get(pairs, i), lambda x: number(symbol, right(x), placed(best)))
+            return bound(i - 2, lambda j: F.array_remove(F.transform(pairs, lambda x, k: F.when(k == j, before).when(k == i, after).otherwise(x)), best))
+
+        def step(pairs: Column) -> Column:
+            found = lambda best: bound(F.array_position(pairs, best).cast("int"), lambda i: merged(pairs, best, i))
+            return bound(F.array_min(pairs), lambda best: F.when(best < long(NO_RANK << rank_at), found(best)).otherwise(pairs))
+
+        inner = F.transform(F.sequence(F.lit(0), F.size(word) - 2), lambda i: F.get(first, F.get(word, i) * 256 + F.get(word, i + 1)).bitwiseOR(F.shiftleft((i + 1).cast("long"), 2 * SYMBOL_BITS)))
+        start = F.concat(F.array(F.get(head, F.get(word, F.lit(0)))), inner, F.array(F.get(last, F.get(word, F.size(word) - 1))))
+        turns = F.slice(word, F.lit(2), F.size(word))  # a merge less than bytes
+        return F.aggregate(turns, start, lambda pairs, _: step(pairs), lambda pairs: F.transform(F.slice(pairs, F.lit(1), F.size(pairs) - 1), lambda x: right(x).cast("int")))
+
+    def within(found: list[Column], rest: list[Column]) -> Column:
+        if rest:
+            return bound(rest[0], lambda x: within([*found, x], rest[1:]))
+        return F.transform(words, lambda w: folded(w, *found))
+
+    return within([], table.literals())
 
 
 def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = True, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -147,89 +169,126 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
     if any(bytes([b]) not in ranks for b in range(256)):
         raise ValueError("the ranks lack some single bytes")
 
-    single = [ranks[bytes([b])] for b in range(256)]
-
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
         import regex
 
         tokens = regex.compile(pattern).findall
         cut, odd = re.compile(r"(?<=\S) ").split, re.compile(r"\s ").search
-        places: dict[str, int] = {}
-        seen: dict[str, bytes] = {}
-        ids: list = []
-        rows: list[bytes] = []
-        size = 0
-
-        def place(piece: str) -> bytes:
-            if piece not in seen:
-                seen[piece] = np.array([places.setdefault(w, len(places)) for w in tokens(piece)], "<i4").tobytes()
-            return seen[piece]
-
-        def symbols(word: str) -> list[int]:
-            raw = word.encode()
-            if raw in ranks:
-                return [ranks[raw]]
-            if len(raw) <= FOLDED:
-                return [single[b] for b in raw]
-            return [ranks[s] for s in merge([raw[i : i + 1] for i in range(len(raw))], ranks.get)]
-
-        def chunk() -> pa.RecordBatch:
-            flat, ends = [], [0]
-            for word in places:
-                flat += symbols(word)
-                ends.append(len(flat))
-            words = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat, pa.int64()))
-            arrays = [pa.array([x], t) for x, t in ((ids, pa.list_(pa.int64())), (rows, pa.list_(pa.binary())))]
-            arrays.append(pa.ListArray.from_arrays(pa.array([0, len(words)], pa.int32()), words))
-            return pa.RecordBatch.from_arrays(arrays, names=["ids", "places", "words"])
 
+        class Numbers(dict):
+            """Numbers its keys as they come."""
+
+            def __missing__(self, key: str) -> int:
+                self[key] = n = len(self)
+                return n
+
+        def row(words: pa.Array, **rest) -> pa.RecordBatch:
+            whole = lambda x: pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x)
+            none = {"ids": pa.array([], pa.int64()), "places": pa.array([], pa.binary()), "ready": pa.array([], pa.binary())} | rest
+            blobs = [pa.array([rest.get(k)], pa.binary()) for k in ("spelling", "ends")]
+            return pa.RecordBatch.from_arrays([whole(words), *(whole(none[k]) for k in ("ids", "places", "ready")), *blobs], names=["words", "ids", "places", "ready", "spelling", "ends"])
+
+        empty = pa.array([], pa.list_(pa.int32()))
+
+        def chunk(firsts: Numbers, others: Numbers, ids: list, rows: list[bytes]) -> Iterator[pa.RecordBatch]:
+            """The different words to fold, some thousands a row; then a row of the rest: the ids of words that need no
+            fold, what words the pieces consist of, and the documents as pieces. Numbers below zero count from the end:
+            of words, those without a fold; of pieces, those that start a text."""
+            codes: dict[str, int] = {}
+            fresh: list[bytes] = []
+            ready: list[bytes] = []
+
+            def code(word: str) -> int:
+                raw = word.encode()
+                if raw in ranks:
+                    ready.append(np.array([ranks[raw]], "<i4").tobytes())
+                elif len(raw) > FOLDED:
+                    ready.append(np.array([ranks[s] for s in merge([raw[i : i + 1] for i in range(len(raw))], ranks.get)], "<i4").tobytes())
+                else:
+                    fresh.append(raw)
+                    return len(fresh) - 1
+                return -len(ready)
+
+            spelling: list[int] = []
+            ends = [0]
+            for piece in [*(" " + x for x in others), *reversed(firsts)]:
+                for word in tokens(piece):
+                    if (known := codes.get(word)) is None:
+                        codes[word] = known = code(word)
+                    spelling.append(known)
+                ends.append(len(spelling))
+            for at in range(0, len(fresh), ROW):
+                some = fresh[at : at + ROW]
+                flat = pa.array(np.frombuffer(b"".join(some), np.uint8).astype(np.int32))
+                yield row(pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, some)]), pa.int32()), flat))
+            yield row(empty, ids=pa.array(ids, pa.int64()), places=pa.array(rows, pa.binary()), ready=pa.array(ready, pa.binary()),
+                      spelling=np.array(spelling, "<i4").tobytes(), ends=np.array(ends, "<i8").tobytes())
+
+        firsts, others, ids, rows, size = Numbers(), Numbers(), [], [], 0
         for batch in batches:
             for doc, text in zip(batch["i"].to_pylist(), batch["t"].to_pylist(), strict=True):
                 text = text or ""
                 first, *rest = cut(text) if odd(text) else text.split(" ")
-                rows.append(b"".join([place(first), *[place(" " + x) for x in rest]]))
+                rows.append(np.array([*([-1 - firsts[first]] if first else []), *map(others.__getitem__, rest)], "<i4").tobytes())
                 ids.append(doc)
                 size += len(text)
-                if size >= CHUNK or len(places) >= WORDS:
-                    yield chunk()
-                    places, seen, ids, rows, size = {}, {}, [], [], 0
+                if size >= CHUNK or len(others) + len(firsts) >= WORDS:
+                    yield from chunk(firsts, others, ids, rows)
+                    firsts, others, ids, rows, size = Numbers(), Numbers(), [], [], 0
         if ids:
-            yield chunk()
+            yield from chunk(firsts, others, ids, rows)
 
     spelled = {rank: token for token, rank in ranks.items()}
 
     def strung(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
+        names = {rank: str(rank) for rank in spelled}
+        made: list[list[int]] = []
+
+        def documents(batch: pa.RecordBatch, k: int) -> Iterator[pa.RecordBatch]:
+            made.extend(np.frombuffer(x, "<i4").tolist() for x in reversed(batch["ready"][k].as_py()))
+            decimal = [" ".join([names[i] for i in m]) for m in made]
+            plain = [b"".join([spelled[i] for i in m]) for m in made]
+            words = np.frombuffer(batch["spelling"][k].as_py(), "<i4").tolist()
+            ends = np.frombuffer(batch["ends"][k].as_py(), "<i8").tolist()
+            pieces = [words[a:b] for a, b in zip(ends, ends[1:], strict=False)]
+            lines = [decimal[w[0]] if len(w) == 1 else " ".join([decimal[x] for x in w]) for w in pieces]
+            texts = [plain[w[0]] if len(w) == 1 else b"".join([plain[x] for x in w]) for w in pieces]
+            counts = np.array([sum([len(made[x]) for x in w]) for w in pieces], np.int64)
+            raw = [np.array([i for x in w for i in made[x]], "<i4").tobytes() for w in pieces] if with_ids else []
+            made.clear()
+            out: list[list] = [[], [], [], [], []]
+            for doc, row in zip(batch["ids"][k].as_py(), batch["places"][k].as_py(), strict=True):
+                at = np.frombuffer(row, "<i4")
+                each = at.tolist()
+                values = (doc, int(counts[at].sum()), np.frombuffer(b"".join([raw[i] for i in each]), "<i4") if with_ids else None,
+                          hashlib.sha256(" ".join([lines[i] for i in each]).encode()).hexdigest(), hashlib.sha256(b"".join([texts[i] for i in each])).hexdigest())
+                for column, value in zip(out, values, strict=True):
+                    column.append(value)
+                if len(out[0]) >= 5000:
+                    yield _batch(out)
+                    out = [[], [], [], [], []]
+            yield _batch(out)
+
         for batch in batches:
             for k in range(batch.num_rows):
-                made = batch["made"][k].as_py()
-                decimal = [" ".join(map(str, m)) for m in made]
-                plain = [b"".join([spelled[i] for i in m]) for m in made]
-                counts = np.array([len(m) for m in made], np.int64)
-                out: list[list] = [[], [], [], [], []]
-                for doc, row in zip(batch["ids"][k].as_py(), batch["places"][k].as_py(), strict=True):
-                    at = np.frombuffer(row, "<i4")
-                    each = at.tolist()
-                    line = " ".join([decimal[i] for i in each])
-                    values = (doc, int(counts[at].sum()), [i for p in each for i in made[p]] if with_ids else None,
-                              hashlib.sha256(line.encode()).hexdigest(), hashlib.sha256(b"".join([plain[i] for i in each])).hexdigest())
-                    for column, value in zip(out, values, strict=True):
-                        column.append(value)
-                    if len(out[0]) >= 5000:
-                        yield _batch(out)
-                        out = [[], [], [], [], []]
-                yield _batch(out)
+                folded = batch["made"][k]
+                if len(folded):
+                    flat, at = folded.values.flatten().to_numpy().tolist(), [0, *np.cumsum(folded.values.value_lengths().to_numpy()).tolist()]
+                    made.extend([flat[a:b] for a, b in zip(at, at[1:], strict=False)])
+                if batch["ends"][k].is_valid:
+                    yield from documents(batch, k)
 
     def _batch(columns: list[list]) -> pa.RecordBatch:
         types = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.string(), pa.string())
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
 
-    table = RankTable(ranks)
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    chunks = rows.mapInArrow(split, "ids array<long>, places array<binary>, words array<array<long>>")
-    chunks = chunks.select("ids", "places", F.transform("words", lambda w: folded(w, table)).alias("made"))
+    rest = ["ids", "places", "ready", "spelling", "ends"]
+    chunks = rows.mapInArrow(split, "words array<array<int>>, ids array<long>, places array<binary>, ready array<binary>, spelling binary, ends binary")
+    chunks = chunks.select(fold(F.col("words"), RankTable(ranks)).alias("made"), *rest)
     return chunks.mapInArrow(strung, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")
 
 

@@ -225,3 +225,21 @@ def test_stages_take_odd_rows(spark, odd, tmp_path):
             assert out.columns == list(p.COLUMNS), name
         assert stage(spark, docs.where("false"), str(tmp_path)).count() == 0, name
         assert out.count() >= (0 if name.startswith("quality") else 1), name
+
+
+def test_long_words_are_folded_like_the_library(spark):
+    import base64
+    import random
+
+    import tiktoken
+
+    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(path, "rb"))}
+    library = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    rng = random.Random(11)
+    letters = lambda n, of: "".join(rng.choice(of) for _ in range(n))
+    texts = [letters(n, of) for n in (47, 48, 49, 300, 1500) for of in ("abcdefgh", "aab", "日本語文字", "éßñabc")]
+    texts += ["x" * bytebpe.FOLDED, "y" * (bytebpe.FOLDED + 1), letters(bytebpe.FOLDED + 900, "abc"), "ab" * 10_000, " " + letters(700, "0123") + " " + letters(90, "#$%") + "\n\n  " + letters(60, "α ")]
+    got = bytebpe.encode(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), path, public_tokenizers.PATTERN).collect()
+    assert {r.doc_id: r.ids for r in got} == {i: library.encode_ordinary(t) for i, t in enumerate(texts)}
+    assert all(r.n_tokens == len(r.ids) for r in got)

@@ -1,16 +1,18 @@
 """Secret scans with linked credentials.
 
 Three kinds of strong finding are reported wherever they stand: assignments, access identifiers, long hexadecimal
-runs. Weak candidates (opaque tokens, short-named keys, endpoints) say little alone. Identifiers, secrets and
-endpoints of one scope, a run of lines without a blank one, are joined by distance: intervals at most REACH apart
-link, and a weak candidate is reported only when what it links to completes it: a secret needs an identifier or an
-endpoint, an identifier or endpoint needs a secret.
+runs. Weak candidates (opaque tokens, short-named keys, endpoints) say little alone. Scopes are runs of lines without
+a blank one. Identifiers, secrets and endpoints are joined with the scopes that hold them, intervals of both kinds in
+order of their starts, and a weak candidate is reported only when its scope completes it: a secret needs an
+identifier or an endpoint, an identifier or endpoint needs a secret. One sweep over sorted intervals does it, so the
+cost follows the length of the text and the number of parts.
 """
 
 from __future__ import annotations
 
 import bisect
 import hashlib
+import itertools
 import re
 from collections.abc import Iterator
 
@@ -18,8 +20,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Code points between two parts of one credential, at most.
-REACH = 200
 #: Least Shannon entropy, bits a character, of an opaque token.
 ENTROPY = 3.5
 KINDS = ("assign", "access", "hex", "weak_secret", "weak_id", "endpoint")
@@ -65,35 +65,43 @@ def weak_findings(text: str) -> Iterator[tuple[int, int, str]]:
 ROLE = {"assign": "secret", "hex": "secret", "weak_secret": "secret", "access": "id", "weak_id": "id", "endpoint": "endpoint"}
 
 
-def linked(text: str, strong: list[tuple[int, int, str]], weak: list[tuple[int, int, str]], reach: int = REACH) -> list[tuple[int, int, str]]:
-    """The weak candidates that a complementary part of the same scope, within reach, completes. Sorted starts stand
-    for the intervals; scopes are cut at blank lines."""
-    weak = [w for w in weak if not any(s <= w[0] < e or w[0] <= s < w[1] for s, e, _ in strong)] if strong else weak
+COMPLETES = {"secret": {"id", "endpoint"}, "id": {"secret"}, "endpoint": {"secret"}}
+
+
+def outside(weak: list[tuple[int, int, str]], strong: list[tuple[int, int, str]]) -> Iterator[tuple[int, int, str]]:
+    """The weak candidates that overlap no strong finding of their own role: those are the same thing seen again."""
+    for role in COMPLETES:
+        taken = sorted((s, e) for s, e, kind in strong if ROLE[kind] == role)
+        starts, furthest = [s for s, _ in taken], list(itertools.accumulate((e for _, e in taken), max))
+        for s, e, kind in weak:
+            if ROLE[kind] == role:
+                before = bisect.bisect_left(starts, e)  # strong ones that start before this one ends
+                if not before or furthest[before - 1] <= s:
+                    yield s, e, kind
+
+
+def linked(text: str, strong: list[tuple[int, int, str]], weak: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """The weak candidates that complementary parts of their scope complete. A part that runs over a blank line
+    belongs to the scope where it starts."""
+    weak = list(outside(weak, strong))
     if not weak:
         return []
-    blank = [m.start() for m in re.finditer(r"\n[ \t\r]*(?=\n)", text)]
-    scope = lambda at: bisect.bisect_right(blank, at)
-    by_role: dict[str, list[tuple[int, int]]] = {"secret": [], "id": [], "endpoint": []}
+    scopes = iter([*(m.start() for m in re.finditer(r"\n[ \t\r]*(?=\n)", text)), len(text) + 1])
+    end, scope, roles, found = next(scopes), 0, {0: set()}, []
     for s, e, kind in sorted([*strong, *weak]):
-        by_role[ROLE[kind]].append((s, e))
-    longest = max(e - s for s, e, _ in [*strong, *weak])
-    out = []
-    for s, e, kind in weak:
-        others = ("id", "endpoint") if ROLE[kind] == "secret" else ("secret",)
-        for role in others:
-            parts = by_role[role]
-            first, last = bisect.bisect_left(parts, (s - reach - longest,)), bisect.bisect_right(parts, (e + reach, 0))
-            if any(parts[k][1] >= s - reach and scope(parts[k][0]) == scope(s) for k in range(first, last)):
-                out.append((s, e, kind))
-                break
-    return out
+        while s >= end:
+            end, scope = next(scopes), scope + 1
+        roles.setdefault(scope, set()).add(ROLE[kind])
+        found.append((scope, (s, e, kind)))
+    may = set(weak)
+    return [part for scope, part in found if part in may and roles[scope] & COMPLETES[ROLE[part[2]]]]
 
 
 def joined(spans: list[tuple[int, int, str]]) -> str:
     return ",".join(f"{kind}:{s}:{e}" for s, e, kind in sorted(spans, key=lambda x: (x[0], KINDS.index(x[2]), x[1])))
 
 
-def scan(docs: DataFrame, reach: int = REACH, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Rows (doc_id, n_assign, n_access, n_hex, base_sha256, spans, findings), one for each row of docs.
 
     findings lists structs (kind, start, end) in code points, end exclusive; spans is their text form. A null text
@@ -111,7 +119,7 @@ def scan(docs: DataFrame, reach: int = REACH, *, id_col: str = "doc_id", text_co
                 for column, kind in zip(counts, KINDS, strict=False):
                     column.append(sum(k == kind for _, _, k in base))
                 digests.append(hashlib.sha256(joined(base).encode()).hexdigest())
-                every = base + linked(text, base, list(weak_findings(text)), reach)
+                every = base + linked(text, base, list(weak_findings(text)))
                 spans.append(joined(every))
                 findings.append([{"kind": k, "start": s, "end": e} for s, e, k in sorted(every)])
             yield pa.RecordBatch.from_arrays(

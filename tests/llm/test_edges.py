@@ -145,6 +145,35 @@ def test_linked_secrets():
     spans = lambda t: {k for _, _, k in secrets.linked(t, list(secrets.base_findings(t)), list(secrets.weak_findings(t)))}
     assert spans(near) == {"weak_secret", "weak_id"} and not spans(alone) and not spans(far)
     assert spans(f"https://host.example/x {key}") == {"endpoint", "weak_secret"}
+    assert spans(f"https://host.example/x\n{'words of the block ' * 40}\n{key}") == {"endpoint", "weak_secret"}
+    assert spans("https://host.example/x?token=abcdef1") == {"endpoint"}
+
+
+def test_linking_matches_all_pairs():
+    import random
+    import re
+
+    rng = random.Random(4)
+    parts = ["user = admin", "https://host.example/x", "Zx9aB3dE5fG7hJ2kL4mN6pQ8r", "password = hunter22", "AKIA" + "Q7" * 9, "0a1b" * 8, "plain words", "", "  ", "https://h.example/?token=abcdef1"]
+    for _ in range(300):
+        text = "\n".join(rng.choice(parts) for _ in range(rng.randint(1, 14)))
+        strong, weak = list(secrets.base_findings(text)), list(secrets.weak_findings(text))
+        scope = lambda at, t=text: len([m for m in re.finditer(r"\n[ \t\r]*(?=\n)", t) if m.start() <= at])
+        over = lambda a, b: a[0] < b[1] and b[0] < a[1] and secrets.ROLE[a[2]] == secrets.ROLE[b[2]]
+        weak_left = [w for w in weak if not any(over(w, x) for x in strong)]
+        want = [w for w in weak_left if any(scope(w[0]) == scope(o[0]) and secrets.ROLE[o[2]] in secrets.COMPLETES[secrets.ROLE[w[2]]] for o in [*strong, *weak_left])]
+        assert sorted(secrets.linked(text, strong, weak)) == sorted(want)
+
+
+def test_secrets_in_a_long_text_take_seconds():
+    import time
+
+    block = "user = admin\npassword = hunter22 https://host.example/x Zx9aB3dE5fG7hJ2kL4mN6pQ8r AKIA" + "Q7" * 9 + "\n"
+    text = block * (5_000_000 // len(block)) + "=" * 50_000 + "a" * 50_000 + " " * 50_000
+    began = time.process_time()
+    strong = list(secrets.base_findings(text))
+    assert len(secrets.linked(text, strong, list(secrets.weak_findings(text)))) > 100_000
+    assert time.process_time() - began < 15
 
 
 def test_surrogates_are_consistent_and_distinct(spark):

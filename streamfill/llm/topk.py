@@ -16,19 +16,19 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-#: Rows in a block of candidates and in a batch of queries, on average; they bound a task's memory.
-BLOCK, BATCH = 8192, 1024
+#: Components in a block of candidates and in a batch of queries, on average; they bound a task's memory.
+BLOCK, BATCH = 1 << 22, 1 << 20
 #: Queries and candidates whose scores are held at once.
 TILE = (64, 4096)
-#: Rounded components are held within this range, far from any overflow of a score.
-LARGEST = 1 << 27
 
 
 def quantised(vector: Column, scale: int = 256) -> Column:
-    """floor(scale * x) of each component; null for a vector that is null, empty, or has a component that is null or not finite."""
+    """floor(scale * x) of each component, as a long; null for a vector that is null, empty, or has a component that is
+    null or not finite. A component beyond 64 bits raises an error."""
     bad = F.exists(vector, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == F.lit(float("inf"))))
-    bounded = F.transform(vector, lambda x: F.greatest(F.lit(-LARGEST), F.least(F.lit(LARGEST), F.floor(x.cast("double") * scale))).cast("int"))
-    return F.when(~bad & (F.size(vector) > 0), bounded)
+    whole = F.transform(vector, lambda x: F.floor(x.cast("double") * scale))
+    most = F.array_max(F.transform(vector, lambda x: F.abs(x.cast("double") * scale)))
+    return F.when(~bad & (F.size(vector) > 0), F.when(most < float(1 << 63), whole).otherwise(F.raise_error(F.lit("a scaled component does not fit into 64 bits")).cast("array<bigint>")))
 
 
 def postings(block: np.ndarray) -> list[tuple[np.ndarray | None, np.ndarray]]:
@@ -54,12 +54,15 @@ def best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
 
 def score_block(q_ids: np.ndarray, q: np.ndarray, c_ids: np.ndarray, c: np.ndarray, k: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(query's place, places of its k best candidates here, their scores); a candidate with the query's id is left out."""
+    largest = [max(map(abs, (int(x.min(initial=0)), int(x.max(initial=0))))) for x in (q, c)]
+    if largest[0] * largest[1] * c.shape[1] >= 1 << 63:
+        q, c = q.astype(object), c.astype(object)  # whole numbers of any size: slow, and exact
     for start in range(0, len(c_ids), TILE[1]):
         ids = c_ids[start : start + TILE[1]]
         lists = postings(c[start : start + TILE[1]])
         for first in range(0, len(q_ids), TILE[0]):
             some = q[first : first + TILE[0]]
-            scores = np.zeros((len(some), len(ids)), dtype=np.int64)
+            scores = np.zeros((len(some), len(ids)), dtype=c.dtype)
             for d, (rows, weights) in enumerate(lists):
                 using = np.flatnonzero(some[:, d])
                 if not len(using) or not len(weights):
@@ -88,19 +91,21 @@ def _matrix(column: pa.ChunkedArray, width: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(-1, width)
 
 
-def top_k(vectors: DataFrame, is_query: Column, k: int = 5, *, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 256, block: int = BLOCK, batch: int = BATCH) -> DataFrame:
+def top_k(vectors: DataFrame, is_query: Column, k: int = 5, *, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 256, block: int | None = None, batch: int | None = None) -> DataFrame:
     """Rows (query_id, rank, vec_id, score): for each query row its k best other rows, ties to the smaller vec_id.
 
     Vectors that are null, empty or hold null or non-finite components take no part, nor do rows with a null id.
     Vectors are compared with those of their own length. A row is never its query's candidate if it has the
-    query's id; where an id repeats, rows alike count once as query and each as candidate. Components beyond
-    +-2^27 after scaling count as that. An empty table gives an empty result; other columns are ignored.
+    query's id; where an id repeats, rows alike count once as query and each as candidate. Scores are exact; a
+    component, or a score among the k best, beyond 64 bits raises an error. An empty table gives an empty result;
+    other columns are ignored.
     """
     all_rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), quantised(F.col(vector_col), scale).alias("code"), is_query.alias("asks"))
     rows = all_rows.where("vec_id is not null and code is not null").withColumn("width", F.size("code"))
     asked = rows.where("asks").select(F.col("vec_id").alias("query_id"), "code", "width").distinct()
-    n, m = rows.count(), asked.count()
-    blocks, batches = max(1, math.ceil(n / block)), max(1, math.ceil(m / batch))
+    n, widest = rows.agg(F.count("*"), F.max("width")).first()
+    blocks = max(1, math.ceil(n / (block or max(64, BLOCK // (widest or 1)))))
+    batches = max(1, math.ceil(asked.count() / (batch or max(64, BATCH // (widest or 1)))))
     to_all = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))
     left = rows.select("vec_id", "code", "width", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)).alias("b"), to_all(batches).alias("q"))
     right = asked.select("query_id", F.xxhash64("code").alias("twin"), "code", "width", to_all(blocks).alias("b"), F.pmod(F.xxhash64("query_id", F.lit(2)), F.lit(batches)).alias("q"))
@@ -114,7 +119,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, *, id_col: str = "ve
         q = _matrix(queries["code"], width)
         twin = queries["twin"].to_numpy()
         found = [(np.full(len(at), q_ids[i]), np.full(len(at), twin[i]), c_ids[at], s) for i, at, s in score_block(q_ids, q, c_ids, _matrix(candidates["code"], width), k)]
-        return pa.table({x: np.concatenate(y).astype(np.int64) for x, y in zip(("query_id", "twin", "vec_id", "score"), zip(*found, strict=True), strict=True)})
+        return pa.table({x: pa.array(np.concatenate(y).tolist() if y[0].dtype == object else np.concatenate(y), pa.int64()) for x, y in zip(("query_id", "twin", "vec_id", "score"), zip(*found, strict=True), strict=True)})
 
     keys = ["b", "q", "width"]
     picks = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(scored, "query_id long, twin long, vec_id long, score long")

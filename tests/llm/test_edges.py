@@ -138,6 +138,23 @@ def test_top_k_edges(spark):
     assert topk.top_k(df.where("vec_id = 0"), F.col("vec_id") % 50 == 0, 3).count() == 0
 
 
+def test_top_k_large_components(spark):
+    rows = [(0, [1.0, -2.0]), (1, [1e6, 0.0]), (2, [1.1e6, 0.0]), (3, [1e7, 5e6 - 32]), (4, [1e7, 5e6]), (50, [3e6, -3e6])]
+    code = {i: [int(256 * x) for x in v] for i, v in rows}
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = [(r.query_id, r.rank, r.vec_id, r.score) for r in topk.top_k(df, F.col("vec_id") % 50 == 0, 3, block=2, batch=1).collect()]
+    want = []
+    for q in (0, 50):
+        score = {i: sum(a * b for a, b in zip(code[q], c, strict=True)) for i, c in code.items() if i != q}
+        want += [(q, k, i, score[i]) for k, i in enumerate(sorted(score, key=lambda i: (-score[i], i))[:3], 1)]
+    assert sorted(got) == sorted(want)
+    near = [(0, [2.0**40]), (1, [2.0**41]), (2, [-(2.0**41)])]  # products beyond 64 bits
+    with pytest.raises(Exception, match="OverflowError|too large|too big|out of bounds|overflow"):
+        topk.top_k(spark.createDataFrame(near, "vec_id long, embedding array<double>"), F.col("vec_id") == 0, 1).collect()
+    with pytest.raises(Exception, match="64 bits"):
+        topk.top_k(spark.createDataFrame([(0, [1e30]), (1, [1.0])], "vec_id long, embedding array<double>"), F.col("vec_id") == 0, 1).collect()
+
+
 def test_linked_secrets():
     key = "Zx9" + "aB3dE5fG7hJ2kL4mN6pQ8r"
     near, alone = f"user = admin\nkey {key}\n", f"text {key} more"

@@ -27,8 +27,14 @@ from pyspark.sql import functions as F
 
 from .tokens import merge
 
-#: Bytes of text and different words in a chunk, about; they bound a task's memory.
-CHUNK, WORDS = 32_000_000, 400_000
+#: Characters of text in a chunk, about; they bound a task's memory.
+CHUNK = 16_000_000
+#: Pieces of documents that are strung together at a time, about.
+TAKEN = 1 << 20
+#: What is sent beside a chunk's words, and how it is written as bytes.
+BLOBS = {"state": "i1", "ready": "<i4", "heap": "<i4", "heap_sizes": "<i8", "codes": "<i4", "counts": "<i8", "places": "<i4", "lengths": "<i8"}
+#: States of a word that is not folded: a token itself, or too long.
+READY, HEAP = 1, 2
 #: Words in a row that is folded.
 ROW = 4096
 #: Bits of a symbol or rank, and of a place, in a pair's number.
@@ -171,124 +177,151 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
+        import pyarrow.compute as pc
         import regex
 
         tokens = regex.compile(pattern).findall
         cut, odd = re.compile(r"(?<=\S) ").split, re.compile(r"\s ").search
-
-        class Numbers(dict):
-            """Numbers its keys as they come."""
-
-            def __missing__(self, key: str) -> int:
-                self[key] = n = len(self)
-                return n
+        known, ids_known = pa.array([*ranks], pa.large_binary()), pa.array([*ranks.values()], pa.int32())
 
         def row(words: pa.Array, **rest) -> pa.RecordBatch:
             whole = lambda x: pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x)
-            none = {"ids": pa.array([], pa.int64()), "places": pa.array([], pa.binary()), "ready": pa.array([], pa.binary())} | rest
-            blobs = [pa.array([rest.get(k)], pa.binary()) for k in ("spelling", "ends")]
-            return pa.RecordBatch.from_arrays([whole(words), *(whole(none[k]) for k in ("ids", "places", "ready")), *blobs], names=["words", "ids", "places", "ready", "spelling", "ends"])
-
-        empty = pa.array([], pa.list_(pa.int32()))
-
-        def chunk(firsts: Numbers, others: Numbers, ids: list, rows: list[bytes]) -> Iterator[pa.RecordBatch]:
-            """The different words to fold, some thousands a row; then a row of the rest: the ids of words that need no
-            fold, what words the pieces consist of, and the documents as pieces. Numbers below zero count from the end:
-            of words, those without a fold; of pieces, those that start a text."""
-            codes: dict[str, int] = {}
-            fresh: list[bytes] = []
-            ready: list[bytes] = []
-
-            def code(word: str) -> int:
-                raw = word.encode()
-                if raw in ranks:
-                    ready.append(np.array([ranks[raw]], "<i4").tobytes())
-                elif len(raw) > FOLDED:
-                    ready.append(np.array([ranks[s] for s in merge([raw[i : i + 1] for i in range(len(raw))], ranks.get)], "<i4").tobytes())
-                else:
-                    fresh.append(raw)
-                    return len(fresh) - 1
-                return -len(ready)
-
-            spelling: list[int] = []
-            ends = [0]
-            for piece in [*(" " + x for x in others), *reversed(firsts)]:
-                for word in tokens(piece):
-                    if (known := codes.get(word)) is None:
-                        codes[word] = known = code(word)
-                    spelling.append(known)
-                ends.append(len(spelling))
+            blob = lambda k: pa.array([rest[k].tobytes() if k in rest else None], pa.binary())
+            return pa.RecordBatch.from_arrays([whole(words), whole(rest.get("ids", pa.array([], pa.int64()))), *map(blob, BLOBS)], names=["words", "ids", *BLOBS])
+
+        def spell(rests: pa.Array, firsts: list[str]) -> tuple[pa.Array, np.ndarray]:
+            """(the words of all pieces, how many each has) for what stands behind a space, and then for what starts a
+            text. Pieces without a space inside or white space at the end are matched in one go: a word that starts
+            with a space then starts a piece."""
+            plain = ~pc.or_(pc.match_substring(rests, " "), pc.not_equal(rests, pc.utf8_rtrim_whitespace(rests))).to_numpy(zero_copy_only=False)
+            plain &= pc.utf8_length(rests).to_numpy() > 0
+            words = tokens("".join([" " + x for x in rests.filter(pa.array(plain)).to_pylist()]))
+            begins = [k for k, w in enumerate(words) if w[0] == " "]
+            if len(begins) != plain.sum():
+                raise ValueError("the pattern matches across the start of a piece")
+            counts = np.zeros(len(rests) + len(firsts), np.int64)
+            counts[np.flatnonzero(plain)] = np.diff([*begins, len(words)])
+            others = [(int(k), tokens(" " + rests[int(k)].as_py())) for k in np.flatnonzero(~plain)]
+            others += [(len(rests) + k, tokens(x)) for k, x in enumerate(firsts)]
+            ends, parts, last = np.concatenate([[0], np.cumsum(counts)]), [], 0
+            for k, own in others:
+                parts += [words[last : ends[k]], own]
+                last, counts[k] = ends[k], len(own)
+            return pa.array([w for part in [*parts, words[last:]] for w in part], pa.large_string()), counts
+
+        def chunk(ids: list, texts: list[str], odd_ids: list, odd_texts: list[str]) -> Iterator[pa.RecordBatch]:
+            """The different words to fold, some thousands a row; then a row of the rest: ids of the words that need no
+            fold and places of the others, what words the pieces consist of, and the documents as pieces."""
+            parts = [pc.split_pattern(pa.array(texts, pa.large_string()), " "), pa.array([cut(t) for t in odd_texts], pa.large_list(pa.large_string()))]
+            lengths = np.concatenate([pc.list_value_length(x).to_numpy() for x in parts]).astype(np.int64)
+            flat, starts = pa.concat_arrays([x.flatten() for x in parts]), np.cumsum(lengths) - lengths
+            behind = np.ones(len(flat), bool)
+            behind[starts] = False
+            rests = flat.filter(pa.array(behind)).dictionary_encode()
+            heads = flat.take(pa.array(starts))
+            filled = pc.greater(pc.binary_length(heads), 0).to_numpy(zero_copy_only=False)  # before a first space is no piece
+            heads = heads.dictionary_encode()
+            places = np.empty(len(flat), np.int32)
+            places[behind], places[starts] = rests.indices.to_numpy(), heads.indices.to_numpy() + len(rests.dictionary)
+            behind[starts] = filled  # from here on: what counts
+            places, lengths = places[behind], lengths - ~filled
+            spelled, counts = spell(rests.dictionary, heads.dictionary.to_pylist())
+            ids = [*ids, *odd_ids]
+            del parts, flat, rests, heads
+            coded = spelled.dictionary_encode()
+            words, codes = coded.dictionary.cast(pa.large_binary()), coded.indices.to_numpy()
+            found = pc.index_in(words, known)
+            sizes = pc.binary_length(words).to_numpy()
+            state = np.where(found.is_valid().to_numpy(zero_copy_only=False), READY, np.where(sizes > FOLDED, HEAP, 0))
+            fresh = words.filter(pa.array(state == 0))
             for at in range(0, len(fresh), ROW):
-                some = fresh[at : at + ROW]
-                flat = pa.array(np.frombuffer(b"".join(some), np.uint8).astype(np.int32))
-                yield row(pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, some)]), pa.int32()), flat))
-            yield row(empty, ids=pa.array(ids, pa.int64()), places=pa.array(rows, pa.binary()), ready=pa.array(ready, pa.binary()),
-                      spelling=np.array(spelling, "<i4").tobytes(), ends=np.array(ends, "<i8").tobytes())
-
-        firsts, others, ids, rows, size = Numbers(), Numbers(), [], [], 0
+                some = fresh.slice(at, ROW).cast(pa.binary())
+                flat = np.frombuffer(b"".join(some.to_pylist()), np.uint8).astype(np.int32)
+                yield row(pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.binary_length(some).to_numpy())]), pa.int32()), pa.array(flat)))
+            long_words = [[ranks[x] for x in merge([w[i : i + 1] for i in range(len(w))], ranks.get)] for w in words.filter(pa.array(state == HEAP)).to_pylist()]
+            ready = pc.take(ids_known, found.drop_null()).to_numpy()
+            yield row(
+                pa.array([], pa.list_(pa.int32())), ids=pa.array(ids, pa.int64()), state=state.astype("i1"), ready=ready.astype("<i4"),
+                heap=np.array([i for w in long_words for i in w], "<i4"), heap_sizes=np.array([len(w) for w in long_words], "<i8"),
+                codes=codes.astype("<i4"), counts=counts.astype("<i8"), places=places.astype("<i4"), lengths=lengths.astype("<i8"),
+            )
+
+        held: tuple[list, list, list, list] = ([], [], [], [])
+        size = 0
         for batch in batches:
             for doc, text in zip(batch["i"].to_pylist(), batch["t"].to_pylist(), strict=True):
                 text = text or ""
-                first, *rest = cut(text) if odd(text) else text.split(" ")
-                rows.append(np.array([*([-1 - firsts[first]] if first else []), *map(others.__getitem__, rest)], "<i4").tobytes())
-                ids.append(doc)
+                way = 2 if odd(text) else 0  # a space after white space is no place to cut
+                held[way].append(doc)
+                held[way + 1].append(text)
                 size += len(text)
-                if size >= CHUNK or len(others) + len(firsts) >= WORDS:
-                    yield from chunk(firsts, others, ids, rows)
-                    firsts, others, ids, rows, size = Numbers(), Numbers(), [], [], 0
-        if ids:
-            yield from chunk(firsts, others, ids, rows)
-
-    spelled = {rank: token for token, rank in ranks.items()}
+                if size >= CHUNK:
+                    yield from chunk(*held)
+                    held, size = ([], [], [], []), 0
+        if held[0] or held[2]:
+            yield from chunk(*held)
 
     def strung(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
-
-        names = {rank: str(rank) for rank in spelled}
-        made: list[list[int]] = []
-
-        def documents(batch: pa.RecordBatch, k: int) -> Iterator[pa.RecordBatch]:
-            made.extend(np.frombuffer(x, "<i4").tolist() for x in reversed(batch["ready"][k].as_py()))
-            decimal = [" ".join([names[i] for i in m]) for m in made]
-            plain = [b"".join([spelled[i] for i in m]) for m in made]
-            words = np.frombuffer(batch["spelling"][k].as_py(), "<i4").tolist()
-            ends = np.frombuffer(batch["ends"][k].as_py(), "<i8").tolist()
-            pieces = [words[a:b] for a, b in zip(ends, ends[1:], strict=False)]
-            lines = [decimal[w[0]] if len(w) == 1 else " ".join([decimal[x] for x in w]) for w in pieces]
-            texts = [plain[w[0]] if len(w) == 1 else b"".join([plain[x] for x in w]) for w in pieces]
-            counts = np.array([sum([len(made[x]) for x in w]) for w in pieces], np.int64)
-            raw = [np.array([i for x in w for i in made[x]], "<i4").tobytes() for w in pieces] if with_ids else []
-            made.clear()
-            out: list[list] = [[], [], [], [], []]
-            for doc, row in zip(batch["ids"][k].as_py(), batch["places"][k].as_py(), strict=True):
-                at = np.frombuffer(row, "<i4")
-                each = at.tolist()
-                values = (doc, int(counts[at].sum()), np.frombuffer(b"".join([raw[i] for i in each]), "<i4") if with_ids else None,
-                          hashlib.sha256(" ".join([lines[i] for i in each]).encode()).hexdigest(), hashlib.sha256(b"".join([texts[i] for i in each])).hexdigest())
-                for column, value in zip(out, values, strict=True):
-                    column.append(value)
-                if len(out[0]) >= 5000:
-                    yield _batch(out)
-                    out = [[], [], [], [], []]
-            yield _batch(out)
-
+        import pyarrow.compute as pc
+
+        top = max(ranks.values()) + 1
+        by_id: list[bytes] = [b""] * top
+        for token, rank in ranks.items():
+            by_id[rank] = token
+        names, tokens = (pa.array(x, pa.large_binary()) for x in ([str(k).encode() for k in range(top)], by_id))
+
+        def joined(values: pa.Array, at: np.ndarray, sizes: np.ndarray, sign: bytes) -> pa.Array:
+            """The values at the places, so many at a time strung together."""
+            ends = np.concatenate([[0], np.cumsum(sizes)])
+            return pc.binary_join(pa.LargeListArray.from_arrays(pa.array(ends), values.take(pa.array(at))), pa.scalar(sign, pa.large_binary()))
+
+        def ragged(values: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+            """values[start : start + size] of each, one after another."""
+            ends = np.cumsum(sizes)
+            return values[np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)]
+
+        def documents(batch: pa.RecordBatch, k: int, flat: np.ndarray, sizes: np.ndarray) -> Iterator[pa.RecordBatch]:
+            get = {name: np.frombuffer(batch[name][k].as_py(), kind) for name, kind in BLOBS.items()}
+            # words in their order: folded, ready, and from the heap
+            order = np.concatenate([np.flatnonzero(get["state"] == s) for s in (0, READY, HEAP)])
+            made = np.concatenate([flat, get["ready"], get["heap"]])
+            n_ids = np.concatenate([sizes, np.ones(len(get["ready"]), np.int64), get["heap_sizes"]])
+            starts, width = np.empty_like(n_ids), np.empty_like(n_ids)
+            starts[order], width[order] = np.cumsum(n_ids) - n_ids, n_ids
+            word_ids = ragged(made, starts, width)
+            codes, counts = get["codes"], get["counts"]
+            own_width = width[codes]
+            edges = np.concatenate([[0], np.cumsum(own_width)])[np.concatenate([[0], np.cumsum(counts)])]
+            piece_width, piece_start = np.diff(edges), edges[:-1]
+            piece_ids = ragged(word_ids, (np.cumsum(width) - width)[codes], own_width)
+            lines, texts = joined(names, piece_ids, piece_width, b" "), joined(tokens, piece_ids, piece_width, b"")
+            ids, lengths = batch["ids"].values.slice(batch["ids"].offsets[k].as_py(), len(get["lengths"])), get["lengths"]
+            ends, first = np.concatenate([[0], np.cumsum(lengths)]), 0
+            while first < len(lengths):
+                last = max(first + 1, int(np.searchsorted(ends, ends[first] + TAKEN, "right")) - 1)
+                at, n = get["places"][ends[first] : ends[last]], lengths[first:last]
+                own = piece_width[at]
+                totals = np.diff(np.concatenate([[0], np.cumsum(own)])[np.concatenate([[0], np.cumsum(n)])])
+                each = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(totals)]), pa.int32()), pa.array(ragged(piece_ids, piece_start[at], own), pa.int32())) if with_ids else pa.nulls(len(n), pa.list_(pa.int32()))
+                digests = [pa.array([hashlib.sha256(x.as_buffer()).hexdigest() for x in joined(of, at, n, sign)], pa.string()) for of, sign in ((lines, b" "), (texts, b""))]
+                yield pa.RecordBatch.from_arrays([ids.slice(first, last - first), pa.array(totals, pa.int64()), each, *digests], names=["doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
+                first = last
+
+        held: list[pa.Array] = []
         for batch in batches:
             for k in range(batch.num_rows):
-                folded = batch["made"][k]
-                if len(folded):
-                    flat, at = folded.values.flatten().to_numpy().tolist(), [0, *np.cumsum(folded.values.value_lengths().to_numpy()).tolist()]
-                    made.extend([flat[a:b] for a, b in zip(at, at[1:], strict=False)])
-                if batch["ends"][k].is_valid:
-                    yield from documents(batch, k)
-
-    def _batch(columns: list[list]) -> pa.RecordBatch:
-        types = (pa.int64(), pa.int64(), pa.list_(pa.int32()), pa.string(), pa.string())
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], names=["doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
+                if len(folded := batch["made"][k]):
+                    held.append(folded.values)
+                if batch["state"][k].is_valid:
+                    sizes = np.concatenate([np.zeros(0, np.int64), *[pc.list_value_length(x).to_numpy() for x in held]])
+                    flat = np.concatenate([np.zeros(0, np.int32), *[x.flatten().to_numpy() for x in held]])
+                    held = []
+                    yield from documents(batch, k, flat, sizes.astype(np.int64))
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    rest = ["ids", "places", "ready", "spelling", "ends"]
-    chunks = rows.mapInArrow(split, "words array<array<int>>, ids array<long>, places array<binary>, ready array<binary>, spelling binary, ends binary")
-    chunks = chunks.select(fold(F.col("words"), RankTable(ranks)).alias("made"), *rest)
+    chunks = rows.mapInArrow(split, "words array<array<int>>, ids array<long>, " + ", ".join(f"{name} binary" for name in BLOBS))
+    chunks = chunks.select(fold(F.col("words"), RankTable(ranks)).alias("made"), "ids", *BLOBS)
     return chunks.mapInArrow(strung, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")
 
 

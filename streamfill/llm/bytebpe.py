@@ -8,8 +8,8 @@ and a merge changes the two numbers beside it.
 
 Words are found, and their ids put together again, in Arrow batches: a task turns its documents into chunks and sends
 a chunk's different words on, some thousands in a row, and then a row with the documents as lists of places among
-them; the fold runs row by row; then a document's ids and the bytes they stand for are strung together. Nothing is
-shuffled, and order within a partition is all that joins the two.
+them. Rows are dealt by chunk, so that a task has one Python process at a time; the fold runs row by row; then a
+document's ids and the bytes they stand for are strung together. Texts are not shuffled.
 """
 
 from __future__ import annotations
@@ -18,7 +18,6 @@ import base64
 import hashlib
 import json
 import random
-import re
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -27,10 +26,6 @@ from pyspark.sql import functions as F
 
 from .tokens import merge
 
-#: Characters of text in a chunk, about; they bound a task's memory.
-CHUNK = 16_000_000
-#: Pieces of documents that are strung together at a time, about.
-TAKEN = 1 << 20
 #: What is sent beside a chunk's words, and how it is written as bytes.
 BLOBS = {"state": "i1", "ready": "<i4", "heap": "<i4", "heap_sizes": "<i8", "codes": "<i4", "counts": "<i8", "places": "<i4", "lengths": "<i8"}
 #: States of a word that is not folded: a token itself, or too long.
@@ -150,8 +145,9 @@ def fold(words: Column, table: RankTable) -> Column:
             found = lambda best: bound(F.array_position(pairs, best).cast("int"), lambda i: merged(pairs, best, i))
             return bound(F.array_min(pairs), lambda best: F.when(best < long(NO_RANK << rank_at), found(best)).otherwise(pairs))
 
-        inner = F.transform(F.sequence(F.lit(0), F.size(word) - 2), lambda i: F.get(first, F.get(word, i) * 256 + F.get(word, i + 1)).bitwiseOR(F.shiftleft((i + 1).cast("long"), 2 * SYMBOL_BITS)))
-        start = F.concat(F.array(F.get(head, F.get(word, F.lit(0)))), inner, F.array(F.get(last, F.get(word, F.size(word) - 1))))
+        byte = lambda i: F.get(word, i).cast("int").bitwiseAND(255)
+        inner = F.transform(F.sequence(F.lit(0), F.size(word) - 2), lambda i: F.get(first, byte(i) * 256 + byte(i + 1)).bitwiseOR(F.shiftleft((i + 1).cast("long"), 2 * SYMBOL_BITS)))
+        start = F.concat(F.array(F.get(head, byte(F.lit(0)))), inner, F.array(F.get(last, byte(F.size(word) - 1))))
         turns = F.slice(word, F.lit(2), F.size(word))  # a merge less than bytes
         return F.aggregate(turns, start, lambda pairs, _: step(pairs), lambda pairs: F.transform(F.slice(pairs, F.lit(1), F.size(pairs) - 1), lambda x: right(x).cast("int")))
 
@@ -179,92 +175,65 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
         import numpy as np
         import pyarrow.compute as pc
         import regex
+        from pyspark import TaskContext
+
+        from .pieces import chunks
 
         tokens = regex.compile(pattern).findall
-        cut, odd = re.compile(r"(?<=\S) ").split, re.compile(r"\s ").search
         known, ids_known = pa.array([*ranks], pa.large_binary()), pa.array([*ranks.values()], pa.int32())
+        squeeze = pa.Codec("zstd", 1).compress
+        own_number = TaskContext.get().partitionId() << 33
 
-        def row(words: pa.Array, **rest) -> pa.RecordBatch:
+        def row(chunk: int, at: int, words: pa.Array, ids: pa.Array = pa.array([], pa.int64()), **blobs) -> pa.RecordBatch:  # noqa: B008
             whole = lambda x: pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x)
-            blob = lambda k: pa.array([rest[k].tobytes() if k in rest else None], pa.binary())
-            return pa.RecordBatch.from_arrays([whole(words), whole(rest.get("ids", pa.array([], pa.int64()))), *map(blob, BLOBS)], names=["words", "ids", *BLOBS])
-
-        def spell(rests: pa.Array, firsts: list[str]) -> tuple[pa.Array, np.ndarray]:
-            """(the words of all pieces, how many each has) for what stands behind a space, and then for what starts a
-            text. Pieces without a space inside or white space at the end are matched in one go: a word that starts
-            with a space then starts a piece."""
-            plain = ~pc.or_(pc.match_substring(rests, " "), pc.not_equal(rests, pc.utf8_rtrim_whitespace(rests))).to_numpy(zero_copy_only=False)
-            plain &= pc.utf8_length(rests).to_numpy() > 0
-            words = tokens("".join([" " + x for x in rests.filter(pa.array(plain)).to_pylist()]))
+            packed = []
+            for name, kind in BLOBS.items():
+                raw = np.asarray(blobs[name], kind).tobytes() if blobs else None
+                packed.append(pa.array([raw and len(raw).to_bytes(8, "little") + squeeze(raw, asbytes=True) or raw], pa.binary()))
+            return pa.RecordBatch.from_arrays([pa.array([own_number | chunk]), pa.array([at], pa.int32()), whole(words), whole(ids), *packed], names=["chunk", "at", "words", "ids", *BLOBS])
+
+        def spelled(chunk) -> tuple[pa.Array, np.ndarray]:
+            """(the words of all pieces, how many each has). Plain pieces are matched in one go: a word that starts with
+            a space then starts a piece."""
+            plain = chunk.plain()
+            words = tokens("".join([" " + x for x in chunk.rests.filter(pa.array(plain)).to_pylist()]))
             begins = [k for k, w in enumerate(words) if w[0] == " "]
             if len(begins) != plain.sum():
                 raise ValueError("the pattern matches across the start of a piece")
-            counts = np.zeros(len(rests) + len(firsts), np.int64)
+            counts = np.zeros(len(plain) + len(chunk.heads), np.int64)
             counts[np.flatnonzero(plain)] = np.diff([*begins, len(words)])
-            others = [(int(k), tokens(" " + rests[int(k)].as_py())) for k in np.flatnonzero(~plain)]
-            others += [(len(rests) + k, tokens(x)) for k, x in enumerate(firsts)]
+            others = [(k, tokens(" " + chunk.rests[k].as_py())) for k in np.flatnonzero(~plain).tolist()]
+            others += [(len(plain) + k, tokens(x)) for k, x in enumerate(chunk.heads)]
             ends, parts, last = np.concatenate([[0], np.cumsum(counts)]), [], 0
             for k, own in others:
                 parts += [words[last : ends[k]], own]
                 last, counts[k] = ends[k], len(own)
             return pa.array([w for part in [*parts, words[last:]] for w in part], pa.large_string()), counts
 
-        def chunk(ids: list, texts: list[str], odd_ids: list, odd_texts: list[str]) -> Iterator[pa.RecordBatch]:
-            """The different words to fold, some thousands a row; then a row of the rest: ids of the words that need no
-            fold and places of the others, what words the pieces consist of, and the documents as pieces."""
-            parts = [pc.split_pattern(pa.array(texts, pa.large_string()), " "), pa.array([cut(t) for t in odd_texts], pa.large_list(pa.large_string()))]
-            lengths = np.concatenate([pc.list_value_length(x).to_numpy() for x in parts]).astype(np.int64)
-            flat, starts = pa.concat_arrays([x.flatten() for x in parts]), np.cumsum(lengths) - lengths
-            behind = np.ones(len(flat), bool)
-            behind[starts] = False
-            rests = flat.filter(pa.array(behind)).dictionary_encode()
-            heads = flat.take(pa.array(starts))
-            filled = pc.greater(pc.binary_length(heads), 0).to_numpy(zero_copy_only=False)  # before a first space is no piece
-            heads = heads.dictionary_encode()
-            places = np.empty(len(flat), np.int32)
-            places[behind], places[starts] = rests.indices.to_numpy(), heads.indices.to_numpy() + len(rests.dictionary)
-            behind[starts] = filled  # from here on: what counts
-            places, lengths = places[behind], lengths - ~filled
-            spelled, counts = spell(rests.dictionary, heads.dictionary.to_pylist())
-            ids = [*ids, *odd_ids]
-            del parts, flat, rests, heads
-            coded = spelled.dictionary_encode()
+        for number, chunk in enumerate(chunks(batches)):
+            words, counts = spelled(chunk)
+            coded = words.dictionary_encode()
             words, codes = coded.dictionary.cast(pa.large_binary()), coded.indices.to_numpy()
             found = pc.index_in(words, known)
-            sizes = pc.binary_length(words).to_numpy()
-            state = np.where(found.is_valid().to_numpy(zero_copy_only=False), READY, np.where(sizes > FOLDED, HEAP, 0))
-            fresh = words.filter(pa.array(state == 0))
-            for at in range(0, len(fresh), ROW):
-                some = fresh.slice(at, ROW).cast(pa.binary())
-                flat = np.frombuffer(b"".join(some.to_pylist()), np.uint8).astype(np.int32)
-                yield row(pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.binary_length(some).to_numpy())]), pa.int32()), pa.array(flat)))
-            long_words = [[ranks[x] for x in merge([w[i : i + 1] for i in range(len(w))], ranks.get)] for w in words.filter(pa.array(state == HEAP)).to_pylist()]
-            ready = pc.take(ids_known, found.drop_null()).to_numpy()
+            state = np.where(found.is_valid().to_numpy(zero_copy_only=False), READY, np.where(pc.binary_length(words).to_numpy() > FOLDED, HEAP, 0))
+            fresh, rows = words.filter(pa.array(state == 0)), 0
+            for rows, at in enumerate(range(0, len(fresh), ROW), 1):
+                some = fresh.slice(at, ROW)
+                flat = pa.array(np.frombuffer(b"".join(some.to_pylist()), np.int8))
+                yield row(number, rows - 1, pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(pc.binary_length(some).to_numpy())]), pa.int32()), flat))
+            heap = [[ranks[x] for x in merge([w[i : i + 1] for i in range(len(w))], ranks.get)] for w in words.filter(pa.array(state == HEAP)).to_pylist()]
             yield row(
-                pa.array([], pa.list_(pa.int32())), ids=pa.array(ids, pa.int64()), state=state.astype("i1"), ready=ready.astype("<i4"),
-                heap=np.array([i for w in long_words for i in w], "<i4"), heap_sizes=np.array([len(w) for w in long_words], "<i8"),
-                codes=codes.astype("<i4"), counts=counts.astype("<i8"), places=places.astype("<i4"), lengths=lengths.astype("<i8"),
+                number, rows, pa.array([], pa.list_(pa.int8())), pa.array(chunk.ids, pa.int64()), state=state, ready=pc.take(ids_known, found.drop_null()).to_numpy(),
+                heap=[i for w in heap for i in w], heap_sizes=[len(w) for w in heap], codes=codes, counts=counts, places=chunk.places, lengths=chunk.lengths,
             )
 
-        held: tuple[list, list, list, list] = ([], [], [], [])
-        size = 0
-        for batch in batches:
-            for doc, text in zip(batch["i"].to_pylist(), batch["t"].to_pylist(), strict=True):
-                text = text or ""
-                way = 2 if odd(text) else 0  # a space after white space is no place to cut
-                held[way].append(doc)
-                held[way + 1].append(text)
-                size += len(text)
-                if size >= CHUNK:
-                    yield from chunk(*held)
-                    held, size = ([], [], [], []), 0
-        if held[0] or held[2]:
-            yield from chunk(*held)
-
     def strung(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
         import pyarrow.compute as pc
 
+        from .pieces import in_parts, ragged, sums
+
+        expand = pa.Codec("zstd").decompress
         top = max(ranks.values()) + 1
         by_id: list[bytes] = [b""] * top
         for token, rank in ranks.items():
@@ -276,51 +245,44 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
             ends = np.concatenate([[0], np.cumsum(sizes)])
             return pc.binary_join(pa.LargeListArray.from_arrays(pa.array(ends), values.take(pa.array(at))), pa.scalar(sign, pa.large_binary()))
 
-        def ragged(values: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-            """values[start : start + size] of each, one after another."""
-            ends = np.cumsum(sizes)
-            return values[np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - sizes), sizes)]
+        def blob(batch: pa.RecordBatch, k: int, name: str) -> np.ndarray:
+            raw = batch[name][k].as_py()
+            return np.frombuffer(expand(raw[8:], int.from_bytes(raw[:8], "little")) if raw else b"", BLOBS[name])
 
         def documents(batch: pa.RecordBatch, k: int, flat: np.ndarray, sizes: np.ndarray) -> Iterator[pa.RecordBatch]:
-            get = {name: np.frombuffer(batch[name][k].as_py(), kind) for name, kind in BLOBS.items()}
+            get = {name: blob(batch, k, name) for name in BLOBS}
             # words in their order: folded, ready, and from the heap
             order = np.concatenate([np.flatnonzero(get["state"] == s) for s in (0, READY, HEAP)])
             made = np.concatenate([flat, get["ready"], get["heap"]])
             n_ids = np.concatenate([sizes, np.ones(len(get["ready"]), np.int64), get["heap_sizes"]])
             starts, width = np.empty_like(n_ids), np.empty_like(n_ids)
             starts[order], width[order] = np.cumsum(n_ids) - n_ids, n_ids
-            word_ids = ragged(made, starts, width)
-            codes, counts = get["codes"], get["counts"]
-            own_width = width[codes]
-            edges = np.concatenate([[0], np.cumsum(own_width)])[np.concatenate([[0], np.cumsum(counts)])]
-            piece_width, piece_start = np.diff(edges), edges[:-1]
-            piece_ids = ragged(word_ids, (np.cumsum(width) - width)[codes], own_width)
+            codes = get["codes"]
+            piece_ids, piece_width = ragged(made, starts[codes], width[codes]), sums(width[codes], get["counts"])
+            piece_start = np.cumsum(piece_width) - piece_width
             lines, texts = joined(names, piece_ids, piece_width, b" "), joined(tokens, piece_ids, piece_width, b"")
-            ids, lengths = batch["ids"].values.slice(batch["ids"].offsets[k].as_py(), len(get["lengths"])), get["lengths"]
-            ends, first = np.concatenate([[0], np.cumsum(lengths)]), 0
-            while first < len(lengths):
-                last = max(first + 1, int(np.searchsorted(ends, ends[first] + TAKEN, "right")) - 1)
-                at, n = get["places"][ends[first] : ends[last]], lengths[first:last]
+            ids = batch["ids"].values.slice(batch["ids"].offsets[k].as_py(), len(get["lengths"]))
+            for first, last, at, n in in_parts(get["places"], get["lengths"]):
                 own = piece_width[at]
-                totals = np.diff(np.concatenate([[0], np.cumsum(own)])[np.concatenate([[0], np.cumsum(n)])])
+                totals = sums(own, n)
                 each = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(totals)]), pa.int32()), pa.array(ragged(piece_ids, piece_start[at], own), pa.int32())) if with_ids else pa.nulls(len(n), pa.list_(pa.int32()))
                 digests = [pa.array([hashlib.sha256(x.as_buffer()).hexdigest() for x in joined(of, at, n, sign)], pa.string()) for of, sign in ((lines, b" "), (texts, b""))]
                 yield pa.RecordBatch.from_arrays([ids.slice(first, last - first), pa.array(totals, pa.int64()), each, *digests], names=["doc_id", "n_tokens", "ids", "ids_sha256", "decoded_sha256"])
-                first = last
 
-        held: list[pa.Array] = []
+        sizes, flat = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)]
         for batch in batches:
             for k in range(batch.num_rows):
                 if len(folded := batch["made"][k]):
-                    held.append(folded.values)
+                    sizes.append(pc.list_value_length(folded.values).to_numpy().astype(np.int64))
+                    flat.append(folded.values.flatten().to_numpy().copy())
                 if batch["state"][k].is_valid:
-                    sizes = np.concatenate([np.zeros(0, np.int64), *[pc.list_value_length(x).to_numpy() for x in held]])
-                    flat = np.concatenate([np.zeros(0, np.int32), *[x.flatten().to_numpy() for x in held]])
-                    held = []
-                    yield from documents(batch, k, flat, sizes.astype(np.int64))
+                    yield from documents(batch, k, np.concatenate(flat), np.concatenate(sizes))
+                    sizes, flat = [np.zeros(0, np.int64)], [np.zeros(0, np.int32)]
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    chunks = rows.mapInArrow(split, "words array<array<int>>, ids array<long>, " + ", ".join(f"{name} binary" for name in BLOBS))
+    chunks = rows.mapInArrow(split, "chunk long, at int, words array<array<tinyint>>, ids array<long>, " + ", ".join(f"{name} binary" for name in BLOBS))
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    chunks = chunks.repartition(n, "chunk").sortWithinPartitions("chunk", "at")
     chunks = chunks.select(fold(F.col("words"), RankTable(ranks)).alias("made"), "ids", *BLOBS)
     return chunks.mapInArrow(strung, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")
 

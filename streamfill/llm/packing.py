@@ -7,46 +7,18 @@ from __future__ import annotations
 
 import json
 import os
-import re
 import zlib
-from array import array
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-REMEMBERED = 400_000
+#: Pieces of text that are encoded in one go.
+TOGETHER = 10_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, bucket int, ids binary"
 
 
-#: Characters before this are in the same classes for every library.
-LATIN_END = "\u0250"
-
-
-def fast_encoder(definition: str) -> Callable[[str], list[int]] | None:
-    """An encoder of the tiktoken library for a byte-level file whose ids follow its merges; None for any other."""
-    try:
-        import tiktoken
-    except ImportError:
-        return None
-    file = json.loads(definition)
-    model, before = file["model"], file["pre_tokenizer"] or {}
-    plain = before.get("type") == "ByteLevel" and before.get("use_regex", True) and not before.get("add_prefix_space") and file["normalizer"] is None
-    merges = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
-    if not plain or model["type"] != "BPE" or any(model["vocab"].get(a + b) != 256 + i for i, (a, b) in enumerate(merges)):
-        return None
-    # the format writes printable bytes as themselves, and the others, in order, from U+0100 on
-    printable = [*range(33, 127), *range(161, 173), *range(174, 256)]
-    others = [b for b in range(256) if b not in set(printable)]
-    byte = {chr(b): b for b in printable} | {chr(256 + k): b for k, b in enumerate(others)}
-    special = {t["content"] for t in file["added_tokens"]}
-    ranks = {bytes(byte[c] for c in token): rank for token, rank in model["vocab"].items() if token not in special}
-    # fixed value: the pattern that the byte-level pre-tokenizer splits by
-    pattern = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-    return tiktoken.Encoding("file", pat_str=pattern, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-
-
 def pieces(n: int, most: int) -> Iterator[tuple[int, int]]:
     """(start, length) of the pieces of n tokens: as many of the longest as fit, then the bits of the rest."""
     start = 0
@@ -68,53 +40,71 @@ def pack(docs: DataFrame, tokenizer_path: str, max_len: int = 1024, end_id: int
     are ignored. sequence_id is unique, and the same when a lost task runs again.
 
     Token ids are those of the tokenizers library. With its pattern no token spans the place before a space that
-    follows another character, so texts are cut there and each task encodes a different word once. Words of Latin
-    characters go through the faster of two libraries where the file's merges and ids allow it; all others, and those
-    with a special token, through tokenizers itself.
+    follows another character, so texts are cut there, and a task encodes each different piece of a chunk once, many
+    of them in one call; a token that starts with a space then starts a piece.
     """
     if max_len < 1 or max_len & (max_len - 1):
         raise ValueError("max_len must be a power of two")
     with open(tokenizer_path, encoding="utf-8") as f:
         definition = f.read()
+    end = end_id.to_bytes(4, "little")
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         import numpy as np
+        import pyarrow.compute as pc
         from tokenizers import Tokenizer
 
-        encoder, quick = Tokenizer.from_str(definition), fast_encoder(definition)
+        from .pieces import chunks, ragged, sums
+
+        encoder = Tokenizer.from_str(definition)
+        ids_of = lambda text: np.array(encoder.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
+        vocabulary = encoder.get_vocab()
+        spaced = np.zeros(max(vocabulary.values()) + 1, bool)
+        spaced[[k for token, k in vocabulary.items() if token.startswith("\u0120")]] = True  # the format's sign for a space
         specials = [t["content"] for t in json.loads(definition)["added_tokens"]]
-        cut, odd = re.compile(r"(?<=\S) ").split, re.compile(r"\s ").search
-        end = np.array([end_id], "<u4").tobytes()
-
-        def encoded(word: str) -> bytes:
-            if quick and (word.isascii() or max(word) < LATIN_END) and not any(t in word for t in specials):
-                return array("I", quick(word)).tobytes()
-            return array("I", encoder.encode(word, add_special_tokens=False).ids).tobytes()
-
-        class Words(dict):
-            """Ids of a word with the space before it."""
-
-            def __missing__(self, word: str) -> bytes:
-                if len(self) >= REMEMBERED:
-                    self.clear()
-                self[word] = ids = encoded(" " + word)
-                return ids
-
-        known = Words().__getitem__
-        for batch in batches:
-            out: list[list] = [[] for _ in range(7)]
-            for doc, text in zip(batch["i"].to_pylist(), batch["t"].to_pylist(), strict=True):
-                text = text or ""
-                first, *rest = cut(text) if odd(text) else text.split(" ")
-                ids = b"".join([encoded(first), *map(known, rest), end])
-                n = len(ids) // 4
-                for start, length in pieces(n, max_len):
-                    own = ids[4 * start : 4 * (start + length)]
-                    for column, value in zip(out, (doc, start, length, zlib.crc32(own), n, length.bit_length() - 1, own if with_ids else None), strict=True):
-                        column.append(value)
-            types = [pa.int64()] * 5 + [pa.int32(), pa.binary()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "bucket", "ids"])
+
+        def encoded(chunk) -> tuple[np.ndarray, np.ndarray]:
+            """(the ids of all pieces, how many each has)."""
+            plain = chunk.plain()
+            for special in specials:
+                plain &= ~pc.match_substring(chunk.rests, special).to_numpy(zero_copy_only=False)
+            at = np.flatnonzero(plain)
+            texts = chunk.rests.take(pa.array(at)).to_pylist()
+            parts, sizes = [np.zeros(0, "<u4")], np.zeros(len(plain) + len(chunk.heads), np.int64)
+            for k in range(0, len(at), TOGETHER):
+                own = ids_of(" " + " ".join(texts[k : k + TOGETHER]))
+                begins = np.flatnonzero(spaced[own])
+                if len(begins) != len(at[k : k + TOGETHER]):
+                    raise ValueError("the vocabulary has tokens that go on after a space")
+                sizes[at[k : k + TOGETHER]] = np.diff([*begins, len(own)])
+                parts.append(own)
+            rest = np.concatenate([np.flatnonzero(~plain), np.arange(len(plain), len(sizes))])
+            for k in rest.tolist():
+                own = ids_of(" " + chunk.rests[k].as_py() if k < len(plain) else chunk.heads[k - len(plain)])
+                sizes[k] = len(own)
+                parts.append(own)
+            order = np.concatenate([at, rest])
+            ends = np.cumsum(sizes[order])
+            starts = np.empty(len(sizes), np.int64)
+            starts[order] = ends - sizes[order]
+            return ragged(np.concatenate(parts), starts, sizes), sizes
+
+        for chunk in chunks(batches):
+            flat, sizes = encoded(chunk)
+            starts = np.cumsum(sizes) - sizes
+            for first, last, places, lengths in chunk.parts():
+                ids = ragged(flat, starts[places], sizes[places])
+                totals = sums(sizes[places], lengths)
+                out: list[list] = [[] for _ in range(7)]
+                for doc, at, n in zip(chunk.ids[first:last], (np.cumsum(totals) - totals).tolist(), totals.tolist(), strict=True):
+                    whole = ids[at : at + n].tobytes() + end
+                    for start, length in pieces(n + 1, max_len):
+                        own = whole[4 * start : 4 * (start + length)]
+                        for column, value in zip(out, (doc, start, length, zlib.crc32(own), n + 1, length.bit_length() - 1, own if with_ids else None), strict=True):
+                            column.append(value)
+                types = [pa.int64()] * 5 + [pa.int32(), pa.binary()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "bucket", "ids"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
     return rows.mapInArrow(packed, SCHEMA).withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")})

@@ -217,6 +217,40 @@ def test_colliding_surrogates_draw_again(spark, monkeypatch):
     assert len(set(cores)) == 41 and "7" not in cores
 
 
+def test_surrogates_always_end(spark):
+    """A name's surrogate grows with every draw, so a crowd of entities cannot use them up."""
+    spare = {s: v[:1] for s, v in pii.SYLLABLES.items()}
+    firsts = {k: v[:1] for k, v in pii.FIRST_NAMES.items()}
+    held = pii.SYLLABLES, pii.FIRST_NAMES
+    try:
+        pii.SYLLABLES, pii.FIRST_NAMES = spare, firsts  # one surrogate a draw
+        entities = spark.createDataFrame([("name", f"m:smith{i}") for i in range(5)], "kind string, entity string")
+        cores = [r.core for r in pii.draw(entities, "k").collect()]
+    finally:
+        pii.SYLLABLES, pii.FIRST_NAMES = held
+    assert len({c.lower() for c in cores}) == 5
+
+
+def test_names_are_followed_through_a_text(spark):
+    texts = [
+        "Mrs Jane Doe came. Later Jane Doe said that Janet Doering and Dr Jane Doe agreed. JANE DOE",
+        "Jane Doe is not known here.",
+        "Mr Sam Hill, Dr Sam Hill", "Mrs Sam Hill and Ms Rita Hill", "Prof Ann Key",
+        "call +49 30 1234567 or +33 1 23 45 67 89 or 3 45 now", "a.b@c.org,d@e.org;f%g@h-i.co.uk x@y z@1",
+    ]
+    got = [r.text for r in pii.replace_private(spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string"), "k").orderBy("doc_id").collect()]
+    new = got[0].split(" came. ")[0].removeprefix("Mrs ")
+    assert got[0] == f"Mrs {new} came. Later {new} said that Janet Doering and Dr {new} agreed. JANE DOE" and new != "Jane Doe"
+    assert new.split()[0] in pii.FIRST_NAMES["latin", "f"]
+    assert got[1] == texts[1]
+    male, plain = got[2].removeprefix("Mr ").split(", Dr ")
+    female = got[3].split(" and ")[0].removeprefix("Mrs ")
+    assert male.split()[0] in pii.FIRST_NAMES["latin", "m"] and female.split()[0] in pii.FIRST_NAMES["latin", "f"] and len({male, female, plain}) == 3
+    assert "Ann" not in got[4] and "1234567" not in got[5] and "45 67 89" not in got[5] and got[5].endswith(" or 3 45 now")
+    assert got[5].startswith("call +4") and " or +3" in got[5]
+    assert got[6].count("@") == 5 and got[6].endswith(" x@y z@1") and not any(x in got[6] for x in ("a.b@", "d@e", "f%g@"))
+
+
 def test_copies_do_not_make_boilerplate(spark):
     words = lambda s, n: " ".join(f"{s}{i}" for i in range(n))
     footer = "all rights reserved by the owner of this page who may be asked for leave to print"
@@ -273,6 +307,16 @@ def test_stages_take_odd_rows(spark, odd, tmp_path):
         assert out.count() >= (0 if name.startswith("quality") else 1), name
 
 
+def test_near_dedup_goes_by_text_not_by_id(spark, tmp_path):
+    import corpus_pipeline as p
+
+    words = lambda s: " ".join(f"{s}{i}" for i in range(40))
+    rows = [(None, words("a")), (None, words("b")), (None, words("b")), (7, words("c")), (7, words("d")), (7, words("d")), (9, words("c")), (1, words("e")), (None, words("e")), (2, None), (3, "")]
+    docs = spark.createDataFrame([(i, t, "en", None, 1) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = sorted(((r.doc_id, (r.text or "")[:1]) for r in p.near_dedup(spark, docs, str(tmp_path)).collect()), key=str)
+    assert got == sorted([(None, "a"), (None, "b"), (7, "c"), (7, "d"), (1, "e"), (2, "")], key=str)
+
+
 def test_long_words_are_folded_like_the_library(spark):
     import base64
     import random

@@ -100,4 +100,39 @@ ORACLES = {
         ranked AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS r FROM pairs)
         SELECT query_id, CAST(r AS INTEGER) AS rank, vec_id, score FROM ranked WHERE r <= 5
     """,
+    "op8_quality_rules": r"""
+        WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(source, '') AS host, coalesce(text, '') AS t FROM documents),
+        l AS (
+            SELECT *, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS raw,
+                   list_filter(regexp_split_to_array(t, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words
+            FROM d
+        ),
+        n AS (
+            SELECT *, list_transform(raw, lambda x: array_to_string(list_filter(regexp_split_to_array(lower(x), '[\x20\x09-\x0D]+'), lambda w: w <> ''), ' ')) AS lines FROM l
+        ),
+        windows AS (SELECT r, i, words[i:i + 4] AS w FROM (SELECT r, words, unnest(range(1, len(words) - 3)) AS i FROM n)),
+        again AS (SELECT r, i, count(*) OVER (PARTITION BY r, w) AS c FROM windows),
+        starts AS (SELECT r, i, lead(i) OVER (PARTITION BY r ORDER BY i) AS later FROM again WHERE c > 1),
+        repeats AS (SELECT r, CAST(sum(least(5, coalesce(later - i, 5))) AS BIGINT) AS n_repeat_words FROM starts GROUP BY r),
+        seen AS (SELECT DISTINCT host, list_sort(list_distinct(lines)) AS document, line FROM (SELECT host, lines, unnest(lines) AS line FROM n)),
+        frequent AS (SELECT host, line FROM seen GROUP BY host, line HAVING count(*) > 20),
+        removed AS (
+            SELECT r, CAST(sum(len(string_split(line, ' '))) AS BIGINT) AS gone
+            FROM (SELECT r, host, unnest(lines) AS line FROM n) JOIN frequent USING (host, line) GROUP BY r
+        ),
+        measured AS (
+            SELECT r, doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(list_sum(list_transform(words, lambda x: length(x))) AS BIGINT) AS word_chars,
+                   CAST(length(t) - length(translate(t, '#*$%&|<>', '')) AS BIGINT) AS n_symbols,
+                   CAST(len(raw) - len(list_distinct(raw)) AS BIGINT) AS n_dup_lines
+            FROM n
+        ),
+        judged AS (
+            SELECT m.*, coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(gone, 0) AS gone,
+                   n_words < 10 OR 100 * coalesce(n_repeat_words, 0) > 20 * n_words AS base_failed
+            FROM measured m LEFT JOIN repeats USING (r) LEFT JOIN removed USING (r)
+        )
+        SELECT doc_id, n_words, coalesce(word_chars, 0) AS word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+               NOT base_failed AND n_words - gone >= 10 AND n_words - gone >= 0.2 * n_words AS kept
+        FROM judged
+    """,
 }

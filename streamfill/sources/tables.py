@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -12,8 +12,20 @@ from streamfill.schema import InstanceSchema, TimeAxis, attributes, seconds
 EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
 ROLES = ("assistant", "system", "user")
 HOUR, DAY = 3600, 86400
-#: An instance id is its time bucket times this, plus its stream.
-STREAMS = 10_000_000
+#: Bits of an instance id for its stream, and for a turn of a conversation or a line of an order.
+STREAM_BITS, TURN_BITS = 43, 20
+
+
+def joined_id(high: Column, low: Column, bits: int) -> Column:
+    """One number of two, different for different pairs: the lower takes so many bits, and what has no room raises."""
+    fits = low.between(0, (1 << bits) - 1) & high.between(-(1 << 63 - bits), (1 << 63 - bits) - 1)
+    made = F.shiftleft(high.cast("long"), bits).bitwiseOR(low.cast("long"))
+    return F.when(high.isNull() | low.isNull(), F.lit(None).cast("long")).when(fits, made).otherwise(F.raise_error(F.lit("an id has no room in the bits kept for it")).cast("long"))
+
+
+def bucket_of(inst_id: Column) -> Column:
+    """The time bucket of an instance id."""
+    return F.shiftright(inst_id, STREAM_BITS)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -54,14 +66,14 @@ def ev(spark: SparkSession, sf_dir: str, bucket: int = HOUR, window: int = DAY)
     mean = lambda t: F.floor(F.try_divide(F.sum(F.when(F.col("event_type") == t, F.col("c"))) * 100, F.count_if(F.col("event_type") == t)))
     return e.groupBy("user_id", "b").agg(*(mean(t).cast("double").alias(f"x{d}") for d, t in enumerate(EVENT_TYPES))).select(
         F.floor(F.col("b") * bucket / window).cast("long").alias("window_id"), F.col("user_id").alias("stream_id"),
-        (F.col("b") * STREAMS + F.col("user_id")).alias("inst_id"), *(f"x{d}" for d in range(len(EVENT_TYPES))),
+        joined_id(F.col("b"), F.col("user_id"), STREAM_BITS).alias("inst_id"), *(f"x{d}" for d in range(len(EVENT_TYPES))),
     )
 
 
 def evj(spark: SparkSession, sf_dir: str, window: int = DAY) -> DataFrame:
     """ev with a sixth attribute out of the events' JSON."""
     e = table(spark, sf_dir, "events").select("user_id", F.floor(seconds(F.col("ts")) / HOUR).cast("long").alias("b"), F.get_json_object("props", "$.k").cast("double").alias("k"))
-    k = e.groupBy((F.col("b") * STREAMS + F.col("user_id")).alias("inst_id")).agg(F.floor(F.avg("k") * 10000).alias("x5"))
+    k = e.groupBy(joined_id(F.col("b"), F.col("user_id"), STREAM_BITS).alias("inst_id")).agg(F.floor(F.avg("k") * 10000).alias("x5"))
     return ev(spark, sf_dir, HOUR, window).join(k, "inst_id").select("window_id", "stream_id", "inst_id", "x0", "x1", "x2", "x3", "x4", F.col("x5").cast("double").alias("x5"))
 
 
@@ -81,8 +93,10 @@ def li_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
 def li(spark: SparkSession, sf_dir: str, window: int = 30 * DAY) -> DataFrame:
     """Dense heterogeneous streams of suppliers; derived attributes go with one another."""
     rows = li_rows(spark, sf_dir)
-    ident = F.xxhash64(*[F.col(c) for c in ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_shipdate")])
-    return InstanceSchema("l_suppkey", TimeAxis("l_shipdate", window), LI_ATTRIBUTES).chunks(rows, ident)
+    # an order has the same line number several times here: repeats are numbered by what they hold
+    again = F.row_number().over(Window.partitionBy("l_orderkey", "l_linenumber").orderBy("l_shipdate", "l_partkey", "l_suppkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax"))
+    ident = joined_id(F.col("l_orderkey"), F.col("l_linenumber") * (1 << TURN_BITS // 2) + again, TURN_BITS)
+    return InstanceSchema("l_suppkey", TimeAxis("l_shipdate", window), LI_ATTRIBUTES).chunks(rows.withColumn("inst_id", ident), F.col("inst_id"))
 
 
 def emb(spark: SparkSession, sf_dir: str, window: int = 150, dims: int = 64, sparsity: float = 0.856) -> DataFrame:
@@ -114,7 +128,7 @@ def doc(spark: SparkSession, sf_dir: str, window: int = 250) -> DataFrame:
 def conv(spark: SparkSession, sf_dir: str, window: int = 2) -> DataFrame:
     """Short streams by index; windows are smaller than most graphs' K."""
     c = table(spark, sf_dir, "conversations")
-    return c.select(F.floor(F.col("turn") / window).cast("long").alias("window_id"), F.col("conv_id").alias("stream_id"), (F.col("conv_id") * 1000 + F.col("turn")).alias("inst_id"), *(F.when(F.col("role") == r, F.length("text").cast("double")).alias(f"x{k}") for k, r in enumerate(ROLES)))
+    return c.select(F.floor(F.col("turn") / window).cast("long").alias("window_id"), F.col("conv_id").alias("stream_id"), joined_id(F.col("conv_id"), F.col("turn"), TURN_BITS).alias("inst_id"), *(F.when(F.col("role") == r, F.length("text").cast("double")).alias(f"x{k}") for k, r in enumerate(ROLES)))
 
 
 def roll(spark: SparkSession, sf_dir: str, window: int = DAY) -> DataFrame:
@@ -123,7 +137,7 @@ def roll(spark: SparkSession, sf_dir: str, window: int = DAY) -> DataFrame:
     w = Window.partitionBy("user_id", "event_type").orderBy("ts", "event_id").rowsBetween(-9, 0)
     e = e.withColumn("m", F.avg("value").over(w)).withColumn("b", F.floor(seconds(F.col("ts")) / HOUR).cast("long"))
     rows = assemble(e, ["user_id", "b"], "event_type", "m", EVENT_TYPES)
-    return rows.select(F.floor(F.col("b") * HOUR / window).cast("long").alias("window_id"), F.col("user_id").alias("stream_id"), (F.col("b") * STREAMS + F.col("user_id")).alias("inst_id"), *(f"x{d}" for d in range(len(EVENT_TYPES))))
+    return rows.select(F.floor(F.col("b") * HOUR / window).cast("long").alias("window_id"), F.col("user_id").alias("stream_id"), joined_id(F.col("b"), F.col("user_id"), STREAM_BITS).alias("inst_id"), *(f"x{d}" for d in range(len(EVENT_TYPES))))
 
 
 FIXTURES = {"ev": ev, "evj": evj, "li": li, "emb": emb, "lowrank": lowrank, "doc": doc, "conv": conv, "roll": roll}

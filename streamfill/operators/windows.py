@@ -14,11 +14,30 @@ def counts(df: DataFrame) -> DataFrame:
     return df.groupBy("window_id").agg(F.count("*").alias("n"), F.countDistinct("stream_id").alias("streams"), seen.alias("observed"))
 
 
-def split(df: DataFrame, max_rows: int) -> DataFrame:
-    """df with a column `sub`: windows over max_rows are dealt by hash into parts of about that size. The counts, a row for
-    each window, are joined as their size demands."""
+def split(df: DataFrame, max_rows: int, by: str = "hash") -> DataFrame:
+    """df with a column `sub`: windows over max_rows are dealt into parts of about that size, by hash, or (cell) by where
+    rows lie along the sum of their attributes, which keeps neighbours together. The counts, a row for each window, are
+    joined as their size demands. Cells are cut at approximate quantiles, so that no window is sorted in one task."""
     n = df.groupBy("window_id").agg(F.ceil(F.count("*") / max_rows).alias("parts"))
-    return df.join(n, "window_id").withColumn("sub", F.pmod(F.xxhash64("inst_id"), F.col("parts")).cast("int")).drop("parts")
+    n = n.withColumnRenamed("window_id", "n_window")
+    if by == "cell":
+        return _by_cell(df, max_rows)
+    if by != "hash":
+        raise ValueError("by is hash or cell")
+    return df.join(n, F.col("window_id").eqNullSafe(F.col("n_window"))).drop("n_window").withColumn("sub", F.pmod(F.xxhash64("inst_id"), F.col("parts")).cast("int")).drop("parts")
+
+
+def _by_cell(df: DataFrame, max_rows: int) -> DataFrame:
+    along = sum((F.coalesce(c, F.lit(0.0)) for c in attributes(df)), F.lit(0.0))
+    n = df.groupBy(F.col("window_id").alias("n_window")).agg(F.ceil(F.count("*") / max_rows).cast("int").alias("parts"))
+    placed = df.withColumn("along", along).join(n, F.col("window_id").eqNullSafe(F.col("n_window"))).drop("n_window")
+    shares = F.transform(F.sequence(F.lit(1), F.lit(100)), lambda k: k / 101.0)
+    cuts = placed.groupBy(F.col("window_id").alias("c_window")).agg(F.percentile_approx("along", [k / 101 for k in range(1, 101)], 10_000).alias("cuts"), F.first("parts").alias("c_parts"))
+    # of the hundred cuts, those nearest to an even share for so many parts (at most 101)
+    chosen = F.filter("cuts", lambda x, k: F.floor(F.get(shares, k) * F.col("c_parts")) != F.floor(F.when(k > 0, F.get(shares, k - 1)).otherwise(0.0) * F.col("c_parts")))
+    cuts = cuts.select("c_window", chosen.alias("cuts"))
+    out = placed.join(cuts, F.col("window_id").eqNullSafe(F.col("c_window")))
+    return out.withColumn("sub", F.size(F.filter("cuts", lambda x: x < F.col("along")))).drop("along", "parts", "cuts", "c_window")
 
 
 def drop_empty(df: DataFrame) -> DataFrame:

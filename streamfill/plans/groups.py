@@ -45,8 +45,9 @@ def by_group(df: DataFrame, deal: list[str], keys: list[str], order: list[str],
             columns = [batch[k] for k in keys]
             changed = np.zeros(batch.num_rows - 1, bool)
             for c in columns:
-                v = c.to_numpy(zero_copy_only=False)
-                changed |= v[1:] != v[:-1]
+                empty = c.is_null().to_numpy(zero_copy_only=False)
+                v = c.fill_null(c.type.to_pandas_dtype()()).to_numpy(zero_copy_only=False)
+                changed |= (v[1:] != v[:-1]) | (empty[1:] != empty[:-1])
             for a, b in zip([0, *(np.flatnonzero(changed) + 1)], [*(np.flatnonzero(changed) + 1), batch.num_rows], strict=True):
                 key = tuple(c[int(a)].as_py() for c in columns)
                 if held and key != last:

@@ -87,8 +87,8 @@ class Outcome:
         return len(self.trace) - 1 - int(np.argmin(self.trace[::-1])) if self.trace else -1
 
 
-def seeded(seed: int, *key: int) -> np.random.Generator:
-    return np.random.default_rng([seed, *(int(k) & 0xFFFFFFFF for k in key)])
+def seeded(seed: int, *key: int | None) -> np.random.Generator:
+    return np.random.default_rng([seed, *(int(k or 0) & 0xFFFFFFFF for k in key)])
 
 
 def impute_window(x: np.ndarray, o: Options, key: tuple = (), streams: np.ndarray | None = None, times: np.ndarray | None = None, theta: dict | None = None) -> Outcome:
@@ -141,23 +141,31 @@ def matrix(rows: pa.Table, xs: list[str]) -> np.ndarray:
 
 
 def stream_codes(rows: pa.Table) -> np.ndarray:
-    return rows["stream_id"].combine_chunks().dictionary_encode().indices.to_numpy(zero_copy_only=False) if rows.num_rows else np.zeros(0, int)
+    return rows["stream_id"].combine_chunks().dictionary_encode("encode").indices.to_numpy(zero_copy_only=False) if rows.num_rows else np.zeros(0, int)
 
 
 STATS = "graph_s double, total_s double, best_epoch int, cached int, model_bytes long"
 
 
-def result(rows: pa.Table, xs: list[str], x: np.ndarray, out: Outcome, extra: dict, cached: int = 0) -> pa.Table:
+def times_of(rows: pa.Table) -> np.ndarray:
+    return rows["inst_id"].fill_null(0).to_numpy()
+
+
+def result(rows: pa.Table, xs: list[str], x: np.ndarray, out: Outcome, extra: dict, cached: int = 0, **more) -> pa.Table:
     n = rows.num_rows
     same = lambda v, t: pa.array(np.full(n, v), t)
     columns = {k: v for k, v in extra.items()} | {c: rows[c] for c in ("window_id", "stream_id", "inst_id")}
     columns |= {c: pa.array(x[:, d]) for d, c in enumerate(xs)}
+    columns |= more
     columns |= {"graph_s": same(out.graph_s, pa.float64()), "total_s": same(out.total_s, pa.float64()), "best_epoch": same(out.best_epoch, pa.int32()), "cached": same(cached, pa.int32()), "model_bytes": same(out.model_bytes, pa.int64())}
     return pa.table(columns)
 
 
-def run_windows(df: DataFrame, options: dict[int, Options]) -> DataFrame:
-    """(cfg, keys, x..., figures): every window under every setting, in one job. df may hold a column cfg already."""
+def run_windows(df: DataFrame, options: dict[int, Options], scaler: Scaler | None = None) -> DataFrame:
+    """(cfg, keys, x..., is_imputed, figures): every window under every setting, in one job. df may hold a column cfg
+    already. With a scaler, methods see scaled values, and what comes out is on the scale of df. One row comes out for
+    each that goes in, whatever its ids: a null window is a window of its own, and repeated ids are rows like any others.
+    """
     xs = attributes(df)
     if "cfg" not in df.columns:
         df = df.withColumn("cfg", F.explode(F.array(*(F.lit(k).cast("int") for k in options))))
@@ -168,29 +176,28 @@ def run_windows(df: DataFrame, options: dict[int, Options]) -> DataFrame:
     def make():
         def step(key: tuple, rows: pa.Table) -> pa.Table:
             cfg, window, sub = key
-            out = impute_window(matrix(rows, xs), options[cfg], (window, sub), stream_codes(rows), rows["inst_id"].to_numpy())
-            return result(rows, xs, out.x, out, {"cfg": pa.array(np.full(rows.num_rows, cfg), pa.int32())})
+            x = matrix(rows, xs)
+            out = impute_window(x if scaler is None else (x - scaler.mean) / scaler.scale, options[cfg], (window, sub), stream_codes(rows), times_of(rows))
+            gone = np.isnan(x)
+            made = out.x if scaler is None else np.where(gone, out.x * scaler.scale + scaler.mean, x)
+            bits = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * len(xs), pa.int32()), pa.array(gone.ravel()))
+            return result(rows, xs, made, out, {"cfg": pa.array(np.full(rows.num_rows, cfg), pa.int32())}, is_imputed=bits)
 
         return step
 
-    schema = f"cfg int, window_id long, stream_id string, inst_id long, {', '.join(f'{c} double' for c in xs)}, {STATS}"
+    schema = f"cfg int, window_id long, stream_id string, inst_id long, {', '.join(f'{c} double' for c in xs)}, is_imputed array<boolean>, {STATS}"
     keys = ["cfg", "window_id", "sub"]
     return by_group(df.select(*keys, "stream_id", "inst_id", *xs), keys, keys, ["inst_id"], make, schema)
 
 
 def snapshot(df: DataFrame, method: str = "propnet", *, scale: bool = True, max_rows: int | None = 20_000, **settings) -> DataFrame:
-    """df with every missing cell filled and is_imputed, a map of bits by attribute; observed cells stay as they are."""
+    """df with every missing cell filled and is_imputed, a bit for each attribute; observed cells stay to the bit. One
+    shuffle: the cells that were there go through the kernel with the rest. One row for each row of df, repeated and
+    null ids included."""
     xs = attributes(df)
-    o = Options(method=method, **settings)
-    scaler = Scaler.fit(df) if scale else None
-    work = scaler.transform(df) if scaler else df
-    if max_rows:
-        work = windows.split(work, max_rows)
-    out = run_windows(work, {0: o})
-    out = scaler.inverse(out) if scaler else out
-    old = df.select("window_id", "inst_id", *(F.col(c).alias(f"o{c[1:]}") for c in xs))
-    bits = F.array(*(F.col(f"o{c[1:]}").isNull() for c in xs)).alias("is_imputed")
-    return out.join(old, ["window_id", "inst_id"]).select("window_id", "stream_id", "inst_id", *(F.coalesce(f"o{c[1:]}", c).alias(c) for c in xs), bits)
+    work = windows.split(df, max_rows) if max_rows else df
+    out = run_windows(work, {0: Options(method=method, **settings)}, Scaler.fit(df) if scale else None)
+    return out.select("window_id", "stream_id", "inst_id", *xs, "is_imputed")
 
 
 def known(settings: dict) -> dict:

@@ -1,8 +1,8 @@
 """Similarity graphs as edge tables (window_id, src, dst, dist), on filled chunks.
 
-These are the relational forms: pairs of a window meet in an equi-join on the window, so their number is that of
-the window's rows squared. Windows too large for that are split first, or go through the approximate form; windows
-that fit in a task use the blocked kernel of streamfill.functions.kernels.
+`nearest` never makes the pairs of a window as rows: a window is dealt into blocks, every pair of blocks is compared in
+one task as matrices, and only each row's k nearest of the other block come out. `pairs` is the plain form for the
+distances themselves; it makes as many rows as its windows have squared, and is for windows of that size.
 """
 
 from __future__ import annotations
@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from streamfill.schema import attributes
+from streamfill.sources.durable import settle
 
 
 def distance(left: str, right: str, xs: list[str], metric: str = "euclidean") -> Column:
@@ -32,17 +33,78 @@ def pairs(filled: DataFrame, metric: str = "euclidean") -> DataFrame:
     return joined.select(F.col("a.window_id").alias("window_id"), F.col("a.inst_id").alias("src"), F.col("b.inst_id").alias("dst"), distance("a", "b", xs, metric).alias("dist"))
 
 
-def nearest(filled: DataFrame, k: int = 10, metric: str = "euclidean") -> DataFrame:
-    """Each row's k nearest, ties by id. The limit on ranks runs before the shuffle of Window."""
+#: Rows of a window in a block, about.
+BLOCK_ROWS = 4096
+
+
+def nearest(filled: DataFrame, k: int = 10, metric: str = "euclidean", block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """Each row's k nearest of its window (window_id, src, dst, dist, rank), ties by id. Ids must not repeat in a window.
+
+    Exact at every size: a window of b blocks is b * b tasks, to each of which two blocks go, and b * k candidates of a
+    row meet again to be ranked. Dealing and ranking shuffle rows * b, where pairs would be rows squared.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    from streamfill.plans.groups import by_group
+
+    xs = attributes(filled)
+    n = filled.groupBy("window_id").agg(F.ceil(F.count("*") / block_rows).cast("int").alias("blocks"))
+    own = filled.select("window_id", "inst_id", *xs).join(n, "window_id")
+    own = own.withColumn("block", F.pmod(F.xxhash64("inst_id"), F.col("blocks")).cast("int"))
+    every = F.sequence(F.lit(0), F.col("blocks") - 1)
+    asks = F.transform(every, lambda b: F.struct(F.col("block").alias("i"), b.alias("j"), F.lit(0).alias("role")))
+    answers = F.transform(every, lambda b: F.struct(b.alias("i"), F.col("block").alias("j"), F.lit(1).alias("role")))
+    dealt = own.withColumn("to", F.explode(F.concat(asks, answers))).select("window_id", "to.i", "to.j", "to.role", "inst_id", *xs)
+
+    def gaps(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Distances, in the order of operations that SQL would take."""
+        total = lambda terms: sum(terms[1:], terms[0])
+        each = range(a.shape[1])
+        if metric == "euclidean":
+            return total([(a[:, None, d] - b[None, :, d]) ** 2 for d in each])
+        dot, na, nb = total([a[:, None, d] * b[None, :, d] for d in each]), total([a[:, d] ** 2 for d in each]), total([b[:, d] ** 2 for d in each])
+        scale = np.sqrt(na)[:, None] * np.sqrt(nb)[None, :]
+        return np.where(scale > 0, 1 - dot / np.where(scale > 0, scale, 1), 1.0)
+
+    def make():
+        def step(key: tuple, rows: pa.Table) -> pa.Table | None:
+            role = rows["role"].to_numpy()
+            ids, x = rows["inst_id"].to_numpy(), np.column_stack([rows[c].to_numpy().astype(np.float64) for c in xs])
+            (q_ids, q), (c_ids, c) = ((ids[role == r], x[role == r]) for r in (0, 1))
+            if not len(q_ids) or not len(c_ids):
+                return None
+            src, dst, dist = [], [], []
+            for at in range(0, len(q_ids), 512):
+                d = gaps(q[at : at + 512], c)
+                d[q_ids[at : at + 512, None] == c_ids[None, :]] = np.inf
+                limit = np.partition(d, min(k, len(c_ids)) - 1, axis=1)[:, min(k, len(c_ids)) - 1]
+                i, j = np.nonzero((d <= limit[:, None]) & np.isfinite(d))
+                order = np.lexsort((c_ids[j], d[i, j], i))
+                i, j = i[order], j[order]
+                first = np.searchsorted(i, np.arange(len(d)))
+                near = np.arange(len(i)) - first[i] < k
+                src.append(q_ids[at : at + 512][i[near]])
+                dst.append(c_ids[j[near]])
+                dist.append(d[i[near], j[near]])
+            src, dst, dist = (np.concatenate(v) for v in (src, dst, dist))
+            return pa.table({"window_id": pa.array(np.full(len(src), key[0]), pa.int64()), "src": src, "dst": dst, "dist": dist})
+
+        return step
+
+    keys = ["window_id", "i", "j"]
+    found = by_group(dealt, keys, keys, ["role", "inst_id"], make, "window_id long, src long, dst long, dist double")
     order = Window.partitionBy("window_id", "src").orderBy("dist", "dst")
-    return pairs(filled, metric).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
 def knn(filled: DataFrame, k: int = 10, metric: str = "euclidean", mode: str = "union") -> DataFrame:
     """The neighbour graph, both directions of each edge: linked if either row is among the other's k nearest, or (mutual) if both are."""
-    near = nearest(filled, k, metric).select("window_id", "src", "dst", "dist")
-    back = near.select("window_id", F.col("dst").alias("src"), F.col("src").alias("dst"), "dist")
-    return near.union(back).distinct() if mode == "union" else near.intersect(back)
+    if mode not in ("union", "mutual"):
+        raise ValueError("mode is union or mutual")
+    ends = F.explode(F.array(F.struct("src", "dst"), F.struct(F.col("dst").alias("src"), F.col("src").alias("dst")))).alias("e")
+    both = nearest(filled, k, metric).select("window_id", ends, "dist").groupBy("window_id", "e.src", "e.dst").agg(F.min("dist").alias("dist"), F.count("*").alias("n"))
+    return (both if mode == "union" else both.where("n = 2")).drop("n")
 
 
 def threshold(filled: DataFrame, eps: float, metric: str = "euclidean") -> DataFrame:
@@ -50,7 +112,7 @@ def threshold(filled: DataFrame, eps: float, metric: str = "euclidean") -> DataF
     rows do, so only rows in the same or the next strip of width eps are compared, and none is lost."""
     xs = attributes(filled)
     if metric != "euclidean":
-        return pairs(filled, metric).where(F.col("dist") < eps)
+        return _below_cosine(filled, eps)
     along = sum((F.col(c) for c in xs[1:]), F.col(xs[0])) / float(len(xs)) ** 0.5
     own = filled.select("window_id", "inst_id", *xs, F.floor(along / eps).cast("long").alias("strip"))
     near = own.withColumn("strip", F.explode(F.array(*(F.col("strip") + k for k in (-1, 0, 1)))))
@@ -60,12 +122,28 @@ def threshold(filled: DataFrame, eps: float, metric: str = "euclidean") -> DataF
     return joined.where(F.col("dist") < eps * eps)
 
 
+def _below_cosine(filled: DataFrame, eps: float) -> DataFrame:
+    """Of rows on the unit sphere the squared distance is twice the cosine distance, so the strips serve here too; they
+    are a little wider than that, and the distance itself decides. A row of zeros is at distance 1 of all others."""
+    xs = attributes(filled)
+    if eps > 1:  # then the rows of zeros are near all, and strips cut nothing off
+        return pairs(filled, "cosine").where(F.col("dist") < eps)
+    length = F.sqrt(sum((F.col(c) * F.col(c) for c in xs[1:]), F.col(xs[0]) * F.col(xs[0])))
+    unit = filled.withColumn("length", length).where("length > 0").select("window_id", "inst_id", *((F.col(c) / F.col("length")).alias(c) for c in xs))
+    near = threshold(unit, (2 * eps) ** 0.5 * (1 + 1e-6) + 1e-9).select("window_id", "src", "dst")
+    end = lambda side: filled.select("window_id", F.col("inst_id").alias(side), F.struct(*xs).alias("a" if side == "src" else "b"))
+    both = near.join(end("src"), ["window_id", "src"]).join(end("dst"), ["window_id", "dst"])
+    return both.select("window_id", "src", "dst", distance("a", "b", xs, "cosine").alias("dist")).where(F.col("dist") < eps)
+
+
 def degrees(edges: DataFrame) -> DataFrame:
     return edges.groupBy("window_id", F.col("src").alias("inst_id")).agg(F.count("*").alias("degree"))
 
 
 def normalise(edges: DataFrame, how: str = "sym") -> DataFrame:
-    """Edges with weight w: 1 / sqrt(degree of src * degree of dst), or (row) 1 / degree of src."""
+    """Edges with weight w: 1 / sqrt(degree of src * degree of dst), or (row) 1 / degree of src. The edges are settled, as
+    they are read up to three times."""
+    edges = settle(edges.select("window_id", "src", "dst"))
     deg = degrees(edges)
     of = lambda end, name: deg.select("window_id", F.col("inst_id").alias(end), F.col("degree").alias(name))
     out = edges.select("window_id", "src", "dst").join(of("src", "ds"), ["window_id", "src"])
@@ -79,6 +157,28 @@ def stats(edges: DataFrame) -> DataFrame:
     return degrees(edges).groupBy("window_id").agg(F.count("*").alias("nodes"), F.sum("degree").alias("edges"), F.min("degree").alias("least"), F.max("degree").alias("most"))
 
 
+def histogram(edges: DataFrame) -> DataFrame:
+    """How many nodes of each window have which degree."""
+    return degrees(edges).groupBy("window_id", "degree").agg(F.count("*").alias("nodes"))
+
+
+def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+    """(window_id, inst_id, root): the least node that edges reach. Each round takes the least root among neighbours and
+    that root's own root, so distances double; rounds are settled, and only whether one changed anything comes back."""
+    edges = settle(edges.select("window_id", "src", "dst"))
+    state = settle(edges.groupBy("window_id", F.col("src").alias("inst_id")).agg(F.least(F.first("src"), F.min("dst")).alias("root")))
+    for _ in range(rounds):
+        far = state.select("window_id", F.col("inst_id").alias("dst"), F.col("root").alias("near"))
+        least = edges.join(far, ["window_id", "dst"]).groupBy("window_id", F.col("src").alias("inst_id")).agg(F.min("near").alias("near"))
+        lower = state.join(least, ["window_id", "inst_id"]).withColumn("next", F.least("root", "near"))
+        jump = state.select("window_id", F.col("inst_id").alias("next"), F.col("root").alias("far"))
+        moved = settle(lower.join(jump, ["window_id", "next"]).select("window_id", "inst_id", F.least("next", "far").alias("root"), (F.least("next", "far") != F.col("root")).alias("moved")))
+        state = moved.drop("moved")
+        if not moved.where("moved").limit(1).count():
+            return state
+    raise ValueError(f"components did not settle in {rounds} rounds")
+
+
 def energy(weighted: DataFrame, x: DataFrame) -> DataFrame:
     """Dirichlet energy of each window: weighted squared differences along edges."""
     xs = attributes(x)

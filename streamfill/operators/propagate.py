@@ -35,6 +35,7 @@ def feature_propagate(original: DataFrame, filled: DataFrame, weighted: DataFram
     shared folder, which keeps the plan short and a lost executor cheap."""
     xs = attributes(original)
     nodes, last = filled, None
+    weighted = settle(weighted) if iters > 1 else weighted
     for step in range(1, iters + 1):
         nodes = feature_step(nodes, weighted)
         nodes = bound(original, nodes) if bounded else nodes

@@ -7,7 +7,7 @@ import numpy as np
 #: Numbers a block of distances holds at most.
 BLOCK = 4_000_000
 #: Windows up to this size multiply by a dense matrix.
-DENSE = 1200
+DENSE = 500
 
 
 def mean_filled(x: np.ndarray) -> np.ndarray:

@@ -56,24 +56,26 @@ def attend(h: Var, theta: dict[str, Var], layer: int, graph: Graph) -> Var:
     return Var(made, (c, far), lambda g: ((g[graph.src] * far.data).sum(axis=1), c.data[:, None] * g[graph.src]))
 
 
-def message(h: Var, theta: dict[str, Var], layer: int, shape: Shape, graph: Graph, op) -> Var:
+def message(h: Var, theta: dict[str, Var], layer: int, shape: Shape, graph: Graph, op, summed: np.ndarray | None = None) -> Var:
+    """summed: the weighted sums of h over neighbours, where they are known already."""
     if shape.module == "gat":
         z = attend(h, theta, layer, graph) if len(graph.src) else h @ theta[f"msg{layer}.near"] * 0.0
     else:
-        z = linear_map(h, *op) @ theta[f"msg{layer}.near"]
+        z = (linear_map(h, *op) if summed is None else Var(summed)) @ theta[f"msg{layer}.near"]
         if shape.module == "sage":
             z = z + h @ theta[f"msg{layer}.self"]
     z = z + theta[f"msg{layer}.bias"]
     return relu(z) if shape.act else z
 
 
-def forward(theta: dict[str, Var], x0: np.ndarray, seen: np.ndarray, shape: Shape, graph: Graph, op=None) -> tuple[list[Var], Var]:
-    """(what each layer makes before observed cells are put back, the last rows after)."""
+def forward(theta: dict[str, Var], x0: np.ndarray, seen: np.ndarray, shape: Shape, graph: Graph, op=None, summed: np.ndarray | None = None) -> tuple[list[Var], Var]:
+    """(what each layer makes before observed cells are put back, the last rows after). summed: the first layer's sums
+    over neighbours, which no weight changes."""
     op = op or graph.operator("row" if shape.module == "sage" else "sym")
     h, made = Var(x0), []
     for layer in range(shape.layers):
         at = 0 if shape.tie else layer
-        out = message(h, theta, at, shape, graph, op) @ theta[f"rec{at}.out"] + theta[f"rec{at}.bias"]
+        out = message(h, theta, at, shape, graph, op, None if layer else summed) @ theta[f"rec{at}.out"] + theta[f"rec{at}.bias"]
         made.append(out)
         h = out * (1.0 - seen) + x0 * seen if shape.bound else out
     return made, h
@@ -106,9 +108,10 @@ def fit(x0: np.ndarray, seen: np.ndarray, truth: np.ndarray, held: np.ndarray, g
     optimiser, op = Adam(train.lr, train.decay, train.decoupled), graph.operator("row" if shape.module == "sage" else "sym")
     best, best_x, best_theta, trace, stale = np.inf, x0, theta, [], 0
     lams = (*train.lams, *[train.lams[-1]] * shape.layers)[: shape.layers]
+    summed = op[0](x0) if shape.module != "gat" else None
     for _ in range(train.epochs):
         weights = {k: Var(v) for k, v in theta.items()}
-        made, h = forward(weights, x0, seen, shape, graph, op)
+        made, h = forward(weights, x0, seen, shape, graph, op, summed)
         error = float(np.abs(made[-1].data - truth)[held].mean()) if held.any() else -float(len(trace))
         trace.append(error)
         stale += 1

@@ -19,6 +19,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from streamfill.plans.continuous import Chain
 from streamfill.plans.impute import Options
 from streamfill.schema import attributes
+from streamfill.sources.tables import STREAM_BITS, joined_id
 
 
 def window_rows(events: DataFrame, seconds: int, bucket: int, names: tuple[str, ...], *, stream: str = "user_id", kind: str = "event_type", value: str = "value", time_col: str = "ts", lateness: str = "1 day") -> DataFrame:
@@ -27,13 +28,29 @@ def window_rows(events: DataFrame, seconds: int, bucket: int, names: tuple[str,
     mean = lambda n: F.floor(F.try_divide(F.sum(F.when(F.col(kind) == n, cents)) * 100, F.count_if(F.col(kind) == n))).cast("double")
     rows = events.withWatermark(time_col, lateness).groupBy(F.window(time_col, f"{bucket} seconds").alias("w"), F.col(stream).cast("string").alias("stream_id")).agg(*(mean(n).alias(f"x{d}") for d, n in enumerate(names)))
     start = F.unix_seconds(F.col("w.start"))
-    return rows.select(F.col("w.end").alias("closes"), F.floor(start / seconds).cast("long").alias("window_id"), "stream_id", (F.floor(start / bucket) * 10_000_000 + F.col("stream_id").cast("long")).alias("inst_id"), *(f"x{d}" for d in range(len(names))))
+    return rows.select(F.col("w.end").alias("closes"), F.floor(start / seconds).cast("long").alias("window_id"), "stream_id", joined_id(F.floor(start / bucket), F.col("stream_id").cast("long"), STREAM_BITS).alias("inst_id"), *(f"x{d}" for d in range(len(names))))
 
 
 def deduplicated(events: DataFrame, key: str = "event_id", time_col: str = "ts", lateness: str = "1 day") -> DataFrame:
     return events.withWatermark(time_col, lateness).dropDuplicatesWithinWatermark([key])
 
 
+def flushed(rows: DataFrame, time_col: str = "ts", after: str = "400 days") -> DataFrame:
+    """One row past the last event time, whose text columns say flush: at a stream's end it moves the watermark on, so
+    that the last windows close too."""
+    last = rows.agg((F.max(time_col) + F.expr(f"INTERVAL {after}")).alias("last"))
+    text = {f.name for f in rows.schema if f.dataType.typeName() == "string"}
+    made = [F.col("last").alias(c) if c == time_col else (F.lit("flush") if c in text else F.lit(None).cast(rows.schema[c].dataType)).alias(c) for c in rows.columns]
+    return last.select(*made)
+
+
+def split_late(rows: DataFrame, watermark: int, position: str = "t") -> tuple[DataFrame, DataFrame]:
+    """(rows at or past the watermark, the late ones): late rows as an output of their own, as closed windows are never
+    trained again."""
+    late = F.col(position) < watermark
+    return rows.where(~late | F.col(position).isNull()), rows.where(late)
+
+
 def live(rows: DataFrame, o: Options, seconds: int, scale: tuple[tuple[float, ...], tuple[float, ...]], *, time_col: str = "ts", lateness: str = "0 seconds", shards: int = 1) -> DataFrame:
     """Imputed rows of closed windows. rows: a stream of window_id, stream_id, inst_id, x... and an event time.
     scale: means and deviations of the attributes, as a stream has no last row to fit them on."""
@@ -69,24 +86,44 @@ def live(rows: DataFrame, o: Options, seconds: int, scale: tuple[tuple[float, ..
     return dealt.groupBy("shard").applyInPandasWithState(step, out, "state binary", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def by_batches(batches: DataFrame, sink: str, o: Options, scale: tuple[tuple[float, ...], tuple[float, ...]], folder: str):
-    """The same chain by micro-batches, each holding whole windows: cache and weights are a file of the driver's between
-    them. For sources that deliver a window at a time; returns the started query."""
+def by_batches(batches: DataFrame, sink: str, o: Options, scale: tuple[tuple[float, ...], tuple[float, ...]], folder: str, shards: int = 1):
+    """The same chains by micro-batches, each holding whole windows, for sources that deliver a window at a time; returns
+    the started query.
+
+    Shards meet their state in a cogroup, so rows stay on the executors. What a batch makes, rows and states, is
+    written under its number before anything else reads it, and written over if the batch is run again: a restart takes
+    the state of the batch before and gives the same rows once.
+    """
     xs = attributes(batches)
     mean, deviation = np.array(scale[0]), np.array(scale[1])
-    chain = Chain(o)
+    names = ["shard", "window_id", "stream_id", "inst_id", *xs, "cached", "state"]
+    schema = "shard int, window_id long, stream_id string, inst_id long, " + ", ".join(f"{c} double" for c in xs) + ", cached int, state binary"
 
-    def step(batch: DataFrame, _: int) -> None:
-        rows = batch.toPandas().sort_values(["window_id", "inst_id"])
+    def chain_on(key: tuple, rows: pd.DataFrame, states: pd.DataFrame) -> pd.DataFrame:
+        chain = Chain(o, int(key[0]))
+        if len(states):
+            chain.cache, chain.theta = pickle.loads(states["state"].iloc[0])
         made = []
-        for w, part in rows.groupby("window_id"):
+        for w, part in rows.sort_values(["window_id", "inst_id"]).groupby("window_id"):
             x = (part[xs].to_numpy(np.float64) - mean) / deviation
             streams = np.unique(part["stream_id"].to_numpy(str), return_inverse=True)[1]
-            out, _cached = chain.step(int(w), x, streams, part["inst_id"].to_numpy())
-            part = part.copy()
+            out, cached = chain.step(int(w), x, streams, part["inst_id"].to_numpy())
+            part = part.assign(cached=cached, state=None)
             part[xs] = np.where(np.isnan(x), out.x * deviation + mean, part[xs].to_numpy(np.float64))
-            made.append(part)
-        if made:
-            batch.sparkSession.createDataFrame(pd.concat(made), batch.schema).write.mode("append").parquet(sink)
-
-    return batches.writeStream.foreachBatch(step).option("checkpointLocation", folder).trigger(availableNow=True).start()
+            made.append(part[names])
+        state = {c: [None] for c in names} | {"shard": [int(key[0])], "state": [pickle.dumps((chain.cache, chain.theta))]}
+        return pd.concat([*made, pd.DataFrame(state)[names]], ignore_index=True)
+
+    def step(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        rows = batch.withColumn("stream_id", F.col("stream_id").cast("string"))
+        rows = rows.select(F.pmod(F.xxhash64("stream_id"), F.lit(shards)).cast("int").alias("shard"), "window_id", "stream_id", "inst_id", *xs)
+        made = f"{folder}/made"
+        last = number - 1
+        states = spark.read.schema(schema).parquet(f"{made}/batch={last}").where("state is not null") if last >= 0 else spark.createDataFrame([], schema)
+        out = rows.groupBy("shard").cogroup(states.select("shard", "state").groupBy("shard")).applyInPandas(chain_on, schema)
+        out.write.mode("overwrite").parquet(f"{made}/batch={number}")
+        done = spark.read.schema(schema).parquet(f"{made}/batch={number}").where("state is null")
+        done.drop("state", "shard").write.mode("overwrite").parquet(f"{sink}/batch={number}")
+
+    return batches.writeStream.foreachBatch(step).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()

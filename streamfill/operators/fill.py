@@ -4,22 +4,31 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from streamfill.schema import attributes
 
 
-def means(df: DataFrame, whole: bool = False) -> DataFrame:
-    """Observed means of each window, u0, u1, ...; `whole` rounds them down. A dimension nobody observed has 0."""
+def means(df: DataFrame, whole: bool = False, empty_dim: str = "zero") -> DataFrame:
+    """Observed means of each window, u0, u1, ...; `whole` rounds them down. A dimension that nobody observed has 0, or
+    (carry) the mean of the last window before that has one; there is a row for each window, so the window function
+    that looks back runs over as many rows."""
     made = lambda c: F.floor(F.avg(c)).cast("double") if whole else F.avg(c)
-    return df.groupBy("window_id").agg(*(F.coalesce(made(c), F.lit(0.0)).alias(f"u{c[1:]}") for c in attributes(df)))
+    us = [f"u{c[1:]}" for c in attributes(df)]
+    out = df.groupBy("window_id").agg(*(made(c).alias(u) for c, u in zip(attributes(df), us, strict=True)))
+    if empty_dim == "carry":
+        back = Window.orderBy("window_id").rowsBetween(Window.unboundedPreceding, 0)
+        out = out.withColumns({u: F.last(u, ignorenulls=True).over(back) for u in us})
+    elif empty_dim != "zero":
+        raise ValueError("empty_dim is zero or carry")
+    return out.withColumns({u: F.coalesce(u, F.lit(0.0)) for u in us})
 
 
-def mean_fill(df: DataFrame, whole: bool = False) -> DataFrame:
+def mean_fill(df: DataFrame, whole: bool = False, empty_dim: str = "zero") -> DataFrame:
     """Missing cells get their window's mean. A missing cell's own row adds nothing to it, so this is the mean of the others."""
     xs = attributes(df)
-    return df.join(means(df, whole), "window_id").select("window_id", "stream_id", "inst_id", *(F.coalesce(c, f"u{c[1:]}").alias(c) for c in xs))
+    return df.join(means(df, whole, empty_dim), "window_id").select("window_id", "stream_id", "inst_id", *(F.coalesce(c, f"u{c[1:]}").alias(c) for c in xs))
 
 
 @dataclass(frozen=True)

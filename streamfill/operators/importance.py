@@ -7,7 +7,7 @@ in place of the product of the mask with itself.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from streamfill.operators.masks import observed, packed
@@ -44,6 +44,13 @@ def scores(df: DataFrame, normalise: bool = True) -> DataFrame:
     return out.withColumn("phi", phi / max(1, len(xs) - 1) if normalise else phi).drop("n", *(f"c{c[1:]}" for c in xs))
 
 
+def bounded(df: DataFrame, eta: float, max_cache: int) -> DataFrame:
+    """Rows that reach eta, at most so many a window: the most important and then the latest first."""
+    kept = select(df, eta)
+    order = Window.partitionBy("window_id").orderBy(F.desc("phi"), F.desc("inst_id"))
+    return kept.withColumn("place", F.row_number().over(order)).where(F.col("place") <= max_cache).drop("place")
+
+
 def select(df: DataFrame, eta: float = 0.6, mode: str = "absolute", strict: bool = False) -> DataFrame:
     """Rows whose normalised importance reaches eta; in mode quantile, the top 1 - eta of each window."""
     scored = scores(df)

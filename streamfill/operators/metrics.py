@@ -48,6 +48,20 @@ def cubed(scored: DataFrame, *by: str) -> DataFrame:
     return scored.cube(*by).agg(*_errors())
 
 
+def grouped_by_sets(scored: DataFrame, *sets: tuple[str, ...]) -> DataFrame:
+    """Errors of several groupings at once, each a tuple of columns."""
+    columns = sorted({c for s in sets for c in s})
+    return scored.groupingSets([[F.col(c) for c in s] for s in sets], *columns).agg(*_errors())
+
+
+def resume_gain(scratch: DataFrame, resumed: DataFrame) -> DataFrame:
+    """What starting from the last window's weights saves, by window: seconds and epochs to the best of both, and the
+    differences. Both come from the same chunks, with seconds and best epochs as the engine reports them."""
+    cost = lambda df, name: df.groupBy("window_id").agg(F.max("total_s").alias(f"{name}_s"), F.max("best_epoch").alias(f"{name}_epoch"))
+    both = cost(scratch, "scratch").join(cost(resumed, "resumed"), "window_id")
+    return both.withColumns({"gain_s": F.col("scratch_s") - F.col("resumed_s"), "gain_epochs": F.col("scratch_epoch") - F.col("resumed_epoch")})
+
+
 def denominators(scored: DataFrame, method: str = "method") -> DataFrame:
     return scored.groupBy(method).agg(F.avg(F.abs("truth")).alias("magnitude"), F.count("*").alias("n_cells"))
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from streamfill.schema import seconds
+from streamfill.schema import attributes, seconds
 
 
 def join(left: DataFrame, right: DataFrame, on, how: str = "inner", strategy: str | None = None) -> DataFrame:
@@ -72,3 +72,10 @@ def linear(df: DataFrame, xs: list[str], position: str = "inst_id") -> DataFrame
         line = p["v"] + (n["v"] - p["v"]) * (F.col(position) - p["t"]) / (n["t"] - p["t"])
         out[c] = F.coalesce(F.col(c), line, p["v"], n["v"])
     return df.withColumns(out)
+
+
+def collect_chunk(df: DataFrame) -> DataFrame:
+    """(window_id, rows): a window's rows as one array of structs (inst_id, stream_id, x), in order of their ids. For
+    windows that fit in a task; larger ones are split first."""
+    row = F.struct("inst_id", "stream_id", F.array(*attributes(df)).alias("x"))
+    return df.groupBy("window_id").agg(F.sort_array(F.collect_list(row)).alias("rows"))

@@ -35,7 +35,7 @@ def each(text: str, sep: str = ", ") -> str:
 SECONDS = "CAST(floor(epoch(ts)) AS BIGINT)"
 EV = (
     f"e AS (SELECT user_id, {SECONDS} // 3600 AS b, event_type, CAST(round(value * 100) AS BIGINT) AS c FROM events), "
-    "ev AS (SELECT CAST(b // 24 AS BIGINT) AS window_id, user_id AS stream_id, b * 10000000 + user_id AS inst_id, "
+    "ev AS (SELECT CAST(b // 24 AS BIGINT) AS window_id, user_id AS stream_id, b * 8796093022208 + user_id AS inst_id, "
     + ", ".join(f"CAST(CAST(sum(c) FILTER (WHERE event_type = '{t}') AS BIGINT) * 100 // count(*) FILTER (WHERE event_type = '{t}') AS DOUBLE) AS x{d}" for d, t in enumerate(tables.EVENT_TYPES))
     + " FROM e GROUP BY user_id, b)"
 )
@@ -60,7 +60,7 @@ PHI = (
 )
 CELLS = each("SELECT window_id, inst_id, # AS dim, x# AS val FROM {0}", " UNION ALL ")
 REMOVED = (
-    f"rc AS ({CELLS.format('ev')}), gone AS (SELECT window_id, inst_id, dim, val AS truth FROM rc WHERE val IS NOT NULL AND {SHARE.format("concat_ws(':', 3, inst_id, dim)")} < 0.3), "
+    f"rc AS MATERIALIZED ({CELLS.format('ev')}), gone AS MATERIALIZED (SELECT window_id, inst_id, dim, val AS truth FROM rc WHERE val IS NOT NULL AND {SHARE.format("concat_ws(':', 3, inst_id, dim)")} < 0.3), "
     f"left_over AS (SELECT window_id, stream_id, inst_id, {each('CASE WHEN ' + SHARE.format(chr(99) + 'oncat_ws(' + chr(39) + ':' + chr(39) + ', 3, inst_id, #)') + ' >= 0.3 THEN x# END AS x#')} FROM ev)"
 )
 SCORED = (
@@ -129,7 +129,7 @@ def doc_features(spark, sf):
     return d.select("window_id", "stream_id", "inst_id", back("x0").alias("n_chars"), back("x3").alias("digits"), back("x4").alias("capitals"), F.col("x6").cast("int").alias("quality"), F.col("x7").cast("int").alias("toxic"))
 
 
-@query("""SELECT CAST(turn // 2 AS BIGINT) AS window_id, conv_id AS stream_id, conv_id * 1000 + turn AS inst_id,
+@query("""SELECT CAST(turn // 2 AS BIGINT) AS window_id, conv_id AS stream_id, conv_id * 1048576 + turn AS inst_id,
     CASE WHEN role = 'assistant' THEN CAST(length(text) AS DOUBLE) END AS x0, CASE WHEN role = 'system' THEN CAST(length(text) AS DOUBLE) END AS x1, CASE WHEN role = 'user' THEN CAST(length(text) AS DOUBLE) END AS x2 FROM conversations""")
 def conv_roles(spark, sf):
     return tables.conv(spark, sf)
@@ -266,7 +266,7 @@ def feature_prop_unbound(spark, sf):
 
 
 ROW_WEIGHTED = WEIGHTED.replace("1.0 / sqrt(CAST(s.k * t.k AS DOUBLE)) AS w", "1.0 / s.k AS w")
-MATRIX = [[1.0 if i == j else 0.1371717 * ((i + 2 * j) % 3) for j in D] for i in D]
+MATRIX = [[1.0 if i == j else 0.137171713 * ((i + 2 * j) % 3) for j in D] for i in D]
 
 
 @query(f"WITH {ROW_WEIGHTED}, {STEP.format('s1', 'f')} SELECT window_id, stream_id, inst_id, {', '.join('round(' + ' + '.join(f'x{i} * {MATRIX[i][j]}' for i in D) + f', 3) AS x{j}' for j in D)} FROM s1")
@@ -411,13 +411,13 @@ def denominators(spark, sf):
     return metrics.denominators(both).withColumn("magnitude", F.round("magnitude", 6))
 
 
-@query(f"WITH {EV}, {REMOVED} SELECT rc.window_id, rc.inst_id, rc.dim, val FROM rc SEMI JOIN gone ON rc.inst_id = gone.inst_id AND rc.dim = gone.dim")
+@query(f"WITH {EV}, {REMOVED} SELECT window_id, inst_id, dim, val FROM rc WHERE CAST(inst_id AS HUGEINT) * 8 + dim IN (SELECT CAST(inst_id AS HUGEINT) * 8 + dim FROM gone)")
 def semi_eval_cells(spark, sf):
     df = ev(spark, sf)
     return masks.cells(df).join(masks.remove_cells(df, 0.3, 3)[1], ["inst_id", "dim"], "left_semi").select("window_id", "inst_id", "dim", "val")
 
 
-@query(f"WITH {EV}, {REMOVED} SELECT rc.window_id, rc.inst_id, rc.dim, val FROM rc ANTI JOIN gone ON rc.inst_id = gone.inst_id AND rc.dim = gone.dim WHERE val IS NOT NULL")
+@query(f"WITH {EV}, {REMOVED} SELECT window_id, inst_id, dim, val FROM rc WHERE val IS NOT NULL AND CAST(inst_id AS HUGEINT) * 8 + dim NOT IN (SELECT CAST(inst_id AS HUGEINT) * 8 + dim FROM gone)")
 def anti_missing_cells(spark, sf):
     df = ev(spark, sf)
     return masks.cells(df).where("val is not null").join(masks.remove_cells(df, 0.3, 3)[1], ["inst_id", "dim"], "left_anti").select("window_id", "inst_id", "dim", "val")

@@ -8,15 +8,17 @@ from __future__ import annotations
 
 from dataclasses import replace
 from functools import partial
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from streamfill.functions import nets, sequence
 from streamfill.operators import graph as edges
-from streamfill.operators import masks, windows
+from streamfill.operators import masks, metrics, windows
 from streamfill.operators.fill import Scaler
 from streamfill.plans import continuous
+from streamfill.plans.catalog import ORACLES
 from streamfill.plans.impute import METHODS, Options, run_windows, seeded, snapshot
 from streamfill.schema import attributes
 from streamfill.sources.durable import settle
@@ -55,13 +57,27 @@ def errors(gone: DataFrame, out: DataFrame, labels: dict[int, dict]) -> DataFram
     return both.join(F.broadcast(rows), "cfg").select(*names, *both.columns[1:])
 
 
-def sweep(df: DataFrame, rate: float, options: dict[int, Options], labels: dict[int, dict], seed: int = 0, shards: int = 1) -> DataFrame:
-    """Settings over one fixture. The imputed rows are settled, for both errors and costs read them."""
+def sweep(df: DataFrame, rate: float, options: dict[int, Options], labels: dict[int, dict], seed: int = 0, shards: int = 1, alone: bool = False) -> DataFrame:
+    """Settings over one fixture. The imputed rows are settled, for both errors and costs read them. alone: one setting
+    after the other, so that the seconds of one are not those of its neighbours."""
     left, gone = prepared(df, rate, seed)
-    left = settle(left)
+    left, gone = settle(left), settle(gone)
     chained = any(o.mode != "periodic" for o in options.values())
-    out = settle(continuous.run(left, options, shards) if chained else run_windows(left, options))
-    return errors(gone, out, labels)
+    run = lambda some: settle(continuous.run(left, some, shards) if chained else run_windows(left, some))
+    out = union([run({k: o}) for k, o in options.items()]) if alone else run(options)
+    return errors(gone, out, labels).withColumn("seed", F.lit(seed))
+
+
+#: Results of the workloads that others read, by session, folder and name.
+_kept: dict[tuple, DataFrame] = {}
+
+
+def kept(spark: SparkSession, sf_dir: str, name: str, make) -> DataFrame:
+    """make(), settled; a second call in the session reads the same table."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _kept:
+        _kept[key] = settle(make())
+    return _kept[key]
 
 
 def union(parts: list[DataFrame]) -> DataFrame:
@@ -71,13 +87,13 @@ def union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def over(spark: SparkSession, sf_dir: str, fixtures: tuple, rates: tuple, options: list[tuple[dict, Options]], seed: int = 0, **more) -> DataFrame:
+def over(spark: SparkSession, sf_dir: str, fixtures: tuple, rates: tuple, options: list[tuple[dict, Options]], seed: int = 0, alone: bool = False, **more) -> DataFrame:
     """Every fixture at every rate under every setting."""
     parts = []
     for name in fixtures:
         df = fixture(spark, sf_dir, name, **more)
         for rate in rates if not isinstance(rates, dict) else rates[name]:
-            parts.append(sweep(df, rate, {k: o for k, (_, o) in enumerate(options)}, {k: {"fixture": name, "rate": rate, **lab} for k, (lab, _) in enumerate(options)}, seed))
+            parts.append(sweep(df, rate, {k: o for k, (_, o) in enumerate(options)}, {k: {"fixture": name, "rate": rate, **lab} for k, (lab, _) in enumerate(options)}, seed, alone=alone))
     return union(parts)
 
 
@@ -109,7 +125,7 @@ def w1_effectiveness_wide(spark, sf_dir):
 
 def w2_time(spark, sf_dir, fixtures=("ev", "doc", "lowrank", "li", "emb")):
     """Seconds a window at the default rate, building the graph included."""
-    return over(spark, sf_dir, fixtures, {name: RATES[name][-1:] for name in fixtures}, methods()).select("fixture", "method", "graph_s", "seconds", "n_windows")
+    return over(spark, sf_dir, fixtures, {name: RATES[name][-1:] for name in fixtures}, methods(), alone=True).select("fixture", "method", "graph_s", "seconds", "n_windows")
 
 
 def w3_memory(spark, sf_dir):
@@ -133,19 +149,25 @@ RATIOS = (0.01, *(k / 10 for k in range(1, 11)))
 
 
 def w4_window_length(spark, sf_dir, lengths=LENGTHS):
-    parts = []
-    for name, t in ((name, t) for name, ts in lengths.items() for t in ts):
-        df = fixture(spark, sf_dir, name, window=t)
-        parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(SEQ, BASE))), {k: {"fixture": name, "length": t, "method": m} for k, m in enumerate(SEQ)}))
-    return union(parts)
+    def make():
+        parts = []
+        for name, t in ((name, t) for name, ts in lengths.items() for t in ts):
+            df = fixture(spark, sf_dir, name, window=t)
+            parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(SEQ, BASE))), {k: {"fixture": name, "length": t, "method": m} for k, m in enumerate(SEQ)}, alone=True))
+        return union(parts)
+
+    return kept(spark, sf_dir, f"w4 {lengths}", make)
 
 
 def w5_stream_ratio(spark, sf_dir, ratios=RATIOS, fixtures=("ev", "li", "roll"), names=SEQ):
-    parts = []
-    for name, r in ((name, r) for name in fixtures for r in ratios):
-        df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)
-        parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(names, BASE))), {k: {"fixture": name, "ratio": r, "method": m} for k, m in enumerate(names)}))
-    return union(parts)
+    def make():
+        parts = []
+        for name, r in ((name, r) for name in fixtures for r in ratios):
+            df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)
+            parts.append(sweep(df, RATES[name][-1], dict(enumerate(o for _, o in methods(names, BASE))), {k: {"fixture": name, "ratio": r, "method": m} for k, m in enumerate(names)}, alone=True))
+        return union(parts)
+
+    return kept(spark, sf_dir, f"w5 {ratios} {fixtures} {names}", make)
 
 
 def modes(base: Options) -> list[tuple[dict, Options]]:
@@ -158,7 +180,7 @@ def w6_continuous(spark, sf_dir, ratios=(0.01, 0.1, 1.0), rate=0.4, name="li"):
     parts = []
     for r in ratios:
         df = masks.keep_streams(fixture(spark, sf_dir, name), r, 1)
-        parts.append(sweep(df, rate, dict(enumerate(o for _, o in modes(base))), {k: {"ratio": r, **lab} for k, (lab, _) in enumerate(modes(base))}))
+        parts.append(sweep(df, rate, dict(enumerate(o for _, o in modes(base))), {k: {"ratio": r, **lab} for k, (lab, _) in enumerate(modes(base))}, alone=True))
     return union(parts)
 
 
@@ -171,7 +193,7 @@ def w7_irregular(spark, sf_dir, ratios=(0.001, 0.01, 0.1, 1.0), rate=0.5):
 
 
 def w8_absolute_errors(spark, sf_dir):
-    """Absolute errors by window length and by ratio of streams."""
+    """Absolute errors by window length and by ratio of streams, from the same runs as the relative ones."""
     a = w4_window_length(spark, sf_dir).select("fixture", F.lit("length").alias("axis"), F.col("length").alias("at"), "method", "mae")
     b = w5_stream_ratio(spark, sf_dir).select("fixture", F.lit("ratio").alias("axis"), F.col("ratio").alias("at"), "method", "mae")
     return a.unionByName(b)
@@ -229,6 +251,22 @@ def w17_splitting(spark, sf_dir, sizes=(None, 500, 200), rate=0.4):
     return union(parts)
 
 
+def w20_grid(spark, sf_dir, axes=None):
+    """A full grid of settings over one fixture: metric, neighbours, layers, width and module together."""
+    axes = axes or {"metric": ("euclidean", "cosine"), "k": (5, 10), "layers": (1, 2), "width": (None, 16), "module": ("sage", "gcn")}
+    points = [dict(zip(axes, v, strict=True)) for v in product(*axes.values())]
+    return one(spark, sf_dir, [(p, replace(BASE, **p)) for p in points], "lowrank")
+
+
+def resume_gain(spark, sf_dir):
+    """Seconds and epochs to the best, from scratch and from the last window's message weights, by window of the event
+    fixture; one after the other, on the same rows."""
+    df = fixture(spark, sf_dir, "ev")
+    left = settle(Scaler.fit(df).transform(df))
+    scratch, resumed = (settle(continuous.run(left, {0: replace(BASE, mode=m)}, side_by_side=False)) for m in ("periodic", "model_carry"))
+    return metrics.resume_gain(scratch, resumed)
+
+
 def w18_space(spark, sf_dir):
     """Cached rows by window for each way of carrying."""
     df = fixture(spark, sf_dir, "ev")
@@ -291,7 +329,7 @@ def stream_dual_carry(spark, sf_dir, epochs=25):
     xs = attributes(df)
     folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
     # bring the instances into event time; a last row past the end closes the last window
-    rows = df.withColumn("ts", F.timestamp_seconds(F.floor(F.col("inst_id") / tables.STREAMS) * HOUR))
+    rows = df.withColumn("ts", F.timestamp_seconds(tables.bucket_of(F.col("inst_id")) * HOUR))
     last = rows.agg(F.max("window_id").alias("w")).select((F.col("w") + 2).alias("window_id"), F.lit("end").alias("stream_id"), F.lit(0).cast("long").alias("inst_id"), *(F.lit(None).cast("double").alias(c) for c in xs), F.timestamp_seconds((F.col("w") + 2) * DAY).alias("ts"))
     rows.unionByName(last).coalesce(1).write.parquet(f"{folder}/in")
     source = spark.readStream.schema(rows.schema).parquet(f"{folder}/in")
@@ -301,8 +339,20 @@ def stream_dual_carry(spark, sf_dir, epochs=25):
     return spark.read.parquet(f"{folder}/out")
 
 
-QUERIES = {k: f for k, f in globals().items() if k[:1] == "w" and k[1:2].isdigit()}
+_WORKLOADS = {k: f for k, f in globals().items() if k[:1] == "w" and k[1:2].isdigit()}
+QUERIES = {}
 QUERIES |= {f"propnet_{m}": _whole("doc", method="propnet", module=m, epochs=EPOCHS) for m in ("sage", "gcn", "gat")}
 QUERIES |= {"propnet_ev": _whole("ev", method="propnet", epochs=EPOCHS), "mf": _whole("doc", method="mf"), "mice": _whole("doc", method="mice"), "mice_multiple": _whole("doc", method="mice", draws=3), "fp_converged": _whole("doc", method="fp", iters=200, tol=1e-6)}
 QUERIES |= {"knn_nan": _whole("doc", method="knn", knn_metric="nan"), "brits": _whole("doc", method="brits"), "saits": _whole("doc", method="saits"), "mf_soft": _whole("lowrank", method="mf", shrink=0.5)}
-QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "propnet_distributed": propnet_distributed, "stream_dual_carry": partial(stream_dual_carry, epochs=EPOCHS)}
+QUERIES |= {m: _mode(m) for m in continuous.MODES[:4]} | {"cache_all": _mode("all", method="mf")} | {"approximate_recall": approximate_recall, "propnet_distributed": propnet_distributed, "resume_gain": resume_gain, "stream_dual_carry": partial(stream_dual_carry, epochs=EPOCHS)}
+#: Those that take long are last, w8 after the two whose runs it reads.
+_LONG = ("w1_effectiveness_wide", "w7_irregular", "w6_continuous", "w1_effectiveness_dense", "w2_time", "w4_window_length", "w5_stream_ratio", "w8_absolute_errors")
+QUERIES |= {k: f for k, f in _WORKLOADS.items() if k not in _LONG} | {k: _WORKLOADS[k] for k in _LONG}
+
+#: Sizes by formula: two layers of three matrices; two ways; two blocks; 4 bytes a number.
+ORACLES["w3_memory"] = """
+    WITH s AS (SELECT *, CAST(greatest(32, 2 * dims) AS BIGINT) AS f, 32 AS h FROM (VALUES ('ev', 5), ('doc', 8), ('li', 11), ('lowrank', 16), ('emb', 64)) AS t(fixture, dims))
+    SELECT fixture, dims, 'propnet' AS method, 2 * (3 * dims * f + f + dims) * 4 / 1e6 AS model_mb FROM s
+    UNION ALL SELECT fixture, dims, 'brits', 2 * (4 * dims * h + 4 * dims * dims + h * h + 2 * h + 4 * dims) * 4 / 1e6 FROM s
+    UNION ALL SELECT fixture, dims, 'saits', (2 * (3 * dims * h + 8 * h * h + 3 * h + dims) + 2 * dims * dims + dims) * 4 / 1e6 FROM s
+"""

@@ -5,9 +5,10 @@ import os
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from streamfill.operators import fill, graph, masks, propagate, relational, windows
-from streamfill.plans import catalog, continuous, workloads
+from streamfill.plans import catalog, continuous, surface, workloads  # noqa: F401
 from streamfill.plans.impute import Options, run_windows, snapshot
 from streamfill.schema import InstanceSchema, TimeAxis, attributes
 from streamfill.sources.tables import fixture
@@ -61,12 +62,73 @@ def test_snapshot_keeps_observed_cells(spark, sf_dir):
     assert np.array_equal(np.stack(out.is_imputed), ~seen)
 
 
+def test_snapshot_keeps_every_row(spark):
+    rows = [(1, "a", 5, 1.0, None), (1, "a", 5, None, 4.0), (1, "a", 5, 3.0, 2.0), (None, "b", 6, None, 1.0), (None, "b", 7, 2.0, None), (2, None, None, 1.0, None)]
+    df = spark.createDataFrame(rows, "window_id long, stream_id string, inst_id long, x0 double, x1 double")
+    for method in ("mean", "propnet", "fp", "knn"):
+        out = snapshot(df, method, epochs=3).collect()
+        assert len(out) == len(rows), method
+        assert sorted(str((r.window_id, r.inst_id, *r.is_imputed)) for r in out) == sorted(str((w, i, a is None, b is None)) for w, _, i, a, b in rows)
+        assert {(r.x0, r.x1) for r in out if r.window_id == 1} >= {(3.0, 2.0)}
+    assert {r.x0 for r in snapshot(df, "mean").where("window_id is null").collect()} == {2.0}
+
+
+def test_blocks_find_the_same_neighbours(spark, sf_dir):
+    df = fixture(spark, sf_dir, "lowrank")
+    plain = lambda d: sorted((r.window_id, r.src, r.dst, r["rank"]) for r in d.collect())
+    for metric in ("euclidean", "cosine"):
+        whole = plain(graph.nearest(df, 7, metric))
+        assert whole == plain(graph.nearest(df, 7, metric, block_rows=40))
+        near = graph.pairs(df, metric).toPandas().sort_values(["window_id", "src", "dist", "dst"]).groupby(["window_id", "src"]).head(7)
+        assert {x[:3] for x in whole} == set(near[["window_id", "src", "dst"]].itertuples(index=False, name=None))
+
+
+def test_gramian_imputers_equal_the_kernels(spark, sf_dir):
+    from streamfill.operators import regress
+
+    left, _ = masks.remove_cells(fixture(spark, sf_dir, "doc"), 0.3, 3)
+    xs = attributes(left)
+    for made, method, more in ((regress.mice(left, 2), "mice", {"rounds": 2}), (regress.mf(left, 3, 4), "mf", {"rank": 3})):
+        a = made.orderBy("inst_id").toPandas()[xs].to_numpy()
+        if method == "mf":
+            from streamfill.functions import kernels
+
+            whole = left.orderBy("window_id", "inst_id").toPandas()
+            b = np.concatenate([kernels.mf(g[xs].to_numpy(float), 3, iters=4) for _, g in whole.groupby("window_id")])
+            a = made.orderBy("window_id", "inst_id").toPandas()[xs].to_numpy()
+        else:
+            b = run_windows(left, {0: Options(method=method, **more)}).orderBy("inst_id").toPandas()[xs].to_numpy()
+        assert np.allclose(a, b, rtol=1e-6, atol=1e-6), method
+
+
+def test_ids_do_not_meet(spark):
+    from streamfill.sources.tables import STREAM_BITS, bucket_of, joined_id
+
+    rows = [(480_000, 10_000_000), (480_001, 0), (480_000, 20_000_000), (480_002, 0), (-3, 5), (480_000, (1 << STREAM_BITS) - 1)]
+    df = spark.createDataFrame(rows, "b long, u long").withColumn("id", joined_id(F.col("b"), F.col("u"), STREAM_BITS)).withColumn("back", bucket_of(F.col("id")))
+    got = df.collect()
+    assert len({r.id for r in got}) == len(rows) and all(r.back == r.b for r in got)
+    with pytest.raises(Exception, match="no room"):
+        spark.createDataFrame([(1, 1 << STREAM_BITS)], "b long, u long").select(joined_id(F.col("b"), F.col("u"), STREAM_BITS)).collect()
+
+
 def test_shards_are_independent_chains(spark, sf_dir):
     df = fixture(spark, sf_dir, "ev")
     out = continuous.run(df, {0: Options(mode="dual_carry", epochs=3, eta=0.2)}, shards=4).toPandas()
     assert len(out) == df.count() and out.cached.max() > 0
 
 
+def test_windows_side_by_side_equal_the_chain(spark, sf_dir):
+    df = fixture(spark, sf_dir, "ev").where("window_id < 19742")
+    options = {0: Options(mode="data_carry", epochs=3, eta=0.25), 1: Options(mode="all", method="mf"), 2: Options(mode="dual_carry", epochs=3, eta=0.25), 3: Options(mode="periodic", method="fp")}
+    order = lambda d: d.orderBy("cfg", "inst_id").toPandas()
+    a, b = order(continuous.run(df, options)), order(continuous.run(df, options, side_by_side=False))
+    xs = attributes(df)
+    assert len(a) == len(b) == 4 * df.count() and a.cached.max() > 0
+    assert np.array_equal(a[["cfg", "window_id", "inst_id", "cached", "best_epoch"]], b[["cfg", "window_id", "inst_id", "cached", "best_epoch"]])
+    assert np.allclose(a[xs], b[xs], rtol=1e-9)
+
+
 def test_stream_equals_replay(spark, sf_dir):
     live = workloads.stream_dual_carry(spark, sf_dir).where("stream_id <> 'end'").orderBy("inst_id").toPandas()
     df = fixture(spark, sf_dir, "ev")
@@ -78,6 +140,58 @@ def test_stream_equals_replay(spark, sf_dir):
     assert np.allclose(live[xs], batch[xs], rtol=1e-6)
 
 
+def stream_input(spark, sf_dir):
+    from streamfill.sources.tables import DAY, HOUR, bucket_of
+
+    df = fixture(spark, sf_dir, "ev").where("window_id < 19736")
+    xs = attributes(df)
+    rows = df.withColumn("ts", F.timestamp_seconds(bucket_of(F.col("inst_id")) * HOUR))
+    last = rows.agg(F.max("window_id").alias("w")).select((F.col("w") + 2).alias("window_id"), F.lit("end").alias("stream_id"), F.lit(0).cast("long").alias("inst_id"), *(F.lit(None).cast("double").alias(c) for c in xs), F.timestamp_seconds((F.col("w") + 2) * DAY).alias("ts"))
+    scaler = fill.Scaler.fit(df)
+    return rows, last, (scaler.mean, scaler.scale), DAY
+
+
+def test_a_stopped_stream_goes_on_the_same(spark, sf_dir, tmp_path):
+    from streamfill.streaming.live import live
+
+    rows, last, scale, day = stream_input(spark, sf_dir)
+    windows_of = sorted(r.window_id for r in rows.select("window_id").distinct().collect())
+    half = windows_of[len(windows_of) // 2]
+
+    def run(folder, first, then):
+        for part in (first, then):
+            if part is not None:
+                part.coalesce(1).write.mode("append").parquet(f"{folder}/in")
+                source = spark.readStream.schema(rows.schema).parquet(f"{folder}/in")
+                q = live(source, Options(mode="dual_carry", epochs=3, eta=0.25), day, scale).writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
+                q.awaitTermination()
+        return spark.read.parquet(f"{folder}/out").where("stream_id <> 'end'").orderBy("inst_id").toPandas()
+
+    whole = run(f"{tmp_path}/a", rows.unionByName(last), None)
+    cut = run(f"{tmp_path}/b", rows.where(F.col("window_id") <= half), rows.where(F.col("window_id") > half).unionByName(last))
+    assert len(whole) == rows.count() and whole.equals(cut)
+
+
+def test_batches_run_again_give_the_same(spark, sf_dir, tmp_path):
+    from streamfill.streaming.live import by_batches
+
+    rows, _, scale, _ = stream_input(spark, sf_dir)
+    rows = rows.drop("ts").where("window_id < 19733")
+    days = sorted(r.window_id for r in rows.select("window_id").distinct().collect())
+    o = Options(mode="dual_carry", epochs=3, eta=0.25)
+
+    def run(folder, parts):
+        for part in parts:
+            for d in part:
+                rows.where(F.col("window_id") == d).coalesce(1).write.mode("append").parquet(f"{folder}/in")
+            source = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+            by_batches(source, f"{folder}/out", o, scale, f"{folder}/state", shards=2).awaitTermination()
+        return spark.read.parquet(f"{folder}/out").drop("batch").orderBy("window_id", "inst_id").toPandas()
+
+    whole, cut = run(f"{tmp_path}/a", [days]), run(f"{tmp_path}/b", [days[:2], days[2:]])
+    assert len(whole) == rows.count() and whole.cached.max() > 0 and whole.equals(cut)
+
+
 def test_threshold_graph_loses_nothing(spark, sf_dir):
     df = fixture(spark, sf_dir, "lowrank")
     want = graph.pairs(df).where("dist < 0.01").select("window_id", "src", "dst")

@@ -73,6 +73,29 @@ def test_op3_separates_grades(spark, sf_dir):
     assert got[~good].kept.mean() < 0.2
 
 
+def test_op3_scores_match_the_features(spark):
+    """The query's scores against the features one document at a time, with the model fitted again on the same sample."""
+    import numpy as np
+
+    from streamfill.llm import classifier as c
+
+    sf = "/root/testdata/sf0.001"
+    frame = lambda name: spark.read.parquet(f"{sf}/{name}.parquet")
+    model = c.fit(*c.graded(frame("documents"), frame("labels")))
+    got = rows(q.op3_quality_classifier(spark, sf))
+    docs = pd.read_parquet(f"{sf}/documents.parquet")
+    assert sorted(got) == sorted(docs.doc_id)
+    for i, t in zip(docs.doc_id, docs.text, strict=True):
+        at, value, form = c.features(t or "")
+        score = float(model.words[at].astype(float) @ value + form @ model.forms)
+        above = [1 / (1 + np.exp(-(score - cut))) for cut in model.thresholds]
+        assert got[i].expected_grade == pytest.approx(sum(above), abs=1e-5)
+        assert got[i].tail_probability == pytest.approx(above[-1], abs=1e-5)
+        assert got[i].kept == (got[i].tail_probability >= 0.5)
+    ties = c.Model(np.zeros(c.BUCKETS, np.float32), np.zeros(c.FORMS), np.array([-1.0, 0.0]))  # a probability of one half
+    assert all(r.kept and r.tail_probability == 0.5 for r in c.classify(frame("documents"), ties).collect())
+
+
 def test_op5(spark, sf_dir, docs):
     import sentencepiece
 
@@ -194,6 +217,45 @@ def test_op10_replaces_every_mention(spark, sf_dir, docs):
     assert n > 5 and pii.MENTION
 
 
+def test_op10_against_a_plain_version(spark):
+    """Everything outside mentions stays, mentions are those of another library's matcher, one entity has one surrogate
+    and no two have the same, and forms are kept."""
+    import regex
+
+    from streamfill.llm import pii
+
+    sf = "/root/testdata/sf0.01"
+    docs = pd.read_parquet(f"{sf}/documents.parquet")
+    got = rows(q.op10_surrogates(spark, sf))
+    mention = regex.compile(pii.MENTION.replace(r"\p{IsCyrillic}", r"\p{Cyrillic}"))
+    kinds = [(k, regex.compile(f"(?:{p})")) for k, p in pii.TYPES]
+    forward: dict = {}
+    n = 0
+    for i, t in zip(docs.doc_id, docs.text, strict=True):
+        t = t or ""
+        found = list(mention.finditer(t))
+        n += len(found)
+        assert got[i].n_replaced == len(found)
+        new, at, last = got[i].text or "", 0, 0
+        for k, m in enumerate(found):
+            gap = t[last : m.start()]
+            assert new.startswith(gap, at)
+            at += len(gap)
+            until = t[m.end() : found[k + 1].start() if k + 1 < len(found) else len(t)]
+            end = new.index(until, at) if until else len(new)
+            kind = next((k for k, p in kinds if p.fullmatch(m[0])), "name")
+            drawn = new[at:end]
+            if kind in ("ssn", "card", "phone"):
+                assert regex.sub("[0-9]", "0", drawn) == regex.sub("[0-9]", "0", m[0])
+            if kind in ("email", "ip", "ssn", "card"):
+                entity = m[0].lower() if kind == "email" else m[0] if kind == "ip" else regex.sub("[^0-9]", "", m[0])
+                core = regex.sub("[^0-9]", "", drawn) if kind in ("ssn", "card") else drawn
+                assert forward.setdefault((kind, entity), core) == core and core != entity
+            at, last = end, m.end()
+        assert new[at:] == t[last:]
+    assert n > 50 and len({(k, c) for (k, _), c in forward.items()}) == len(forward)
+
+
 def test_pipeline(spark, sf_dir, docs):
     import corpus_pipeline
 

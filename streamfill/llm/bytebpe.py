@@ -281,7 +281,8 @@ def encode(docs: DataFrame, ranks_path: str, pattern: str, *, with_ids: bool = T
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
     chunks = rows.mapInArrow(split, "chunk long, at int, words array<array<tinyint>>, ids array<long>, " + ", ".join(f"{name} binary" for name in BLOBS))
-    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    # as many tasks as the input asks for, whatever the session's setting: a partition of the scan has some chunks
+    n = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 2 * rows.rdd.getNumPartitions())
     chunks = chunks.repartition(n, "chunk").sortWithinPartitions("chunk", "at")
     chunks = chunks.select(fold(F.col("words"), RankTable(ranks)).alias("made"), "ids", *BLOBS)
     return chunks.mapInArrow(strung, "doc_id long, n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string")

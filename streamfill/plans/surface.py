@@ -11,12 +11,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from streamfill.functions import nets
-from streamfill.operators import fill, graph, importance, masks, metrics, regress, relational, windows
-from streamfill.plans.catalog import COSINE, ERRORS, EV, FILLED, GRAPH, OWN, PHI, REMOVED, SCORED, SECONDS, SHARE, TWO, WEIGHTED, D, each, ev, filled, neat, query, scored
-from streamfill.plans.impute import snapshot
+from streamfill.operators import fill, graph, importance, masks, metrics, propagate, regress, relational, windows
+from streamfill.plans import continuous
+from streamfill.plans.catalog import COSINE, ERRORS, EV, FILLED, GRAPH, NEAR, OWN, PHI, REMOVED, ROUNDED, SCORED, SECONDS, SHARE, STEP, TWO, WEIGHTED, D, each, ev, filled, neat, query, rounded, scored
+from streamfill.plans.impute import Options, snapshot
 from streamfill.schema import attributes, seconds
 from streamfill.sources import tables
 from streamfill.sources.durable import settle, shared_folder
+from streamfill.streaming.live import flushed
 
 
 def events(spark: SparkSession, sf: str) -> DataFrame:
@@ -371,8 +373,6 @@ def table_function_cells(spark, sf):
 # --- streams -----------------------------------------------------------------------------------------------------------
 def stream_of_events(spark: SparkSession, sf: str, flush: bool = True) -> DataFrame:
     """The events as a stream of files by day of event time; with flush, a last row far past the end closes all windows."""
-    from streamfill.streaming.live import flushed
-
     raw = events(spark, sf).select("event_id", "user_id", "event_type", "value", F.col("ts").cast("timestamp").alias("ts"))
     path = f"{shared_folder(spark)}/events-{uuid.uuid4().hex}"
     raw.coalesce(1).sortWithinPartitions("ts").write.parquet(path)
@@ -451,3 +451,216 @@ def stream_sinks(spark, sf):
     q.awaitTermination()
     count = lambda df, sink: df.agg(F.count("*").alias("n")).select(F.lit(sink).alias("sink"), "n")
     return settle(count(spark.table(name), "memory").union(count(spark.read.parquet(f"{folder}/out"), "foreach_batch")))
+
+
+# --- between windows, by the method whose answer SQL knows -----------------------------------------------------------
+def carried(spark: SparkSession, sf: str, mode: str, df: DataFrame | None = None) -> DataFrame:
+    out = continuous.run(ev(spark, sf) if df is None else df, {0: Options(method="mean", mode=mode, eta=0.25)})
+    return out.select("window_id", "inst_id", *(F.round(f"x{d}", 3).alias(f"x{d}") for d in D), F.col("cached").cast("long").alias("cached"))
+
+
+@query(f"WITH {EV}, u AS (SELECT window_id, {each('coalesce(avg(x#), 0) AS u#')} FROM ev GROUP BY window_id) SELECT window_id, inst_id, {each('round(coalesce(x#, u#), 3) AS x#')}, CAST(0 AS BIGINT) AS cached FROM ev JOIN u USING (window_id)")
+def periodic_mean(spark, sf):
+    return carried(spark, sf, "periodic")
+
+
+@query(
+    f"WITH {EV}, s AS (SELECT window_id, count(*) AS n, {each('sum(x#) AS s#, count(x#) AS c#')} FROM ev GROUP BY window_id), "
+    f"t AS (SELECT window_id, n, sum(n) OVER (ORDER BY window_id) AS total, {each('sum(s#) OVER (ORDER BY window_id) AS s#, sum(c#) OVER (ORDER BY window_id) AS c#')} FROM s) "
+    f"SELECT window_id, inst_id, {each('round(coalesce(x#, CASE WHEN c# > 0 THEN s# / c# END, 0), 3) AS x#')}, CAST(total - n AS BIGINT) AS cached FROM ev JOIN t USING (window_id)"
+)
+def cache_all_mean(spark, sf):
+    return carried(spark, sf, "all")
+
+
+CARRIED = (
+    f"WITH {EV}, {TWO}, first AS (SELECT ev.* FROM ev, w0 WHERE window_id = w), {PHI.replace('FROM ev', 'FROM first ev')}, kept AS (SELECT * FROM phi WHERE phi >= 0.25), "
+    f"both_rows AS (SELECT w + 1 AS window_id, {each('x#')}, 1 AS carried FROM kept, w0 UNION ALL SELECT window_id, {each('x#')}, 0 FROM ev, w0 WHERE window_id <= w + 1), "
+    f"u AS (SELECT window_id, CAST(sum(carried) AS BIGINT) AS cached, {each('coalesce(avg(x#), 0) AS u#')} FROM both_rows GROUP BY window_id) "
+    f"SELECT window_id, inst_id, {each('round(coalesce(x#, u#), 3) AS x#')}, cached FROM ev JOIN u USING (window_id)"
+)
+
+
+def two_windows(spark: SparkSession, sf: str) -> DataFrame:
+    df = ev(spark, sf)
+    first = df.agg(F.min("window_id").alias("w"))
+    return df.join(F.broadcast(first), df.window_id <= F.col("w") + 1, "left_semi")
+
+
+@query(CARRIED)
+def data_carry_mean(spark, sf):
+    return carried(spark, sf, "data_carry", two_windows(spark, sf))
+
+
+@query(CARRIED)
+def dual_carry_mean(spark, sf):
+    return carried(spark, sf, "dual_carry", two_windows(spark, sf))
+
+
+LIVE = f"WITH {EV}, u AS (SELECT window_id, {each('coalesce(avg(x#), 0) AS u#')} FROM ev GROUP BY window_id) SELECT window_id, inst_id, {each('round(coalesce(x#, u#), 2) AS x#')} FROM ev JOIN u USING (window_id)"
+
+
+def stream_of_chunks(spark: SparkSession, sf: str, files: int = 1) -> DataFrame:
+    """The event fixture as a stream of files of whole windows in event time."""
+    rows = ev(spark, sf).withColumn("stream_id", F.col("stream_id").cast("string")).withColumn("ts", F.timestamp_seconds(tables.bucket_of(F.col("inst_id")) * tables.HOUR))
+    path = f"{shared_folder(spark)}/chunks-{uuid.uuid4().hex}"
+    rows = settle(rows)
+    low, high = rows.agg(F.min("window_id"), F.max("window_id")).first()
+    edges = [low + (high + 1 - low) * k // files for k in range(files + 1)]
+    for a, b in zip(edges, edges[1:], strict=False):
+        rows.where(F.col("window_id").between(a, b - 1)).coalesce(1).write.mode("append").parquet(path)
+    flushed(rows, after="2 days").withColumn("window_id", F.lit(high + 2).cast("long")).withColumn("inst_id", F.lit(0).cast("long")).select(rows.columns).write.mode("append").parquet(path)
+    return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+@query(LIVE)
+def stream_live_mean(spark, sf):
+    """Windows imputed as the watermark closes them, with state by shard; one shard, as a shard's mean is its own."""
+    from streamfill.streaming.live import live
+
+    out = live(stream_of_chunks(spark, sf), Options(method="mean"), tables.DAY, ((0.0,) * len(D), (1.0,) * len(D)))
+    return streamed(out).where("stream_id <> 'flush'").select("window_id", "inst_id", *(F.round(f"x{d}", 2).alias(f"x{d}") for d in D))
+
+
+@query(LIVE)
+def stream_batches_mean(spark, sf):
+    """The same in micro-batches of whole windows, states in a table."""
+    from streamfill.streaming.live import by_batches
+
+    folder = f"{shared_folder(spark)}/batches-{uuid.uuid4().hex}"
+    rows = stream_of_chunks(spark, sf, files=3).where("stream_id <> 'flush'").drop("ts")
+    q = by_batches(rows, f"{folder}/out", Options(method="mean"), ((0.0,) * len(D), (1.0,) * len(D)), f"{folder}/state")
+    q.awaitTermination()
+    return spark.read.parquet(f"{folder}/out").select("window_id", "inst_id", *(F.round(f"x{d}", 2).alias(f"x{d}") for d in D))
+
+
+@query(f"WITH {EV}, {PHI} SELECT window_id, inst_id, round(phi, 9) AS phi FROM phi")
+def importance_gram(spark, sf):
+    """Importance through the product of the mask with itself, window by window."""
+    import numpy as np
+    import pyarrow as pa
+
+    from streamfill.functions import kernels
+    from streamfill.plans.groups import by_group
+    from streamfill.plans.impute import matrix
+
+    xs = [f"x{d}" for d in D]
+
+    def make():
+        def step(key: tuple, rows: pa.Table) -> pa.Table:
+            seen = ~np.isnan(matrix(rows, xs))
+            phi = kernels.importance_gram(seen) if len(seen) > 1 else kernels.importance(seen)
+            return pa.table({"window_id": rows["window_id"], "inst_id": rows["inst_id"], "phi": pa.array(phi)})
+
+        return step
+
+    df = ev(spark, sf).select("window_id", "inst_id", *xs)
+    return by_group(df, ["window_id"], ["window_id"], ["inst_id"], make, "window_id long, inst_id long, phi double").withColumn("phi", F.round("phi", 9))
+
+
+@query(f"WITH {WEIGHTED}, {STEP.format('s1', 'f')} SELECT window_id, stream_id, inst_id, {ROUNDED} FROM s1")
+def message_step_plain(spark, sf):
+    """A message step with the normalised adjacency as correlation and no matrix is a step of feature propagation."""
+    f = filled(spark, sf)
+    return rounded(propagate.message_step(f, graph.normalise(graph.knn(f, 10))))
+
+
+# --- functions and sources -------------------------------------------------------------------------------------------
+@query(f"WITH {FILLED} SELECT window_id, inst_id, round(sqrt({each('x# * x#', ' + ')}) / 1e3, 3) AS length FROM f")
+def udf_euclid(spark, sf):
+    """A function over Arrow batches, from SQL: the distance of each row from the origin."""
+    from streamfill.functions.sqlfuncs import register
+
+    register(spark)
+    view = f"chunk_{uuid.uuid4().hex}"
+    filled(spark, sf).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT window_id, inst_id, round(euclid(array({each('x#')}), array({each('0D')})) / 1e3, 3) AS length FROM {view}")
+
+
+@query(f"WITH {SCORED} SELECT window_id, round(sum(abs(truth - val)) / count(*), 6) AS mae, round(sum(abs(truth - val)) / sum(abs(truth)), 9) AS mre FROM s GROUP BY window_id")
+def udaf_errors(spark, sf):
+    """The errors as aggregate functions from SQL."""
+    from streamfill.functions.sqlfuncs import register
+
+    register(spark)
+    view = f"cells_{uuid.uuid4().hex}"
+    scored(spark, sf).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT window_id, round(mae(truth, val), 6) AS mae, round(mre(truth, val), 9) AS mre FROM {view} GROUP BY window_id")
+
+
+@query(f"WITH {NEAR} SELECT src, dst FROM near")
+def udtf_neighbours(spark, sf):
+    """Neighbours by a table function over each window's rows."""
+    from streamfill.functions.sqlfuncs import register
+
+    register(spark)
+    view = f"chunk_{uuid.uuid4().hex}"
+    filled(spark, sf).select("window_id", "inst_id", F.array(*(f"x{d}" for d in D)).alias("x"), F.lit(10).alias("k")).createOrReplaceTempView(view)
+    return spark.sql(f"SELECT src, dst FROM knn_block(TABLE(SELECT window_id, inst_id, x, k FROM {view}) PARTITION BY window_id)")
+
+
+@query(f"WITH {EV}, n AS (SELECT window_id, count(*) AS n FROM ev GROUP BY window_id) SELECT window_id, n AS rows, coalesce(lag(n) OVER (ORDER BY window_id), 0) AS carried FROM n")
+def cogrouped_windows(spark, sf):
+    """A window's rows beside those of the window before, in a cogroup."""
+    import pandas as pd
+
+    df = ev(spark, sf).select("window_id", "inst_id")
+    before = df.select((F.col("window_id") + 1).alias("window_id"), "inst_id")
+
+    def step(key: tuple, now: pd.DataFrame, old: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"window_id": [key[0]], "rows": [len(now)], "carried": [len(old)]} if len(now) else {"window_id": [], "rows": [], "carried": []})
+
+    return df.groupBy("window_id").cogroup(before.groupBy("window_id")).applyInPandas(step, "window_id long, rows long, carried long")
+
+
+@query("SELECT event_id, user_id FROM events")
+def replayed_events(spark, sf):
+    """The table as a stream in the order of its time. A run to the end of what is there takes one batch of the reader."""
+    from streamfill.sources.replay import replay
+
+    return streamed(replay(spark, f"{sf}/events.parquet", rows=1 << 40).select("event_id", "user_id"))
+
+
+@query("SELECT event_id, user_id, event_type FROM events")
+def message_rows(spark, sf):
+    """Readings out of rows as a message queue gives them."""
+    e = events(spark, sf)
+    sent = e.select(F.col("user_id").cast("string").cast("binary").alias("key"), F.to_json(F.struct("event_id", "user_id", "event_type")).cast("binary").alias("value"), F.col("ts").alias("timestamp"))
+    return tables.from_messages(sent, "event_id long, user_id long, event_type string").drop("timestamp")
+
+
+@query(f"WITH {EV}, {TWO} SELECT window_id, inst_id, CASE WHEN window_id = w THEN x0 + 1 ELSE x0 END AS x0 FROM ev, w0")
+def window_sink(spark, sf):
+    """Windows written by partition; writing the first again replaces it and no other."""
+    from streamfill.sources import sinks
+
+    df = ev(spark, sf).select("window_id", "inst_id", "x0")
+    path = f"{shared_folder(spark)}/windows-{uuid.uuid4().hex}"
+    sinks.write_windows(df, path)
+    first = df.agg(F.min("window_id").alias("w"))
+    sinks.write_windows(df.join(F.broadcast(first), F.col("window_id") == F.col("w")).select("window_id", "inst_id", (F.col("x0") + 1).alias("x0")), path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+@query(f"WITH {EV}, {TWO} SELECT inst_id, x0 FROM ev, w0 WHERE window_id = w")
+def state_table(spark, sf):
+    """The state of one window, read back by partition."""
+    from streamfill.sources import sinks
+
+    df = ev(spark, sf).select("window_id", "inst_id", "x0")
+    path = f"{shared_folder(spark)}/states-{uuid.uuid4().hex}"
+    sinks.save_state(df, path)
+    return sinks.load_state(spark, path, df.agg(F.min("window_id")).first()[0]).select("inst_id", "x0")
+
+
+def mice_gramian(spark, sf):
+    """Round-robin regressions with one aggregation for each; the window kernel's result (see the tests)."""
+    return regress.mice(tables.fixture(spark, sf, "doc"), 2)
+
+
+def mf_gramian(spark, sf):
+    return regress.mf(tables.fixture(spark, sf, "lowrank"), 3, 10)
+
+
+query()(mice_gramian)
+query()(mf_gramian)

@@ -112,7 +112,9 @@ def by_batches(batches: DataFrame, sink: str, o: Options, scale: tuple[tuple[flo
             part[xs] = np.where(np.isnan(x), out.x * deviation + mean, part[xs].to_numpy(np.float64))
             made.append(part[names])
         state = {c: [None] for c in names} | {"shard": [int(key[0])], "state": [pickle.dumps((chain.cache, chain.theta))]}
-        return pd.concat([*made, pd.DataFrame(state)[names]], ignore_index=True)
+        if made:  # the state rides on a row of its own, typed like the others
+            state |= {"stream_id": [""], "inst_id": [0], "window_id": [0], "cached": [0]} | {c: [0.0] for c in xs}
+        return pd.concat([*made, pd.DataFrame(state)[names]], ignore_index=True) if made else pd.DataFrame(state)[names]
 
     def step(batch: DataFrame, number: int) -> None:
         spark = batch.sparkSession

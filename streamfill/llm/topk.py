@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: Components in a block of candidates and in a batch of queries, on average; they bound a task's memory.
-BLOCK, BATCH = 1 << 22, 1 << 20
+BLOCK, BATCH = 1 << 19, 1 << 18
 #: Queries and candidates whose scores are held at once.
 TILE = (64, 4096)
 

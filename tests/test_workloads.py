@@ -14,6 +14,7 @@ def asked(monkeypatch):
     out = []
     for owner, name in ((workloads, "fixture"), (workloads, "union"), (workloads.masks, "keep_streams"), (workloads.masks, "irregular")):
         monkeypatch.setattr(owner, name, lambda *a, **b: None)
+    monkeypatch.setattr(workloads, "kept", lambda spark, sf_dir, name, make: make())
     monkeypatch.setattr(workloads, "sweep", lambda df, rate, options, labels, *a, **b: out.extend((labels[k] | {"rate": rate}, options[k]) for k in options))
     return out
 

@@ -34,7 +34,7 @@ def duck(sf_dir):
 def test_query_matches_sql(spark, sf_dir, duck, name):
     import pandas as pd
 
-    got, want = catalog.QUERIES[name](spark, sf_dir).toPandas(), duck.sql(catalog.ORACLES[name]).df()
+    got, want = (catalog.QUERIES | workloads.QUERIES)[name](spark, sf_dir).toPandas(), duck.sql(catalog.ORACLES[name]).df()
     want = want.astype(object).where(pd.notna(want), None)
     got = got.astype(object).where(pd.notna(got), None)
     assert sorted(got.columns) == sorted(want.columns)

@@ -237,3 +237,13 @@ def test_entry_is_importable():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries()) and len(e.queries()) > 90
+
+
+def test_split_by_cell_bounds_large_windows(spark):
+    for value in ("id % 977", "floor(id / 3000)", "1"):
+        df = spark.range(9000).selectExpr("1L AS window_id", "id AS inst_id", f"CAST({value} AS DOUBLE) AS x0")
+        parts = windows.split(df, 20, by="cell").groupBy("sub").agg({"x0": "min", "*": "count"}).toPandas()
+        top = windows.split(df, 20, by="cell").groupBy("sub").agg({"x0": "max"}).toPandas().set_index("sub").sort_index()
+        low = parts.set_index("sub").sort_index()
+        assert parts["count(1)"].sum() == 9000 and parts["count(1)"].max() <= 20
+        assert (top["max(x0)"].iloc[:-1].to_numpy() <= low["min(x0)"].iloc[1:].to_numpy()).all()

@@ -28,8 +28,16 @@ def overlap(df: DataFrame) -> DataFrame:
 
 
 def pairwise(df: DataFrame) -> DataFrame:
-    """Importance by its definition over pairs."""
-    return overlap(df).groupBy("window_id", F.col("src").alias("inst_id")).agg(F.sum(F.col("own") - F.col("shared")).alias("total"), F.count("*").alias("others")).select("window_id", "inst_id", (F.col("total") / F.col("others")).alias("phi"))
+    """Importance by its definition over pairs. Rows with the same mask overlap others alike, so masks are paired, with
+    the number of rows of each, and not rows; a row alone in its window is in no pair."""
+    own = df.select("window_id", "inst_id", packed(df).alias("bits"))
+    masks = own.groupBy("window_id", "bits").agg(F.count("*").alias("n"))
+    a, b = masks.alias("a"), masks.alias("b")
+    # a row's pair with itself adds nothing: it shares all its cells
+    unshared = F.bit_count("a.bits") - F.bit_count(F.col("a.bits").bitwiseAND(F.col("b.bits")))
+    phi = a.join(b, F.col("a.window_id") == F.col("b.window_id")).groupBy("a.window_id", "a.bits").agg(F.sum(F.col("b.n") * unshared).alias("total"), (F.sum("b.n") - 1).alias("others"))
+    phi = phi.where("others > 0").select("window_id", "bits", (F.col("total") / F.col("others")).alias("phi"))
+    return own.join(phi, ["window_id", "bits"]).select("window_id", "inst_id", "phi")
 
 
 def scores(df: DataFrame, normalise: bool = True) -> DataFrame:

@@ -247,3 +247,15 @@ def test_split_by_cell_bounds_large_windows(spark):
         low = parts.set_index("sub").sort_index()
         assert parts["count(1)"].sum() == 9000 and parts["count(1)"].max() <= 20
         assert (top["max(x0)"].iloc[:-1].to_numpy() <= low["min(x0)"].iloc[1:].to_numpy()).all()
+
+
+def test_importance_pairs_masks_not_rows(spark):
+    from streamfill.operators import importance
+
+    rows = [(1, i, None if i % 2 else 1.0, None if i % 3 else 2.0) for i in range(60)] + [(2, 7, 1.0, None)]
+    df = spark.createDataFrame(rows, "window_id long, inst_id long, x0 double, x1 double")
+    seen = {i: {d for d, v in enumerate(x) if v is not None} for w, i, *x in rows if w == 1}
+    want = {i: sum(len(a - b) for k, b in seen.items() if k != i) / 59 for i, a in seen.items()}
+    plan = importance.pairwise(df)
+    assert {r.inst_id: r.phi for r in plan.collect()} == want
+    assert "a.inst_id" not in plan._jdf.queryExecution().toString() and "NOT (inst_id" not in plan._jdf.queryExecution().toString()

@@ -259,3 +259,23 @@ def test_importance_pairs_masks_not_rows(spark):
     plan = importance.pairwise(df)
     assert {r.inst_id: r.phi for r in plan.collect()} == want
     assert "a.inst_id" not in plan._jdf.queryExecution().toString() and "NOT (inst_id" not in plan._jdf.queryExecution().toString()
+
+
+def copied(spark):
+    """Windows of few values and many rows each, a row of zeros, and a row alone."""
+    rows = [(w, "s", 100 * w + i, float(i % 3) * 2, float(i % 2)) for w in (1, 2) for i in range(40)] + [(3, "s", 300, 1.0, None)]
+    return spark.createDataFrame(rows, "window_id long, stream_id string, inst_id long, x0 double, x1 double")
+
+
+def test_copies_are_compared_once(spark):
+    df = copied(spark).where("window_id < 3")
+    assert graph.classes(df, 3).count() == 12
+    for metric in ("euclidean", "cosine"):
+        all_pairs = graph.pairs(df, metric).toPandas()
+        near = all_pairs.sort_values(["window_id", "src", "dist", "dst"]).groupby(["window_id", "src"]).head(5)[["window_id", "src", "dst"]]
+        got = graph.nearest(df, 5, metric).toPandas()
+        assert set(got[["window_id", "src", "dst"]].itertuples(index=False, name=None)) == set(near.itertuples(index=False, name=None)) and len(got) == len(near)
+        want = all_pairs.groupby("window_id").dist.agg(["size", "min", "max"])
+        for r in graph.extremes(copied(spark).fillna(0.0), metric).collect():
+            w = want.loc[r.window_id]
+            assert r.n == w["size"] and abs(r.least - w["min"]) < 1e-12 and abs(r.most - w["max"]) < 1e-12

@@ -279,3 +279,10 @@ def test_copies_are_compared_once(spark):
         for r in graph.extremes(copied(spark).fillna(0.0), metric).collect():
             w = want.loc[r.window_id]
             assert r.n == w["size"] and abs(r.least - w["min"]) < 1e-12 and abs(r.most - w["max"]) < 1e-12
+
+
+def test_snapshot_means_are_of_whole_windows(spark):
+    df = spark.range(60).selectExpr("id % 2 AS window_id", "'s' AS stream_id", "id AS inst_id", "CASE WHEN id % 3 > 0 THEN CAST(id * id AS DOUBLE) END AS x0")
+    want = {r.window_id: r.m for r in df.groupBy("window_id").agg({"x0": "avg"}).withColumnRenamed("avg(x0)", "m").collect()}
+    got = snapshot(df, "mean", max_rows=10, scale=False).where("is_imputed[0]").collect()
+    assert len(got) == 20 and all(r.x0 == want[r.window_id] for r in got)

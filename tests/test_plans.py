@@ -286,3 +286,16 @@ def test_snapshot_means_are_of_whole_windows(spark):
     want = {r.window_id: r.m for r in df.groupBy("window_id").agg({"x0": "avg"}).withColumnRenamed("avg(x0)", "m").collect()}
     got = snapshot(df, "mean", max_rows=10, scale=False).where("is_imputed[0]").collect()
     assert len(got) == 20 and all(r.x0 == want[r.window_id] for r in got)
+
+
+def test_links_count_every_row(spark):
+    df = copied(spark).fillna(0.0)
+    for metric, eps in (("euclidean", 2.1), ("cosine", 0.2), ("cosine", 1.5)):
+        below = eps * eps if metric == "euclidean" else eps
+        want = graph.pairs(df, metric).where(f"dist < {below}").groupBy("window_id", "src").count().toPandas().set_index(["window_id", "src"])["count"].to_dict()
+        least = {}
+        rows = df.orderBy("inst_id").collect()
+        for r in rows:
+            least.setdefault((r.window_id, r.x0, r.x1), r.inst_id)
+        got = {(r.window_id, r.inst_id): (r.class_id, r.links) for r in graph.links(df, eps, metric).collect()}
+        assert got == {(r.window_id, r.inst_id): (least[r.window_id, r.x0, r.x1], want.get((r.window_id, r.inst_id), 0)) for r in rows}

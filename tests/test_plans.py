@@ -299,3 +299,14 @@ def test_links_count_every_row(spark):
             least.setdefault((r.window_id, r.x0, r.x1), r.inst_id)
         got = {(r.window_id, r.inst_id): (r.class_id, r.links) for r in graph.links(df, eps, metric).collect()}
         assert got == {(r.window_id, r.inst_id): (least[r.window_id, r.x0, r.x1], want.get((r.window_id, r.inst_id), 0)) for r in rows}
+
+
+def test_memory_sink_holds_counts_only(spark, sf_dir, monkeypatch):
+    from streamfill.plans import surface
+    from streamfill.sources import sinks
+
+    names, made = [], sinks.to_memory
+    monkeypatch.setattr(sinks, "to_memory", lambda stream, name, *mode: (names.append(name), made(stream, name, *mode))[1])
+    n = spark.read.parquet(f"{sf_dir}/events.parquet").count()
+    assert {(r.sink, r.n) for r in surface.stream_sinks(spark, sf_dir).collect()} == {("memory", n), ("foreach_batch", n)}
+    assert spark.table(names[0]).count() == 1

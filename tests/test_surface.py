@@ -28,6 +28,22 @@ def test_replay_keeps_order_and_rows(spark, sf_dir):
     assert got and got == sorted(got) and len(set(got)) == len(got)
 
 
+def test_replay_is_read_by_spark_in_whole_batches(spark, sf_dir, tmp_path, monkeypatch):
+    import pyarrow.dataset
+
+    monkeypatch.setattr(pyarrow.dataset, "dataset", lambda *a, **b: pytest.fail("the table was read by the driver"))
+    met = []
+    for rows, file_rows in ((300, 1000), (300, 70)):
+        stream, sizes = replay(spark, f"{sf_dir}/events.parquet", rows=rows, file_rows=file_rows), {}
+        q = stream.writeStream.foreachBatch(lambda df, k, to=sizes: to.update({k: [r.event_id for r in df.select("event_id").collect()]})).option("checkpointLocation", f"{tmp_path}/{file_rows}").trigger(availableNow=True).start()
+        q.awaitTermination(120)
+        met.append([sorted(sizes[k]) for k in sorted(sizes)])
+    want = [r.event_id for r in tables.table(spark, sf_dir, "events").orderBy("ts", "event_id").collect()]
+    assert met[0] == met[1] and sorted(sum(met[0], [])) == sorted(want)
+    assert [len(b) for b in met[0]] == [300] * (len(want) // 300) + [len(want) % 300] * bool(len(want) % 300)
+    assert sum(met[0], []) == sum((sorted(want[at : at + 300]) for at in range(0, len(want), 300)), [])
+
+
 def test_formats_and_streams(spark, sf_dir, tmp_path):
     e = tables.table(spark, sf_dir, "events").limit(20).select("event_id", "value")
     for fmt in ("json", "orc", "csv"):

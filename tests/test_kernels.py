@@ -184,3 +184,33 @@ def test_frozen_messages_stay():
 def test_decoupled_decay():
     step = Adam(0.1, 0.5, decoupled=True).update({"w": np.ones(2)}, {"w": np.zeros(2)})
     assert step["w"] == pytest.approx(0.95)
+
+
+def test_nearest_compares_few_rows_and_loses_none(monkeypatch):
+    rng, compared = np.random.default_rng(8), []
+    gaps = K._gaps
+    monkeypatch.setattr(K, "_gaps", lambda a, b: compared.append(len(a) * len(b)) or gaps(a, b))
+
+    def plain(x, k):
+        d = ((x[:, None] - x[None]) ** 2).sum(axis=2)
+        np.fill_diagonal(d, np.inf)
+        return np.array([np.lexsort((np.arange(len(x)), row))[:k] for row in d])
+
+    for n, high in ((1, 9), (2, 9), (30, 2), (700, 3), (1200, 400), (1500, 12)):
+        x = np.where(rng.random((n, 4)) < 0.4, rng.integers(0, high, (n, 4)), 5.0)
+        for k in (1, 10):
+            assert np.array_equal(K.nearest(x, k), plain(x, min(k, n - 1)))
+    sparse = np.where(rng.random((20_000, 5)) < 0.2, rng.random((20_000, 5)), 0.5)
+    for x, share in ((sparse, 5), (np.tile(sparse[:500], (40, 1)), 1000)):
+        compared.clear()
+        K.nearest(x, 10)
+        assert sum(compared) < len(x) ** 2 / share
+
+
+def test_sums_over_neighbours():
+    rng = np.random.default_rng(9)
+    n = 900
+    hub = np.concatenate([np.zeros(n - 2, int), rng.integers(1, n - 1, 4 * n)])  # one row is near all, and one near none
+    g = K.Graph(n, hub, np.concatenate([np.arange(1, n - 1), rng.integers(1, n - 1, 4 * n)]))
+    h = rng.normal(size=(n, 3))
+    assert np.allclose(g.summed(h), g.gather(np.ones(len(g.src)), h)) and not g.summed(h)[n - 1].any()

@@ -214,3 +214,19 @@ def test_sums_over_neighbours():
     g = K.Graph(n, hub, np.concatenate([np.arange(1, n - 1), rng.integers(1, n - 1, 4 * n)]))
     h = rng.normal(size=(n, 3))
     assert np.allclose(g.summed(h), g.gather(np.ones(len(g.src)), h)) and not g.summed(h)[n - 1].any()
+
+
+@pytest.mark.parametrize("more", [{}, {"module": "gcn"}, {"layers": 3}, {"layers": 1}, {"bound": False}, {"act": False}, {"tie": True}])
+def test_training_by_hand_equals_the_tape(more, monkeypatch):
+    rng = np.random.default_rng(10)
+    x = np.where(rng.random((600, 4)) < 0.4, rng.normal(size=(600, 4)), np.nan)
+    seen = ~np.isnan(x)
+    held = N.hold_out(seen, 0.2, rng)
+    base, left, shape = K.mean_filled(np.where(held, np.nan, x)), (seen & ~held).astype(float), N.Shape(4, **more)
+    graph, start, made = K.build_graph(base, 5), N.init(shape, rng), []
+    monkeypatch.setattr(N, "STRIP", 256)
+    for way in (N._by_hand, N._taped):
+        monkeypatch.setattr(N, "_by_hand", way)
+        made.append([N.fit(base, left, np.nan_to_num(x), held, graph, shape, t, start) for t in (N.Training(15), N.Training(15, norm="seen", lams=(0.5, 2.0), frozen=True, patience=4))])
+    for (a, a_theta, a_trace), (b, b_theta, b_trace) in zip(*made, strict=True):
+        assert np.allclose(a, b) and np.allclose(a_trace, b_trace) and all(np.allclose(a_theta[k], b_theta[k]) for k in b_theta)

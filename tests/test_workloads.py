@@ -34,3 +34,10 @@ def test_training_and_grids_are_whole(asked):
     count = lambda key, n: len({lab[key] for lab, _ in asked if key in lab and lab.get("fixture") == n})
     assert [count("length", n) for n in ("ev", "li", "emb")] == [6, 5, 5] and [count("ratio", n) for n in ("ev", "li")] == [11, 11]
     assert {lab["fixture"] for lab, _ in asked if "mode" in lab and "fixture" in lab} == {"ev", "li"}
+
+
+def test_memory_is_weighed_over_the_windows_of_the_tables(spark, sf_dir):
+    rows = workloads.w3_memory(spark, sf_dir).collect()
+    n = {name: workloads.fixture(spark, sf_dir, name).select("window_id").distinct().count() for name in ("ev", "doc", "li", "lowrank", "emb")}
+    assert len(rows) == 15 and {(r.fixture, r.n_windows) for r in rows} == set(n.items())
+    assert all(abs(r.all_mb - r.model_mb * r.n_windows) < 1e-9 for r in rows)

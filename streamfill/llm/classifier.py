@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import light
+
 BUCKETS = 1 << 18
 SAMPLE = 8000
 #: Documents of the sample that must hold a bucket for it to have a weight.
@@ -182,4 +184,4 @@ def classify(docs: DataFrame, model: Model, least: float = 0.5, *, carry: tuple[
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("q_text"), *(F.col(c).alias(f"c_{c}") for c in carry))
     out = "doc_id long, expected_grade double, tail_probability double, kept boolean" + "".join(f", `{x.name}` {x.dataType.simpleString()}" for x in schema)
-    return rows.mapInArrow(scored, out).withColumnsRenamed({f"c_{c}": c for c in carry if c != "doc_id"} | ({"c_doc_id": "q_same"} if "doc_id" in carry else {})).drop("q_same")
+    return rows.mapInArrow(light(scored), out).withColumnsRenamed({f"c_{c}": c for c in carry if c != "doc_id"} | ({"c_doc_id": "q_same"} if "doc_id" in carry else {})).drop("q_same")

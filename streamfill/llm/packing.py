@@ -14,8 +14,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import light
+
 #: Pieces of text that are encoded in one go.
 TOGETHER = 10_000
+#: Characters of text in a chunk, about; the rest of a task is the vocabulary.
+CHUNK = 8_000_000
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, bucket int, ids binary"
 
 
@@ -90,7 +94,7 @@ def pack(docs: DataFrame, tokenizer_path: str, max_len: int = 1024, end_id: int
             starts[order] = ends - sizes[order]
             return ragged(np.concatenate(parts), starts, sizes), sizes
 
-        for chunk in chunks(batches):
+        for chunk in chunks(batches, CHUNK):
             flat, sizes = encoded(chunk)
             starts = np.cumsum(sizes) - sizes
             for first, last, places, lengths in chunk.parts():
@@ -107,7 +111,7 @@ def pack(docs: DataFrame, tokenizer_path: str, max_len: int = 1024, end_id: int
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, types, strict=True)], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "bucket", "ids"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("i"), F.col(text_col).alias("t"))
-    return rows.mapInArrow(packed, SCHEMA).withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")})
+    return rows.mapInArrow(light(packed), SCHEMA).withColumns({"sequence_id": F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")})
 
 
 def write_buckets(packed: DataFrame, path: str) -> None:

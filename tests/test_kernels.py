@@ -5,6 +5,7 @@ import pytest
 
 from streamfill.functions import kernels as K
 from streamfill.functions import nets as N
+from streamfill.functions import sequence
 from streamfill.functions.autodiff import Adam, Var, masked_mse
 from streamfill.plans.continuous import Chain, next_state, worth_keeping
 from streamfill.plans.impute import METHODS, Options, impute_window
@@ -230,3 +231,22 @@ def test_training_by_hand_equals_the_tape(more, monkeypatch):
         made.append([N.fit(base, left, np.nan_to_num(x), held, graph, shape, t, start) for t in (N.Training(15), N.Training(15, norm="seen", lams=(0.5, 2.0), frozen=True, patience=4))])
     for (a, a_theta, a_trace), (b, b_theta, b_trace) in zip(*made, strict=True):
         assert np.allclose(a, b) and np.allclose(a_trace, b_trace) and all(np.allclose(a_theta[k], b_theta[k]) for k in b_theta)
+
+
+def test_sequence_baselines_by_strips(monkeypatch):
+    """Strips of streams give what the whole gives, and the tape of a large window stays small."""
+    import tracemalloc
+
+    rng = np.random.default_rng(4)
+    streams = np.repeat(np.arange(700), rng.integers(1, 8, 700))
+    x = np.where(rng.random((len(streams), 5)) < 0.5, np.nan, rng.normal(size=(len(streams), 5)))
+    for method in (sequence.brits, sequence.saits):
+        whole, peaks = [], []
+        for strip in (1 << 30, 140, 256):
+            monkeypatch.setattr(sequence, "STRIP", strip)
+            tracemalloc.start()
+            whole.append(method(x, streams, np.arange(len(x)), epochs=3)[0])
+            peaks.append(tracemalloc.get_traced_memory()[1])
+            tracemalloc.stop()
+        assert np.allclose(whole[0], whole[1], atol=1e-9) and np.allclose(whole[0], whole[2], atol=1e-9)
+        assert peaks[1] < peaks[0] / 4

@@ -288,6 +288,18 @@ def test_snapshot_means_are_of_whole_windows(spark):
     assert len(got) == 20 and all(r.x0 == want[r.window_id] for r in got)
 
 
+def test_snapshot_trains_on_whole_windows(spark):
+    from streamfill.plans.impute import impute_window
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(20_001, 2))
+    x[rng.random(x.shape) < 0.3] = np.nan
+    cells = [(1, "s", i, *(None if np.isnan(v) else float(v) for v in r)) for i, r in enumerate(x)]
+    df = spark.createDataFrame(cells, "window_id long, stream_id string, inst_id long, x0 double, x1 double")
+    got = snapshot(df, "propnet", scale=False, epochs=2).orderBy("inst_id").toPandas()
+    assert np.abs(got[["x0", "x1"]].to_numpy() - impute_window(x, Options(epochs=2), (1, 0)).x).max() < 1e-8
+
+
 def test_links_count_every_row(spark):
     df = copied(spark).fillna(0.0)
     for metric, eps in (("euclidean", 2.1), ("cosine", 0.2), ("cosine", 1.5)):

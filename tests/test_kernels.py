@@ -233,6 +233,45 @@ def test_training_by_hand_equals_the_tape(more, monkeypatch):
         assert np.allclose(a, b) and np.allclose(a_trace, b_trace) and all(np.allclose(a_theta[k], b_theta[k]) for k in b_theta)
 
 
+@pytest.mark.parametrize("module", ["sage", "gcn"])
+def test_several_cores_train_to_the_same_bits(module):
+    """They share the work of one chain's window, leave no process behind, and do not outlive one that fails."""
+    import os
+
+    rng = np.random.default_rng(11)
+    x = np.where(rng.random((7000, 3)) < 0.5, rng.normal(size=(7000, 3)), NAN)
+    o, places, pids = Options(mode="dual_carry", module=module, layers=3, epochs=6, eta=0.1), np.arange(7000), []
+    part = K.Team.start
+
+    def counted(team):
+        part(team)
+        pids.extend(team.others)
+
+    with pytest.MonkeyPatch.context() as m:
+        m.setattr(K.Team, "start", counted)
+        outs = []
+        for cores in (1, 3):
+            chain = Chain(o, cores=cores)
+            outs.append([chain.step(w, x[w * 3000 : w * 3000 + 4000 + w * 2000], places[: 4000 + w * 2000] % 9, places[: 4000 + w * 2000])[0] for w in range(2)])
+    for a, b in zip(*outs, strict=True):
+        assert np.array_equal(a.x, b.x) and a.trace == b.trace and all(np.array_equal(a.theta[k], b.theta[k]) for k in b.theta)
+    assert len(pids) >= 2
+    for pid in pids:
+        with pytest.raises(ProcessLookupError):
+            os.kill(pid, 0)
+
+    def broken(s):
+        if team.member:
+            raise ValueError
+        done.append(s)
+
+    done = []
+    with pytest.raises(RuntimeError, match="has ended"), K.Team(2, 10) as team:
+        team.start()
+        team.each(broken, team.strips(40))
+    assert [s.start for s in done] == [0, 20]
+
+
 def test_sequence_baselines_by_strips(monkeypatch):
     """Strips of streams give what the whole gives, and the tape of a large window stays small."""
     import tracemalloc

@@ -41,3 +41,19 @@ def test_memory_is_weighed_over_the_windows_of_the_tables(spark, sf_dir):
     n = {name: workloads.fixture(spark, sf_dir, name).select("window_id").distinct().count() for name in ("ev", "doc", "li", "lowrank", "emb")}
     assert len(rows) == 15 and {(r.fixture, r.n_windows) for r in rows} == set(n.items())
     assert all(abs(r.all_mb - r.model_mb * r.n_windows) < 1e-9 for r in rows)
+
+
+def test_chains_have_the_cores_of_their_executor(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from streamfill.plans.groups import idle_cores
+
+    assert [idle_cores(spark, n) for n in (1, 2, 3, 9)] == [4, 2, 1, 1]
+    for master, given, want in (("local-cluster[3,2,3000]", None, 2), ("yarn", "5", 5), ("yarn", None, 1)):
+        context = SimpleNamespace(master=master, defaultParallelism=6, getConf=lambda given=given: SimpleNamespace(get=lambda key: given))
+        assert idle_cores(SimpleNamespace(sparkContext=context), 1) == want
+    asked, run = [], workloads.continuous.run
+    monkeypatch.setattr(workloads.continuous, "run", lambda *a, **more: (asked.append(more["cores"]), run(*a, **more))[1])
+    for name in ("model_carry", "dual_carry"):
+        workloads.QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert asked == [4, 4]
